@@ -6,6 +6,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
 from .common import scratch_path
+from .jaccard_join import jaccard_components
 from .piece_tokenizer import encode_pieces
 from .quality_rules import judge_documents
 from .source_mix import mix_documents
@@ -39,8 +40,12 @@ def op6_source_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mix_documents(_documents(spark, sf_dir)).drop("copies")
 
 
+def op8_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return jaccard_components(_documents(spark, sf_dir))
+
+
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_token_counts, op2_token_files, op3_sentencepiece, op4_quality_rules, op6_source_mix)}
+    return {f.__name__: f for f in (op1_token_counts, op2_token_files, op3_sentencepiece, op4_quality_rules, op6_source_mix, op8_jaccard_join)}
 
 
 def oracle_sql() -> dict[str, str]:
