@@ -8,6 +8,9 @@ import shutil
 import uuid
 from collections.abc import Iterator
 
+import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -61,17 +64,14 @@ def text_or_empty(name: str = "text") -> Column:
     return F.coalesce(F.col(name).cast("string"), F.lit(""))
 
 
-def slices(texts: list[str], limit: int = 1 << 20) -> Iterator[tuple[int, int]]:
-    """Ranges of ``texts`` of about ``limit`` characters, one text at least: bounds memory whatever a batch holds."""
-    start = size = 0
-    for i, t in enumerate(texts):
-        if i > start and size + len(t) > limit:
-            yield start, i
-            start = i
-            size = 0
-        size += len(t)
-    if start < len(texts):
-        yield start, len(texts)
+def slices(texts: pa.Array, limit: int = 1 << 20) -> Iterator[tuple[int, int, list[str]]]:
+    """Ranges of a batch's texts, about ``limit`` bytes each and one text at least: bounds memory whatever a batch holds."""
+    ends = np.cumsum(pc.binary_length(texts).to_numpy(zero_copy_only=False).astype(np.int64)) if len(texts) else np.zeros(0, np.int64)
+    lo = done = 0
+    while lo < len(texts):
+        hi = max(lo + 1, int(np.searchsorted(ends, done + limit, side="right")))
+        yield lo, hi, texts.slice(lo, hi - lo).to_pylist()
+        lo, done = hi, int(ends[hi - 1])
 
 
 #: A table of at most so many rows of a key and a few numbers is broadcast; above, Spark shuffles and splits skewed partitions.

@@ -113,10 +113,9 @@ def _sketches(rows: DataFrame, n: int, percent: int) -> DataFrame:
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own = Shingler(n, percent)
         for b in batches:
-            texts = b.column(1).to_pylist()
-            for lo, hi in slices(texts):
+            for lo, hi, texts in slices(b.column(1)):
                 size, one, two, keys = [], [], [], []
-                for t in texts[lo:hi]:
+                for t in texts:
                     h = own.shingles(t)
                     size.append(h.size)
                     d = np.frombuffer(xxhash.xxh3_128_digest(h.tobytes()), "<i8")
@@ -136,9 +135,8 @@ def _sets(rows: DataFrame, n: int, percent: int) -> DataFrame:
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own = Shingler(n, percent)
         for b in batches:
-            texts = b.column(1).to_pylist()
-            for lo, hi in slices(texts):
-                sets = [own.shingles(t) for t in texts[lo:hi]]
+            for lo, hi, texts in slices(b.column(1)):
+                sets = [own.shingles(t) for t in texts]
                 prints = np.array([np.frombuffer(xxhash.xxh3_128_digest(h.tobytes()), "<i8") for h in sets]).reshape(-1, 2)
                 ends = np.cumsum([0, *map(len, sets)]).astype(np.int32)
                 lists = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(sets).view(np.int64)))

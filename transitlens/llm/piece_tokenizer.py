@@ -20,6 +20,7 @@ from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -125,7 +126,7 @@ class PieceCodec:
     words (each with the markers before it) end to end; else a text is one word. Words met before come from a bounded table.
     """
 
-    def __init__(self, path: str, threads: int, cache_size: int = 600_000):
+    def __init__(self, path: str, threads: int, cache_size: int = 400_000):
         # The library reads these when it starts its pool, once in a worker.
         os.environ.setdefault("RAYON_NUM_THREADS", str(threads))
         os.environ["TOKENIZERS_PARALLELISM"] = "true" if threads > 1 else "false"
@@ -204,9 +205,8 @@ def with_piece_ids(docs: DataFrame, path: str, threads: int = 2) -> DataFrame:
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own = codec(path, threads)
         for b in batches:
-            texts = [t or "" for t in b.column(where).to_pylist()]
-            for lo, hi in slices(texts):
-                ids = _lists([x for x, _, _ in own.encode(texts[lo:hi])])
+            for lo, hi, texts in slices(pc.fill_null(b.column(where), "")):
+                ids = _lists([x for x, _, _ in own.encode(texts)])
                 yield pa.RecordBatch.from_arrays([*b.slice(lo, hi - lo).columns, ids], names=[*b.schema.names, "piece_ids"])
 
     fields = T.StructType([*(T.StructField(f.name, f.dataType) for f in rest.schema), T.StructField("piece_ids", T.ArrayType(T.IntegerType()))])
@@ -234,9 +234,8 @@ def encode_pieces(docs: DataFrame, path: str, threads: int = 2, parity: bool = T
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own = codec(path, threads)
         for b in batches:
-            texts = b.column(1).to_pylist()
-            for lo, hi in slices(texts):
-                got = own.encode(texts[lo:hi], parity)
+            for lo, hi, texts in slices(b.column(1)):
+                got = own.encode(texts, parity)
                 yield pa.RecordBatch.from_arrays(
                     [
                         b.column(0).slice(lo, hi - lo),

@@ -75,10 +75,9 @@ def with_measures(docs: DataFrame) -> DataFrame:
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            texts = b.column(where).to_pylist()
             others = [n for n in range(b.num_columns) if n != where]
-            for lo, hi in slices(texts):
-                got = np.array([measure(t) for t in texts[lo:hi]], np.int64)
+            for lo, hi, texts in slices(b.column(where)):
+                got = np.array([measure(t) for t in texts], np.int64)
                 part = b.slice(lo, hi - lo)
                 yield pa.RecordBatch.from_arrays([*(part.column(n) for n in others), *map(pa.array, np.ascontiguousarray(got.T))], names=[*(b.schema.names[n] for n in others), *MEASURES])
 

@@ -4,14 +4,18 @@ from __future__ import annotations
 
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from .common import scratch_path
 from .jaccard_join import jaccard_components
+from .pii import personal_spans
 from .piece_tokenizer import encode_pieces
 from .quality_rules import judge_documents
 from .source_mix import mix_documents
 from .token_counts import token_counts
 from .token_files import read_token_files, write_token_files
+from .topk_search import top_k
+from .url_filters import judge_urls
 
 
 def _documents(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -44,8 +48,20 @@ def op8_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return jaccard_components(_documents(spark, sf_dir))
 
 
+def op5_topk_search(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return top_k(spark.read.parquet(f"{sf_dir}/embeddings.parquet"), F.col("vec_id") % 50 == 0)
+
+
+def op9_url_filters(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return judge_urls(spark.read.parquet(f"{sf_dir}/pages.parquet"))
+
+
+def op10_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return personal_spans(_documents(spark, sf_dir))
+
+
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_token_counts, op2_token_files, op3_sentencepiece, op4_quality_rules, op6_source_mix, op8_jaccard_join)}
+    return {f.__name__: f for f in (op1_token_counts, op2_token_files, op3_sentencepiece, op4_quality_rules, op5_topk_search, op6_source_mix, op8_jaccard_join, op9_url_filters, op10_pii)}
 
 
 def oracle_sql() -> dict[str, str]:

@@ -21,6 +21,7 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .chunks import chunks
 from .common import slices, text_or_empty
 
 #: Fixed value: the split of the byte-level BPE before merges.
@@ -102,23 +103,30 @@ class RankMerger:
             rank[near] = self._ranks(sym, near)
         return count
 
-    def counts(self, texts: list[str]) -> list[int]:
-        """Tokens of each text."""
-        extra = [0] * len(texts)
+    def _learn(self, chunks: list[str]) -> None:
+        """Counts of chunks never met: distinct pre-tokens are merged together, and summed for each chunk."""
         cut: list[list[str]] = []
-        for i, t in enumerate(texts):
-            if self.added is not None and (n := sum(1 for _ in self.added.finditer(t))):
+        extra = [0] * len(chunks)
+        for i, t in enumerate(chunks):
+            if self.added is not None and (n := len(self.added.findall(t))):
                 extra[i] = n
                 cut.append([w for part in self.added.split(t) for w in self.split.findall(part)])
             else:
                 cut.append(self.split.findall(t))
+        words = list(set().union(*cut))
+        count = dict(zip(words, self.merge_counts(words).tolist(), strict=True))
+        self.known.update((c, n + sum(map(count.__getitem__, w))) for c, n, w in zip(chunks, extra, cut, strict=True))
+
+    def counts(self, texts: list[str]) -> list[int]:
+        """Tokens of each text."""
+        cut = [chunks(t) for t in texts]
         if len(self.known) > self.cache_size:
             self.known.clear()
-        new = list(set().union(*cut).difference(self.known)) if cut else []
+        new = list(set().union(*cut).difference(self.known))
         if new:
-            self.known.update(zip(new, self.merge_counts(new).tolist(), strict=True))
+            self._learn(new)
         get = self.known.__getitem__
-        out = [n + sum(map(get, words)) for n, words in zip(extra, cut, strict=True)]
+        out = [sum(map(get, words)) for words in cut]
         for w in new:
             if len(w) > 64:
                 del self.known[w]
@@ -137,9 +145,7 @@ def token_counts(docs: DataFrame, path: str, limit: int = 1024) -> DataFrame:
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own = merger(path)
         for b in batches:
-            texts = b.column(1).to_pylist()
-            for lo, hi in slices(texts):
-                part = texts[lo:hi]
+            for lo, hi, part in slices(b.column(1)):
                 n = own.counts(part)
                 yield pa.RecordBatch.from_arrays(
                     [b.column(0).slice(lo, hi - lo), pa.array([len(t.encode("utf-8")) for t in part], pa.int64()), pa.array(n, pa.int64()), pa.array([x > limit for x in n], pa.bool_())],

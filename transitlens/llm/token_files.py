@@ -19,6 +19,7 @@ from __future__ import annotations
 import os
 import uuid
 import zlib
+from array import array
 from collections.abc import Iterable, Iterator
 from functools import lru_cache
 
@@ -29,6 +30,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from .chunks import chunks
 from .common import slices, text_or_empty
 
 MANIFEST = "shard int, name string, n_docs long, n_ids long, n_sequences long"
@@ -42,6 +44,30 @@ def tokenizer(path: str):
     return Tokenizer.from_file(path)
 
 
+class ChunkEncoder:
+    """Encodes texts through the tokenizers library, each distinct chunk once; chunks met before come from a bounded table."""
+
+    def __init__(self, path: str, wide: bool, end_id: int, cache_size: int = 400_000):
+        self.own, self.code, self.cache_size = tokenizer(path), "I" if wide else "H", cache_size
+        self.end = array(self.code, [end_id]).tobytes()
+        self.known: dict[str, bytes] = {}
+
+    def encode(self, texts: list[str]) -> list[np.ndarray]:
+        cut = [chunks(t) for t in texts]
+        if len(self.known) > self.cache_size:
+            self.known.clear()
+        new = list(set().union(*cut).difference(self.known))
+        for lo in range(0, len(new), 20_000):
+            part = new[lo : lo + 20_000]
+            self.known.update(zip(part, [array(self.code, e.ids).tobytes() for e in self.own.encode_batch_fast(part, add_special_tokens=False)], strict=True))
+        get = self.known.__getitem__
+        out = [np.frombuffer(b"".join([*map(get, words), self.end]), self.code) for words in cut]
+        for w in new:
+            if len(w) > 64:
+                del self.known[w]
+        return out
+
+
 def sequence_schema(seq_len: int, wide: bool) -> pa.Schema:
     ids = pa.list_(pa.field("item", pa.uint32() if wide else pa.uint16(), nullable=False), seq_len)
     mask = pa.list_(pa.field("item", pa.uint8(), nullable=False), seq_len)
@@ -91,10 +117,6 @@ class ShardWriter:
             x.close()
 
 
-def _encoded(own, texts: list[str], end_id: int, kind) -> list[np.ndarray]:
-    return [np.array([*e.ids, end_id], kind) for e in own.encode_batch_fast(texts, add_special_tokens=False)]
-
-
 def write_token_files(docs: DataFrame, tokenizer_path: str, folder: str, end_id: int = 2, seq_len: int = 2048, rows_per_batch: int = 64) -> DataFrame:
     """Writes ``docs(doc_id, text)`` under ``folder`` in ascending ``doc_id`` order; returns the manifest."""
     spark = docs.sparkSession
@@ -106,17 +128,16 @@ def write_token_files(docs: DataFrame, tokenizer_path: str, folder: str, end_id:
     rows = rows.repartitionByRange(*keys).sortWithinPartitions(*keys).select("doc_id", "text")
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        own, out, name = tokenizer(tokenizer_path), None, uuid.uuid4().hex
+        own, out, name = ChunkEncoder(tokenizer_path, wide, end_id), None, uuid.uuid4().hex
         shard = TaskContext.get().partitionId()
         for b in batches:
-            texts = b.column(1).to_pylist()
-            for lo, hi in slices(texts):
+            for lo, hi, texts in slices(b.column(1)):
                 if out is None:
                     fs, base = pafs.FileSystem.from_uri(folder)
                     fs.create_dir(base, recursive=True)
                     name = f"shard-{shard:06d}-{name}"
                     out = ShardWriter(fs, f"{base}/{name}", seq_len, rows_per_batch, wide)
-                out.add(b.column(0).slice(lo, hi - lo), _encoded(own, texts[lo:hi], end_id, out.kind))
+                out.add(b.column(0).slice(lo, hi - lo), own.encode(texts))
         if out is not None:
             out.close()
             yield pa.RecordBatch.from_pydict({"shard": pa.array([shard], pa.int32()), "name": [name], "n_docs": [out.n_docs], "n_ids": [out.n_ids], "n_sequences": [out.n_sequences]})
