@@ -10,6 +10,7 @@ from .common import scratch_path
 from .jaccard_join import jaccard_components
 from .pii import personal_spans
 from .piece_tokenizer import encode_pieces
+from .quality_model import quality_scores
 from .quality_rules import judge_documents
 from .source_mix import mix_documents
 from .token_counts import token_counts
@@ -52,6 +53,10 @@ def op5_topk_search(spark: SparkSession, sf_dir: str) -> DataFrame:
     return top_k(spark.read.parquet(f"{sf_dir}/embeddings.parquet"), F.col("vec_id") % 50 == 0)
 
 
+def op7_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality_scores(_documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/labels.parquet"))
+
+
 def op9_url_filters(spark: SparkSession, sf_dir: str) -> DataFrame:
     return judge_urls(spark.read.parquet(f"{sf_dir}/pages.parquet"))
 
@@ -61,7 +66,7 @@ def op10_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_token_counts, op2_token_files, op3_sentencepiece, op4_quality_rules, op5_topk_search, op6_source_mix, op8_jaccard_join, op9_url_filters, op10_pii)}
+    return {f.__name__: f for f in (op1_token_counts, op2_token_files, op3_sentencepiece, op4_quality_rules, op5_topk_search, op6_source_mix, op7_quality_classifier, op8_jaccard_join, op9_url_filters, op10_pii)}
 
 
 def oracle_sql() -> dict[str, str]:
