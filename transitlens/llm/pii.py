@@ -111,18 +111,23 @@ def disclosing_terms(found: DataFrame, docs: DataFrame, alpha: float = 0.9, supp
     discloses if ``log(N * et / (e * t)) >= alpha * log(N / e)``.
     """
     near = found.select("_hash", F.explode("near").alias("n")).select("_hash", "n.entity", F.explode_outer("n.terms").alias("term"))
+    n = float(max(1, found.select("_hash").distinct().count()))
+    entities = near.select("_hash", "entity").distinct().groupBy("entity").agg(F.count("*").alias("e"))
+    # Texts with the term near any entity are some of those that hold it, so this bounds t from below without reading a text.
+    least = near.filter("term IS NOT NULL").select("_hash", "term").distinct().groupBy("term").agg(F.count("*").alias("least"))
     pairs = near.filter("term IS NOT NULL").distinct().groupBy("entity", "term").agg(F.count("*").alias("et")).filter(F.col("et") >= support)
-    pairs = written(pairs, "pii-pairs")
+
+    def discloses(t: str) -> Column:
+        return F.log(F.lit(n) * F.col("et") / (F.col("e") * F.col(t))) >= F.lit(alpha) * F.log(F.lit(n) / F.col("e"))
+
+    pairs = written(pairs.join(entities, "entity").join(least, "term").filter(discloses("least")), "pii-pairs")
     if pairs.isEmpty():
         return pairs.select("entity", "term")
-    entities = near.select("_hash", "entity").distinct().groupBy("entity").agg(F.count("*").alias("e"))
     wanted = written(pairs.select("term").distinct(), "pii-terms")
     few = F.broadcast(wanted) if wanted.count() <= 100_000 else wanted
     words = _rows(docs).select("_hash", F.explode(F.array_distinct(F.regexp_extract_all(F.lower("_text"), F.lit(TERM), F.lit(0)))).alias("term"))
     terms = words.join(few, "term").distinct().groupBy("term").agg(F.count("*").alias("t"))
-    n = float(max(1, found.select("_hash").distinct().count()))
-    known = F.log(F.lit(n) * F.col("et") / (F.col("e") * F.col("t"))) >= F.lit(alpha) * F.log(F.lit(n) / F.col("e"))
-    return written(pairs.join(entities, "entity").join(terms, "term").filter(known).select("entity", "term"), "pii-disclosing")
+    return written(pairs.join(terms, "term").filter(discloses("t")).select("entity", "term"), "pii-disclosing")
 
 
 def _term_spans(docs: DataFrame, found: DataFrame, disclosing: DataFrame) -> DataFrame:
