@@ -68,8 +68,14 @@ def _tested(boxes: DataFrame, probes: DataFrame, need: int, routes: DataFrame |
         return state.select(*boxes.columns, (F.size("by") >= need).alias("out"))
     known = F.array_distinct(F.flatten(F.transform("stops", lambda s: s["routes"])))
     keys = ["probe_id", "level", "cell"]
-    state = state.select(*boxes.columns, "q", F.size("by").alias("n"), F.when(F.size("by") < need, F.array_except(known, "by")).alias("rest"))
+    # Any subset of the routes prunes soundly; so many at most are tried for a box.
+    rest = F.when(F.size("by") < need, F.slice(F.array_except(known, "by"), 1, 4 * need))
+    state = state.select(*boxes.columns, "q", F.size("by").alias("n"), rest.alias("rest"))
     pairs = state.select(*keys, "box", "q", F.explode("rest").alias("route_id")).join(routes, "route_id")
+    # A box whose corners are not all nearer to the route cannot be inside its space; the clipping sees the others only.
+    for x in ("box.x_lo", "box.x_hi"):
+        for y in ("box.y_lo", "box.y_hi"):
+            pairs = pairs.filter(G.in_route_space(F.col(x), F.col(y), F.col("route"), F.col("q")))
     more = filter_boxes(pairs).groupBy(*keys).agg(F.count("*").alias("more"))
     return state.join(more, keys, "left").select(*boxes.columns, (F.col("n") + F.coalesce("more", F.lit(0)) >= need).alias("out"))
 

@@ -156,9 +156,11 @@ def search(net: Network, src: int, dst: int, limit: int, objective: str = "max",
     return best and Plan(best.path, best.length, best.value, n)
 
 
-def vertex_omega(stops: StopIndex, endpoints: EndpointIndex, ks: tuple[int, ...] = (10,)) -> DataFrame:
-    """``(k, stop_id, transition_id, mask)``: each stop as a query of its own, all in one plan, for all k from one count."""
-    queries = stops.points().select(F.col("stop_id").alias("query_id"), F.lit(0).alias("q_idx"), "x_m", "y_m", F.lit(None).cast("bigint").alias("exclude_route_id"))
+def vertex_omega(stops: StopIndex, endpoints: EndpointIndex, ks: tuple[int, ...] = (10,), only: DataFrame | None = None) -> DataFrame:
+    """``(k, stop_id, transition_id, mask)``: each stop (or those of ``only(stop_id)``) as a query of its own, all in one plan, for
+    all k from one count."""
+    wanted = stops.points() if only is None else stops.points().join(only.select("stop_id").distinct(), "stop_id", "left_semi")
+    queries = wanted.select(F.col("stop_id").alias("query_id"), F.lit(0).alias("q_idx"), "x_m", "y_m", F.lit(None).cast("bigint").alias("exclude_route_id"))
     counts = result_counts(stops, endpoints, queries, max(ks), "framework")
     at = counts.withColumn("k", F.explode(F.array(*map(F.lit, ks)))).filter(F.col("nearer") < F.col("k"))
     return at.groupBy("k", F.col("query_id").alias("stop_id"), "transition_id").agg(F.bit_or(F.when(F.col("side") == "o", 1).otherwise(2)).alias("mask"))
