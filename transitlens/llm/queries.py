@@ -6,6 +6,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from . import oracles
 from .common import scratch_path
 from .jaccard_join import jaccard_components
 from .pii import personal_spans
@@ -70,4 +71,5 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    """Of the queries that SQL can express; the others are tested against brute force, a round trip or held-out accuracy."""
+    return {"op4_quality_rules": oracles.QUALITY_RULES, "op5_topk_search": oracles.TOPK_SEARCH, "op8_jaccard_join": oracles.JACCARD_JOIN, "op9_url_filters": oracles.url_filters()}
