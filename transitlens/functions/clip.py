@@ -53,17 +53,20 @@ def box_in_route_space(box: tuple[int, int, int, int], route: np.ndarray, query:
     return True
 
 
-def filter_boxes(pairs: DataFrame) -> DataFrame:
-    """Of ``pairs(probe_id, level, cell, box, route_id, route, q)`` those whose box is in the route's space, as
-    ``(probe_id, level, cell, route_id)``."""
+def with_inside(pairs: DataFrame) -> DataFrame:
+    """``pairs(probe_id, level, cell, box, n, maybe, route, q)`` with ``inside`` in place of the last three: whether the box is in the
+    route's space. Only pairs that ``maybe`` are clipped."""
 
     def points(a: list[dict]) -> np.ndarray:
         return np.array([(p["x_m"], p["y_m"]) for p in a], float)
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            rows = b.select(["box", "route", "q"]).to_pylist()
-            inside = [box_in_route_space(tuple(r["box"][c] for c in ("x_lo", "x_hi", "y_lo", "y_hi")), points(r["route"]), points(r["q"])) for r in rows]
-            yield b.select(["probe_id", "level", "cell", "route_id"]).filter(pa.array(inside, pa.bool_()))
+            inside = np.zeros(b.num_rows, bool)
+            at = np.flatnonzero(np.array(b.column("maybe").to_pylist(), bool))
+            for i, r in zip(at, b.take(pa.array(at)).select(["box", "route", "q"]).to_pylist(), strict=True):
+                inside[i] = box_in_route_space(tuple(r["box"][c] for c in ("x_lo", "x_hi", "y_lo", "y_hi")), points(r["route"]), points(r["q"]))
+            yield pa.RecordBatch.from_arrays([*(b.column(c) for c in ("probe_id", "level", "cell", "box", "n")), pa.array(inside)], names=["probe_id", "level", "cell", "box", "n", "inside"])
 
-    return pairs.select("probe_id", "level", "cell", "route_id", "box", "route", "q").mapInArrow(run, "probe_id long, level int, cell long, route_id long")
+    out = "probe_id long, level int, cell long, box struct<x_lo: long, x_hi: long, y_lo: long, y_hi: long>, n int, inside boolean"
+    return pairs.select("probe_id", "level", "cell", "box", "n", "maybe", "route", "q").mapInArrow(run, out)

@@ -9,7 +9,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions import geometry as G
-from ..functions.clip import filter_boxes
+from ..functions.clip import with_inside
 from ..plans.layout import StopIndex
 
 #: Stops that a probe prunes with at first, dealt to the eight directions around it; any subset gives right results.
@@ -67,17 +67,17 @@ def _tested(boxes: DataFrame, probes: DataFrame, need: int, routes: DataFrame |
     if routes is None:
         return state.select(*boxes.columns, (F.size("by") >= need).alias("out"))
     known = F.array_distinct(F.flatten(F.transform("stops", lambda s: s["routes"])))
-    keys = ["probe_id", "level", "cell"]
     # Any subset of the routes prunes soundly; so many at most are tried for a box.
     rest = F.when(F.size("by") < need, F.slice(F.array_except(known, "by"), 1, 4 * need))
-    state = state.select(*boxes.columns, "q", F.size("by").alias("n"), rest.alias("rest"))
-    pairs = state.select(*keys, "box", "q", F.explode("rest").alias("route_id")).join(routes, "route_id")
+    pairs = state.select(*boxes.columns, "q", F.size("by").alias("n"), F.explode_outer(rest).alias("route_id")).join(routes, "route_id", "left")
     # A box whose corners are not all nearer to the route cannot be inside its space; the clipping sees the others only.
+    maybe = F.col("route").isNotNull()
     for x in ("box.x_lo", "box.x_hi"):
         for y in ("box.y_lo", "box.y_hi"):
-            pairs = pairs.filter(G.in_route_space(F.col(x), F.col(y), F.col("route"), F.col("q")))
-    more = filter_boxes(pairs).groupBy(*keys).agg(F.count("*").alias("more"))
-    return state.join(more, keys, "left").select(*boxes.columns, (F.col("n") + F.coalesce("more", F.lit(0)) >= need).alias("out"))
+            maybe = maybe & G.in_route_space(F.col(x), F.col(y), F.col("route"), F.col("q"))
+    tried = with_inside(pairs.withColumn("maybe", F.coalesce(maybe, F.lit(False))))
+    out = F.max("n") + F.sum(F.col("inside").cast("int")) >= need
+    return tried.groupBy("probe_id", "level", "cell").agg(F.first("box").alias("box"), out.alias("out"))
 
 
 def descend(cells: DataFrame, probes: DataFrame, need: int, routes: DataFrame | None = None) -> tuple[DataFrame, DataFrame]:

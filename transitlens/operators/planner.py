@@ -107,8 +107,8 @@ def _beats(a: tuple, b: tuple, objective: str, dominance: str, simple: bool) ->
         fine = a[2] <= b[2]
     else:
         fine = a[2] >= b[2] and (not simple or set(a[1]) <= set(b[1]))
-    # Equal labels: the first path in order stays. Shorter ones need no tie rule.
-    return fine and (a[0] < b[0] or a[2] != b[2] or a[1] < b[1])
+    # Of equally long labels the first path in order stays, so that ties of whole paths end as enumeration ends them.
+    return fine and (a[0] < b[0] or a[1] < b[1])
 
 
 def search(net: Network, src: int, dst: int, limit: int, objective: str = "max", mode: str = "any", dominance: str = "contain", path_mode: str = "simple", bound: bool = True) -> Plan | None:
