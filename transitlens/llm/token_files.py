@@ -2,8 +2,8 @@
 
 A shard is one Arrow IPC stream file, uncompressed: batches of ``rows_per_batch`` sequences, each an ``input_ids`` list and an
 ``attention_mask`` list of exactly ``seq_len`` items. Documents lie end to end; only the last sequence of a shard is padded, with
-mask 0 there. Every batch but the last has the same number of rows, so sequence ``i`` of a memory-mapped shard is a slice of one
-batch's flat values: no copy, no parse. Beside each shard an index file (Arrow IPC too) holds a row per document: its id, the
+mask false there. Every batch but the last has the same number of rows, so sequence ``i`` of a memory-mapped shard is a slice of one
+batch's flat values: no copy, no parse; masks take a bit an item. Beside each shard an index file (Arrow IPC too) holds a row per document: its id, the
 first id's place in the shard and its length. Ids take 16 bits where the vocabulary allows, else 32.
 
 Writing is one range exchange by document id and one pass over its partitions. Each attempt of a task writes files under a name of
@@ -68,9 +68,15 @@ class ChunkEncoder:
         return out
 
 
+@lru_cache(maxsize=2)
+def encoder(path: str, wide: bool, end_id: int) -> ChunkEncoder:
+    """One for all tasks that a worker runs."""
+    return ChunkEncoder(path, wide, end_id)
+
+
 def sequence_schema(seq_len: int, wide: bool) -> pa.Schema:
     ids = pa.list_(pa.field("item", pa.uint32() if wide else pa.uint16(), nullable=False), seq_len)
-    mask = pa.list_(pa.field("item", pa.uint8(), nullable=False), seq_len)
+    mask = pa.list_(pa.field("item", pa.bool_(), nullable=False), seq_len)
     return pa.schema([pa.field("input_ids", ids, nullable=False), pa.field("attention_mask", mask, nullable=False)])
 
 
@@ -103,8 +109,7 @@ class ShardWriter:
             self.held, self.n_held = [flat[whole:]], flat.size - whole
 
     def _write(self, ids: np.ndarray, real: int) -> None:
-        mask = np.zeros(ids.size, np.uint8)
-        mask[:real] = 1
+        mask = np.arange(ids.size) < real
         lists = [pa.FixedSizeListArray.from_arrays(pa.array(v), type=f.type) for v, f in zip((ids, mask), self.schema, strict=True)]
         self.out.write_batch(pa.RecordBatch.from_arrays(lists, schema=self.schema))
         self.n_sequences += ids.size // self.seq_len
@@ -128,7 +133,7 @@ def write_token_files(docs: DataFrame, tokenizer_path: str, folder: str, end_id:
     rows = rows.repartitionByRange(*keys).sortWithinPartitions(*keys).select("doc_id", "text")
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        own, out, name = ChunkEncoder(tokenizer_path, wide, end_id), None, uuid.uuid4().hex
+        own, out, name = encoder(tokenizer_path, wide, end_id), None, uuid.uuid4().hex
         shard = TaskContext.get().partitionId()
         for b in batches:
             for lo, hi, texts in slices(b.column(1)):
@@ -163,21 +168,21 @@ class Shard:
     def __len__(self) -> int:
         return sum(b.num_rows for b in self.batches)
 
-    def _flat(self, batch: int, column: int) -> np.ndarray:
-        return self.batches[batch].column(column).values.to_numpy(zero_copy_only=True)
+    def _flat(self, batch: int) -> np.ndarray:
+        return self.batches[batch].column(0).values.to_numpy(zero_copy_only=True)
 
-    def sequence(self, i: int) -> tuple[np.ndarray, np.ndarray]:
-        """Ids and mask of sequence ``i``: views into the file."""
+    def sequence(self, i: int) -> tuple[np.ndarray, pa.BooleanArray]:
+        """Ids and mask (bits) of sequence ``i``: views into the file."""
         b, r = divmod(i, self.per_batch)
-        at = slice(r * self.seq_len, (r + 1) * self.seq_len)
-        return self._flat(b, 0)[at], self._flat(b, 1)[at]
+        at = r * self.seq_len
+        return self._flat(b)[at : at + self.seq_len], self.batches[b].column(1).values.slice(at, self.seq_len)
 
     def ids(self, at: int, n: int) -> Iterator[np.ndarray]:
         """The ids from place ``at``, as views, one for each batch touched."""
         per = self.per_batch * self.seq_len
         while n > 0:
             b, r = divmod(at, per)
-            got = self._flat(b, 0)[r : r + n]
+            got = self._flat(b)[r : r + n]
             yield got
             at += got.size
             n -= got.size
