@@ -15,6 +15,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..plans.layout import EndpointIndex, StopIndex
+from ..plans.shared import written
 from .reverse import result_counts, reverse_routes
 
 Points = frozenset  # of (transition, side)
@@ -199,6 +200,7 @@ def plan_routes(queries: DataFrame, edges: DataFrame, stops: DataFrame, omega: D
         raise ValueError((method, objective, mode))
     cut = corridors(queries, edges, stops)
     inner = cut.select("query_id", F.col("u").alias("stop_id")).distinct().join(omega, "stop_id")
+    inner = inner.select(F.col("query_id").alias("asked"), "stop_id", "transition_id", "mask")
 
     def run(e: pd.DataFrame, w: pd.DataFrame) -> pd.DataFrame:
         if e.empty:
@@ -222,7 +224,7 @@ def plan_routes(queries: DataFrame, edges: DataFrame, stops: DataFrame, omega: D
             return pd.DataFrame(columns=["query_id", "path", "length_m", "n_transitions", "n_stops", "labels"])
         return pd.DataFrame([(q, "-".join(map(str, plan.path)), plan.length, plan.value, len(plan.path), plan.labels)], columns=["query_id", "path", "length_m", "n_transitions", "n_stops", "labels"])
 
-    return cut.groupBy("query_id").cogroup(inner.groupBy("query_id")).applyInPandas(run, RESULT)
+    return cut.groupBy("query_id").cogroup(inner.groupBy("asked")).applyInPandas(run, RESULT)
 
 
 def candidate_paths(queries: DataFrame, edges: DataFrame, stops: DataFrame) -> DataFrame:
@@ -241,7 +243,7 @@ def candidate_paths(queries: DataFrame, edges: DataFrame, stops: DataFrame) -> D
 def plan_by_queries(queries: DataFrame, edges: DataFrame, index: StopIndex, endpoints: EndpointIndex, k: int, objective: str = "max", mode: str = "any") -> DataFrame:
     """The plain baseline: every candidate path is a reverse query of its own, all in one batch; then the best of each query."""
     stops = index.points().select("stop_id", "x_m", "y_m")
-    paths = candidate_paths(queries, edges, stops).withColumn("cand", F.col("query_id") * 1_000_000 + F.col("nth")).persist()
+    paths = written(candidate_paths(queries, edges, stops).withColumn("cand", F.col("query_id") * 1_000_000 + F.col("nth")), "candidates")
     points = paths.select("cand", F.posexplode("path").alias("q_idx", "stop_id")).join(stops, "stop_id")
     asked = points.select(F.col("cand").alias("query_id"), "q_idx", "x_m", "y_m", F.lit(None).cast("bigint").alias("exclude_route_id"))
     found = reverse_routes(index, endpoints, asked, k, mode, method="framework").groupBy(F.col("query_id").alias("cand")).agg(F.count("*").alias("n_transitions"))

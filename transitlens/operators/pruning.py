@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from ..functions import geometry as G
 from ..plans.layout import EndpointIndex
+from ..plans.shared import written
 from .filtering import descend, point_box, routes_around
 
 
@@ -17,8 +18,9 @@ def prune_endpoints(index: EndpointIndex, probes: DataFrame, need: int, routes:
     of those. A probe of one query point keeps the endpoints that have it as their nearest query point: the others are decided there.
     """
     live, _ = descend(index.cells, probes, need, routes)
+    live = written(live.select("probe_id", "cell"), "live-cells")
     sides = F.broadcast(probes.select("probe_id", "q_idx", "q", "all_q", "stops"))
-    found = index.points.join(F.broadcast(live.select("probe_id", "cell")), "cell").join(sides, "probe_id")
+    found = index.points.join(F.broadcast(live), "cell").join(sides, "probe_id")
     x, y = F.col("x_m"), F.col("y_m")
     near = F.array_min(F.transform("all_q", lambda p: F.struct(G.sq_dist(x, y, p["x_m"], p["y_m"]).alias("d"), p["q_idx"].alias("i"))))
     found = found.withColumn("near", near).filter(F.col("q_idx").isNull() | (F.col("q_idx") == F.col("near.i")))

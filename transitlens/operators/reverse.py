@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from ..functions import geometry as G
 from ..plans.layout import EndpointIndex, StopIndex, build_endpoint_index, build_stop_index, stop_routes
+from ..plans.shared import written
 from ..schema import QUERY_POINTS
 from .filtering import SEEDS, choose_filter_stops, route_shapes, seed_stops, with_stops
 from .pruning import prune_endpoints
@@ -81,7 +82,7 @@ def result_counts(stops: StopIndex, endpoints: EndpointIndex, queries: DataFrame
     Any subset of the stops prunes soundly, and what a probe broadcasts must stay small: by default its seeds prune, a fixed number
     around it. ``descend_routes`` adds the stops that the descent through the route cells leaves, nearest first, four times as many.
     """
-    probes = probes_of(queries, method == "split").persist()
+    probes = written(probes_of(queries, method == "split"), "probe-points")
     whole = method == "cell"
     chosen = seed_stops(stops, probes, order, seeds, credit)
     if descend_routes:
@@ -89,10 +90,10 @@ def result_counts(stops: StopIndex, endpoints: EndpointIndex, queries: DataFrame
         near = left_over.join(F.broadcast(probes.select("probe_id", "q")), "probe_id").withColumn("_d", G.nearest_sq(F.col("x_m"), F.col("y_m"), F.col("q")))
         nth = F.row_number().over(Window.partitionBy("probe_id").orderBy("_d", "stop_id"))
         chosen = near.withColumn("_n", nth).filter(F.col("_n") <= 4 * seeds).select(chosen.columns).unionByName(chosen).dropDuplicates(["probe_id", "stop_id"])
-    sides = with_stops(probes, chosen).persist()
+    sides = written(with_stops(probes, chosen), "probes")
     left = prune_endpoints(endpoints, sides, need, route_shapes(stops) if whole else None, points)
-    counts = nearer_counts(left, stops, probes)
-    return counts.filter(F.col("nearer") < need).join(F.broadcast(probes.select("probe_id", "query_id")), "probe_id").select("query_id", "transition_id", "side", "nearer")
+    counts = nearer_counts(left, stops, sides)
+    return counts.filter(F.col("nearer") < need).join(F.broadcast(sides.select("probe_id", "query_id")), "probe_id").select("query_id", "transition_id", "side", "nearer")
 
 
 def reverse_routes(route_points: DataFrame | StopIndex, endpoints: DataFrame | EndpointIndex, queries: DataFrame, k: int, mode: str = "any", rank_rule: str = "exact", method: str = "split", **options) -> DataFrame:

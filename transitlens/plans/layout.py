@@ -13,6 +13,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.geometry import DESCENT, LEVELS, cell_at
+from .shared import written
 
 
 def _box() -> Column:
@@ -41,7 +42,7 @@ def cell_routes(stops: DataFrame, levels: tuple[int, ...] = LEVELS) -> DataFrame
 
 @dataclass(frozen=True)
 class StopIndex:
-    """The route side: ``stops`` (a row per stop and level: coordinates, routes, level, cell) and ``cells``."""
+    """The route side, as written tables so that plans over it stay short: ``stops`` (a row per stop and level: coordinates, routes, level, cell) and ``cells``."""
 
     stops: DataFrame
     cells: DataFrame
@@ -53,7 +54,8 @@ class StopIndex:
 
 def build_stop_index(route_points: DataFrame) -> StopIndex:
     stops = stop_routes(route_points)
-    return StopIndex(_by_level(stops, LEVELS).persist(), cell_routes(stops).persist())
+    stops = written(stops, "stops")
+    return StopIndex(written(_by_level(stops, LEVELS), "stop-levels"), written(cell_routes(stops), "stop-cells"))
 
 
 @dataclass(frozen=True)
@@ -71,7 +73,7 @@ def endpoint_cells(endpoints: DataFrame, levels: tuple[int, ...] = DESCENT) -> D
 def build_endpoint_index(endpoints: DataFrame, cells: DataFrame | None = None) -> EndpointIndex:
     """An index over ``endpoints``; ``cells`` may be a stored directory."""
     points = endpoints if "cell" in endpoints.columns else endpoints.withColumn("cell", cell_at(F.col("x_m"), F.col("y_m"), DESCENT[-1]))
-    return EndpointIndex(points, (endpoint_cells(endpoints) if cells is None else cells).persist())
+    return EndpointIndex(points, written(endpoint_cells(endpoints), "endpoint-cells") if cells is None else cells)
 
 
 def write_endpoints(endpoints: DataFrame, path: str, mode: str = "errorifexists") -> None:

@@ -40,11 +40,9 @@ def every_fourth(*routes: int) -> str:
 
 
 #: For k = 1 a stop wins the endpoints it is nearest to, ties included.
-NEAREST = """near AS (
-  SELECT transition_id, side, stop_id, d FROM (
-    SELECT ep.transition_id, ep.side, s.stop_id, (ep.x - s.x) * (ep.x - s.x) + (ep.y - s.y) * (ep.y - s.y) AS d,
-           min((ep.x - s.x) * (ep.x - s.x) + (ep.y - s.y) * (ep.y - s.y)) OVER (PARTITION BY ep.transition_id, ep.side) AS least
-    FROM ep CROSS JOIN st s) WHERE d = least)"""
+NEAREST = """least AS (
+  SELECT ep.transition_id, ep.side, ep.x, ep.y, min((ep.x - s.x) * (ep.x - s.x) + (ep.y - s.y) * (ep.y - s.y)) AS d FROM ep CROSS JOIN st s GROUP BY ALL),
+near AS (SELECT l.transition_id, l.side, s.stop_id FROM least l JOIN st s ON (l.x - s.x) * (l.x - s.x) + (l.y - s.y) * (l.y - s.y) <= l.d)"""
 SEGMENTS = "seg AS (SELECT route_id, seq, stop_id AS src, lead(stop_id) OVER w AS dst, CAST(round(sqrt(CAST((x_m - lead(x_m) OVER w) * (x_m - lead(x_m) OVER w) + (y_m - lead(y_m) OVER w) * (y_m - lead(y_m) OVER w) AS DOUBLE))) AS BIGINT) AS n FROM rp WINDOW w AS (PARTITION BY route_id ORDER BY seq))"
 EDGES = "edges AS (SELECT src, dst, min(n) AS length_m FROM (SELECT src, dst, n FROM seg WHERE dst IS NOT NULL UNION ALL SELECT dst, src, n FROM seg WHERE dst IS NOT NULL) WHERE src <> dst GROUP BY 1, 2)"
 
@@ -63,12 +61,12 @@ pq AS (
   SELECT a.route_id AS query_id, a.stop_id AS src, b.stop_id AS dst, (SELECT sum(n) FROM seg WHERE seg.route_id = a.route_id AND seq < {stops}) * {percent} // 100 AS lim
   FROM rp a JOIN rp b ON a.route_id = b.route_id AND a.seq = 1 AND b.seq = {stops} WHERE a.route_id IN ({', '.join(map(str, routes))})),
 walk AS (
-  SELECT query_id, src AS at, dst, CAST(lim AS BIGINT) AS lim, CAST(0 AS BIGINT) AS len, [src] AS path FROM pq
+  SELECT query_id, src AS here, dst, CAST(lim AS BIGINT) AS lim, CAST(0 AS BIGINT) AS len, [src] AS path FROM pq
   UNION ALL
-  SELECT w.query_id, e.dst, w.dst, w.lim, w.len + e.length_m, list_append(w.path, e.dst) FROM walk w JOIN edges e ON e.src = w.at
+  SELECT w.query_id, e.dst, w.dst, w.lim, w.len + e.length_m, list_append(w.path, e.dst) FROM walk w JOIN edges e ON e.src = w.here
   JOIN st a ON a.stop_id = e.dst JOIN st b ON b.stop_id = w.dst
-  WHERE w.at <> w.dst AND NOT list_contains(w.path, e.dst) AND w.len + e.length_m + sqrt(CAST((a.x - b.x) * (a.x - b.x) + (a.y - b.y) * (a.y - b.y) AS DOUBLE)) * 0.99 - 16 <= w.lim),
-done AS (SELECT query_id, path, len, row_number() OVER (ORDER BY query_id, len, path) AS id FROM walk WHERE at = dst AND len <= lim),
+  WHERE w.here <> w.dst AND NOT list_contains(w.path, e.dst) AND w.len + e.length_m + sqrt(CAST((a.x - b.x) * (a.x - b.x) + (a.y - b.y) * (a.y - b.y) AS DOUBLE)) * 0.99 - 16 <= w.lim),
+done AS (SELECT query_id, path, len, row_number() OVER (ORDER BY query_id, len, path) AS id FROM walk WHERE here = dst AND len <= lim),
 masks AS (SELECT id, transition_id, bit_or(side) AS m FROM (SELECT id, unnest(path) AS stop_id FROM done) JOIN near USING (stop_id) GROUP BY 1, 2),
 rated AS (SELECT id, {value} AS v FROM masks GROUP BY 1),
 ranked AS (SELECT d.*, coalesce(v, 0) AS v, row_number() OVER (PARTITION BY query_id ORDER BY coalesce(v, 0) {order}, len, path) AS r FROM done d LEFT JOIN rated USING (id))

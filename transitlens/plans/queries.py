@@ -17,6 +17,7 @@ from ..streaming import transitions as stream
 from . import metrics
 from . import oracles as O
 from .layout import build_endpoint_index, build_stop_index, cell_routes, endpoint_cells, stop_routes
+from .shared import written
 from .workloads import planning_queries, route_queries
 
 #: The routes that serve as queries, and the planning queries' stops and limit.
@@ -43,8 +44,8 @@ def _query(spark: SparkSession, d: str, routes: tuple[int, ...] = (ROUTE,), rp:
 
 def _reverse(method: str, mode: str, k: int = 10, routes: tuple[int, ...] = (ROUTE,), rule: str = "exact") -> Callable[[SparkSession, str], DataFrame]:
     def run(spark: SparkSession, d: str) -> DataFrame:
-        rp = X.route_points(spark, d).persist()
-        return reverse_routes(rp, _points(spark, d), _query(spark, d, routes, rp), k, mode, rule, method)
+        rp = written(X.route_points(spark, d), "route-points")
+        return reverse_routes(rp, written(_points(spark, d), "endpoints"), _query(spark, d, routes, rp), k, mode, rule, method)
 
     return run
 
@@ -77,9 +78,9 @@ _add(
 
 def _filter_stops_sound(spark: SparkSession, d: str) -> DataFrame:
     """Stops of the filter set, of pruned cells and pruned by themselves: together each stop once."""
-    rp = X.route_points(spark, d)
+    rp = written(X.route_points(spark, d), "route-points")
     index = build_stop_index(rp)
-    probes = probes_of(_query(spark, d), False)
+    probes = written(probes_of(_query(spark, d, rp=rp), False), "probe-points")
     chosen, cells, points = choose_filter_stops(index, probes, 10)
     stops = index.points()
     in_cells = [stops.withColumn("cell", G.cell_at(F.col("x_m"), F.col("y_m"), s)).join(cells.filter(F.col("level") == s).select("cell"), "cell", "left_semi").filter(F.size(F.array_remove("routes", F.lit(ROUTE))) > 0).select("stop_id") for s in G.DESCENT]
@@ -126,8 +127,8 @@ _add("shortest_to", _shortest, O.shortest(ROUTE, 6000))
 
 
 def _indexes(spark: SparkSession, d: str) -> tuple:
-    rp = X.route_points(spark, d).persist()
-    return rp, build_stop_index(rp), build_endpoint_index(_points(spark, d).persist())
+    rp = written(X.route_points(spark, d), "route-points")
+    return rp, build_stop_index(rp), build_endpoint_index(written(_points(spark, d), "endpoints"))
 
 
 def _vertex_omega(spark: SparkSession, d: str) -> DataFrame:
@@ -150,13 +151,13 @@ _add("path_omega", _path_omega, O.reverse(f"SELECT route_id AS query_id, x_m AS
 def _plan(method: str, objective: str, mode: str, dominance: str = "contain") -> Callable[[SparkSession, str], DataFrame]:
     def run(spark: SparkSession, d: str) -> DataFrame:
         rp, stops, points = _indexes(spark, d)
-        asked = planning_queries(rp.filter(F.col("route_id").isin(*BATCH)), STOPS, PERCENT).persist()
-        edges = graph.build(rp).persist()
+        asked = written(planning_queries(rp.filter(F.col("route_id").isin(*BATCH)), STOPS, PERCENT), "planning")
+        edges = written(graph.build(rp), "edges")
         if method == "enumerate":
             return planner.plan_by_queries(asked, edges, stops, points, 1, objective, mode).drop("labels")
         where = stops.points().select("stop_id", "x_m", "y_m")
         inside = planner.corridors(asked, edges, where).select(F.col("u").alias("stop_id"))
-        omega = planner.vertex_omega(stops, points, (1,), inside)
+        omega = written(planner.vertex_omega(stops, points, (1,), inside), "omega")
         return planner.plan_routes(asked, edges, where, omega, objective, mode, method, dominance).drop("labels")
 
     return run
@@ -174,10 +175,10 @@ def _four_routes(spark: SparkSession, d: str) -> DataFrame:
     """Original, shortest, max and min route between the ends of a route's first stops."""
     rp, stops, points = _indexes(spark, d)
     own = rp.filter((F.col("route_id") == ROUTE) & (F.col("seq") <= STOPS))
-    asked = planning_queries(rp.filter(F.col("route_id") == ROUTE), STOPS, PERCENT).persist()
-    edges, where = graph.build(rp).persist(), stops.points().select("stop_id", "x_m", "y_m")
+    asked = written(planning_queries(rp.filter(F.col("route_id") == ROUTE), STOPS, PERCENT), "planning")
+    edges, where = written(graph.build(rp), "edges"), stops.points().select("stop_id", "x_m", "y_m")
     inside = planner.corridors(asked, edges, where).select(F.col("u").alias("stop_id")).union(own.select("stop_id"))
-    omega = planner.vertex_omega(stops, points, (1,), inside).persist()
+    omega = written(planner.vertex_omega(stops, points, (1,), inside), "omega")
     served = planner.path_omega(own.select(F.col("route_id").alias("query_id"), "stop_id"), omega).agg(F.count("*").alias("n_transitions"))
     parts = [graph.path_length(own).crossJoin(served).select(F.lit("original").alias("kind"), "length_m", "n_transitions", "n_stops")]
     for kind, method, objective in (("shortest", "shortest", "max"), ("max", "search", "max"), ("min", "search", "min")):
