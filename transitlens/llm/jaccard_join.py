@@ -1,18 +1,26 @@
 """Documents whose 5-word shingle sets have a Jaccard similarity of at least 0.8, joined by parity sketches.
 
-A document's shingles are hashed; a hash picks a block and toggles one of its 64 bits. Two sketches of the same number of blocks
-differ in at most as many blocks, and bits, as there are shingles in one set only. Sets of sizes a and b that link differ by at most
-``(a + b) * (1 - s) / (1 + s)`` shingles, D say, so of m blocks at least m - D are equal: documents meet in a shared block value.
+A document's shingles are hashed; a hash picks a block and toggles one of its bits. Two sketches of the same number of blocks
+differ in at most as many blocks, and bits, as there are shingles in one set only. A block has a bit for every hash there is, so that
+blocks of few shingles do not agree by chance; the XOR of the hashes whose bits are set stands for them. Sets of sizes a and b that
+link differ by at most ``(a + b) * (1 - s) / (1 + s)`` shingles, D say, so of m blocks at least m - D are equal: documents meet in a
+shared block value.
 
 Sizes fall into bands (powers of two), each with a number of blocks of its own, somewhat above D; a document also takes part in the
-next band if a partner there can be similar enough. Block values with many bits set are rare, empty ones are common. In that order,
-the same for all documents, the first D + 1 of a document's m values suffice: two documents with m - D common values share one of
-those (prefix filtering).
+next band if a partner there can be similar enough. Block values with many rare shingles are rare, empty ones are common. In that
+order, the same for all documents, the first D + 1 of a document's m values suffice: two documents with m - D common values share one
+of those (prefix filtering). Which shingles count as common is a hint from a bounded sample of documents: any hint gives the same
+links, a good one keeps documents that share a passage and no more from meeting.
+
+Each document also has one parity sketch of its whole set, a few bits for each shingle it may differ by. Documents that met are
+dropped where these sketches differ in more bits than D; few pairs that do not link get past that.
 
 Equal sets are one class from the start, so copies cost a row each and nothing more. Within a group of equal block values no pairs
-are listed: members meet the smallest member first, one pair for each document, and verified links form components. Then the
-group's other members meet it, and last each other, only if still in different components: a pair inside one component changes no
-result. Every pair that could link two components is compared, on whole shingle sets.
+are listed: members meet the smallest member, one pair for each member, and verified links form components. What is left are members
+of one group in different components; a pair inside one component changes no result. In groups of up to ``GROUP`` members these meet
+each other. For larger groups documents carry a few more values than D + 1: linked documents then share several, so a document with
+fewer values in large groups than that meets each of its partners in a small one, and only the others meet in large groups. Every
+pair that could link two components is compared, on whole shingle sets.
 
 Defined cases: null or empty texts, and texts without words, have no shingles and link with nothing; fewer than five words are one
 shingle; a row that repeats an id is a document of its own, linked by its own text; an empty table gives an empty table; other
@@ -29,7 +37,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import drop_written, slices, text_or_empty, written
+from .common import slices, text_or_empty, written
 from .components import connected_components
 
 N = 5
@@ -37,6 +45,10 @@ N = 5
 PERCENT = 80
 #: Blocks beyond D + 1, as a share of D: room to leave out common block values.
 SPARE = 0.3
+#: Values beyond D that a document carries, and the members up to which all of a group's components meet.
+EXTRA, GROUP = 4, 64
+#: Documents in the sample that tells common shingles, and how many of them must hold one.
+HINT_DOCS, HINT_LEAST = 30_000, 3
 #: A table of ids of at most so many rows is broadcast; above, Spark shuffles.
 BROADCAST_IDS = 400_000
 
@@ -58,8 +70,9 @@ class _Hashes(dict):
 class Shingler:
     """Shingle hashes and sketch keys of texts; one for each task."""
 
-    def __init__(self, n: int = N, percent: int = PERCENT, most_words: int = 500_000):
+    def __init__(self, n: int = N, percent: int = PERCENT, common: np.ndarray | None = None, most_words: int = 500_000):
         self.n, self.percent, self.most_words, self.hashes = n, percent, most_words, _Hashes()
+        self.common = np.append(np.sort(common), np.uint64(2**64 - 1)) if common is not None and common.size else None  # of hashes
 
     def shingles(self, text: str) -> np.ndarray:
         """Sorted distinct hashes of the text's shingles."""
@@ -80,53 +93,96 @@ class Shingler:
         """The largest symmetric difference of linked sets of these sizes."""
         return (a + b) * (100 - self.percent) // (100 + self.percent)
 
-    def keys(self, h: np.ndarray) -> np.ndarray:
-        """The block values, hashed with band and block, by which a set's partners find it."""
+    def keys(self, h: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """The block values, hashed with band and block, by which a set's partners find it, and the least number of them that
+        linked documents share."""
         a = h.size
         if a == 0:
-            return h
+            return h, np.zeros(0, np.int32)
         band = a.bit_length() - 1
         found = [self._keys(h, band)]
         if a * 100 >= self.percent << (band + 1):
             found.append(self._keys(h, band + 1))
-        return np.concatenate(found)
+        return np.concatenate([k for k, _ in found]), np.concatenate([np.full(k.size, c, np.int32) for k, c in found])
 
-    def _keys(self, h: np.ndarray, band: int) -> np.ndarray:
+    def _keys(self, h: np.ndarray, band: int) -> tuple[np.ndarray, int]:
         a, top = h.size, (2 << band) - 1
         apart = self.most_apart(a, min(a * 100 // self.percent, top))
         if apart == 0:
-            return h[:0]  # only an equal set links
+            return h[:0], 1  # only an equal set links
         most = self.most_apart(top, top)
         blocks = most + 1 + int(np.ceil(most * SPARE))
         block = ((h >> np.uint64(32)) * np.uint64(blocks) >> np.uint64(32)).astype(np.int64)
         start = np.flatnonzero(np.append(True, block[1:] != block[:-1]))
         value = np.zeros(blocks, np.uint64)
-        value[block[start]] = np.bitwise_xor.reduceat(np.uint64(1) << (h & np.uint64(63)), start)
-        key = _mixed(_mixed(value + _MIX[0]) ^ (np.arange(blocks, dtype=np.uint64) << np.uint64(8) | np.uint64(band)))
-        order = (np.uint64(64) - np.bitwise_count(value).astype(np.uint64)) << np.uint64(57) | key >> np.uint64(7)
-        return key[np.argsort(order)[: apart + 1]]
+        # A block's bits are as many as there are hashes: few are set, and the XOR of those hashes stands for them.
+        value[block[start]] = np.bitwise_xor.reduceat(_mixed(h), start)
+        own = block if self.common is None else block[self.common[np.searchsorted(self.common, h)] != h]
+        rare = np.minimum(np.bincount(own, minlength=blocks), 63).astype(np.uint64)
+        # A block of the same shingles has as many rare ones, so their number may be part of the key and of the order.
+        key = _mixed(_mixed(value + rare * _MIX[0]) ^ (np.arange(blocks, dtype=np.uint64) << np.uint64(8) | np.uint64(band)))
+        order = (np.uint64(63) - rare) << np.uint64(58) | key >> np.uint64(6)
+        shared = min(EXTRA, blocks - most)  # at least so many of the values below, for any two sizes of the band
+        return key[np.argsort(order)[: apart + shared]], shared
+
+    def sketch(self, h: np.ndarray) -> np.ndarray:
+        """The parity sketch of a whole set, in a power of two of 64-bit words; folding its halves gives the next smaller one."""
+        bits = max(64, 2 << (max(1, h.size).bit_length() - 1))
+        odd = np.bincount((h >> np.uint64(6) & np.uint64(bits - 1)).astype(np.int64), minlength=bits) & 1
+        return np.packbits(odd.astype(np.uint8)).view(np.int64)
+
+
+def _lists(parts: list[np.ndarray], kind: type) -> pa.ListArray:
+    ends = np.cumsum([0, *map(len, parts)]).astype(np.int32)
+    return pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(parts).view(kind)))
+
+
+def _print(h: np.ndarray) -> np.ndarray:
+    return np.frombuffer(xxhash.xxh3_128_digest(h.tobytes()), "<i8")
 
 
-def _sketches(rows: DataFrame, n: int, percent: int) -> DataFrame:
-    """``rows(doc_id, text)`` to ``(doc_id, n_shingles, fp1, fp2, keys)``; the fingerprint is a 128-bit hash of the set."""
+def _common_shingles(rows: DataFrame, n: int, percent: int) -> np.ndarray:
+    """Hashes of shingles that several documents of a bounded sample (by a hash of the id) hold."""
+    share = min(1.0, HINT_DOCS / max(1, rows.count()))
+    some = rows.filter(F.pmod(F.xxhash64("doc_id"), F.lit(1 << 20)) < int(share * (1 << 20)))
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own = Shingler(n, percent)
         for b in batches:
-            for lo, hi, texts in slices(b.column(1)):
-                size, one, two, keys = [], [], [], []
-                for t in texts:
-                    h = own.shingles(t)
-                    size.append(h.size)
-                    d = np.frombuffer(xxhash.xxh3_128_digest(h.tobytes()), "<i8")
-                    one.append(d[0])
-                    two.append(d[1])
-                    keys.append(own.keys(h).view(np.int64))
-                ends = np.cumsum([0, *map(len, keys)]).astype(np.int32)
-                lists = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(keys)))
-                yield pa.RecordBatch.from_arrays([b.column(0).slice(lo, hi - lo), pa.array(size, pa.int64()), pa.array(one, pa.int64()), pa.array(two, pa.int64()), lists], names=["doc_id", "n_shingles", "fp1", "fp2", "keys"])
+            for _, _, texts in slices(b.column(1)):
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate([own.shingles(t) for t in texts]).view(np.int64))], names=["h"])
+
+    counts = some.mapInArrow(run, "h long").groupBy("h").agg(F.count("*").alias("n")).filter(F.col("n") >= HINT_LEAST)
+    return counts.select("h").toPandas()["h"].to_numpy(np.int64).view(np.uint64)
+
 
-    return rows.mapInArrow(run, "doc_id long, n_shingles long, fp1 long, fp2 long, keys array<long>")
+def _sketches(rows: DataFrame, n: int, percent: int, common: np.ndarray) -> DataFrame:
+    """``rows(doc_id, text)`` to ``(doc_id, n_shingles, fp1, fp2, keys, shared, sketch)``; the fingerprint is a 128-bit hash of the
+    set."""
+
+    held = rows.sparkSession.sparkContext.broadcast(common)
+
+    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        own = Shingler(n, percent, held.value)
+        for b in batches:
+            for lo, hi, texts in slices(b.column(1)):
+                sets = [own.shingles(t) for t in texts]
+                prints = np.array([_print(h) for h in sets])
+                keys = [own.keys(h) for h in sets]
+                yield pa.RecordBatch.from_arrays(
+                    [
+                        b.column(0).slice(lo, hi - lo),
+                        pa.array([h.size for h in sets], pa.int64()),
+                        pa.array(np.ascontiguousarray(prints[:, 0])),
+                        pa.array(np.ascontiguousarray(prints[:, 1])),
+                        _lists([k for k, _ in keys], np.int64),
+                        _lists([c for _, c in keys], np.int32),
+                        _lists([own.sketch(h) for h in sets], np.int64),
+                    ],
+                    names=["doc_id", "n_shingles", "fp1", "fp2", "keys", "shared", "sketch"],
+                )
+
+    return rows.mapInArrow(run, "doc_id long, n_shingles long, fp1 long, fp2 long, keys array<long>, shared array<int>, sketch array<long>")
 
 
 def _sets(rows: DataFrame, n: int, percent: int) -> DataFrame:
@@ -135,12 +191,10 @@ def _sets(rows: DataFrame, n: int, percent: int) -> DataFrame:
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own = Shingler(n, percent)
         for b in batches:
-            for lo, hi, texts in slices(b.column(1)):
+            for _, _, texts in slices(b.column(1)):
                 sets = [own.shingles(t) for t in texts]
-                prints = np.array([np.frombuffer(xxhash.xxh3_128_digest(h.tobytes()), "<i8") for h in sets]).reshape(-1, 2)
-                ends = np.cumsum([0, *map(len, sets)]).astype(np.int32)
-                lists = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(sets).view(np.int64)))
-                yield pa.RecordBatch.from_arrays([pa.array(np.ascontiguousarray(prints[:, 0])), pa.array(np.ascontiguousarray(prints[:, 1])), lists], names=["fp1", "fp2", "shingles"])
+                prints = np.array([_print(h) for h in sets])
+                yield pa.RecordBatch.from_arrays([pa.array(np.ascontiguousarray(prints[:, 0])), pa.array(np.ascontiguousarray(prints[:, 1])), _lists(sets, np.int64)], names=["fp1", "fp2", "shingles"])
 
     return rows.mapInArrow(run, "fp1 long, fp2 long, shingles array<long>")
 
@@ -149,13 +203,43 @@ def _can_link(a: Column, b: Column, percent: int) -> Column:
     return (100 * a >= percent * b) & (100 * b >= percent * a)
 
 
-def _verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """Those of ``pairs(u, v)`` whose sets link; written."""
+def _bits_apart(a: Column, b: Column) -> Column:
+    """Hamming distance of two sketches; the longer one, of the next band, is folded."""
+
+    def folded(x: Column, other: Column) -> Column:
+        half = F.floor(F.size(x) / 2).cast("int")
+        return F.when(F.size(x) > F.size(other), F.zip_with(F.slice(x, F.lit(1), half), F.slice(x, half + 1, half), lambda p, q: p.bitwiseXOR(q))).otherwise(x)
+
+    return F.aggregate(F.zip_with(folded(a, b), folded(b, a), lambda p, q: F.bit_count(p.bitwiseXOR(q))), F.lit(0), lambda acc, x: acc + x)
+
+
+def _near(pairs: DataFrame, nodes: DataFrame, percent: int) -> DataFrame:
+    """Those of ``pairs(u, v)`` whose sizes and sketches allow a link, from ``nodes(node, size, sketch)``; written."""
+    for end in "uv":
+        pairs = pairs.join(nodes.select(F.col("node").alias(end), F.col("size").alias(f"n{end}"), F.col("sketch").alias(f"s{end}")), end)
+    most = F.floor((F.col("nu") + F.col("nv")) * (100 - percent) / (100 + percent) + 1e-9)
+    return written(pairs.filter(_can_link(F.col("nu"), F.col("nv"), percent) & (_bits_apart(F.col("su"), F.col("sv")) <= most)).select("u", "v"), "jaccard-near")
+
+
+def _verified(pairs: DataFrame, docs: DataFrame, classes: DataFrame, n: int, percent: int) -> DataFrame:
+    """Those of ``pairs(u, v)``, a written table, whose sets link; written. Texts are read of the documents in pairs only."""
+    if pairs.isEmpty():
+        return pairs
+    ends = pairs.select(F.col("u").alias("node")).union(pairs.select("v")).distinct()
+    ids = written(ends.join(classes, "node").select("node", "low", "fp1", "fp2"), "jaccard-ends")
+    count = ids.count()
+    few = F.broadcast(ids) if count <= BROADCAST_IDS else ids
+    low = few.select(F.col("low").alias("_low")).distinct()
+    texts = docs.join(F.broadcast(low) if count <= BROADCAST_IDS else low, docs["doc_id"].eqNullSafe(low["_low"]), "left_semi")
+    sets = written(_sets(texts, n, percent).join(few, ["fp1", "fp2"]).select("node", "shingles"), "jaccard-sets")
+    if sets.count() > count:  # rows that repeat both id and text
+        sets = sets.dropDuplicates(["node"])
     left, right = (sets.select(F.col("node").alias(x), F.col("shingles").alias(f"s{x}")) for x in "uv")
     both = pairs.join(left, "u").join(right, "v")
     common = F.size(F.array_intersect("su", "sv"))
     linked = 100 * common >= percent * (F.size("su") + F.size("sv") - common)
-    return written(both.filter(linked).select("u", "v"), "jaccard-links")
+    links = written(both.filter(linked).select("u", "v"), "jaccard-links")
+    return links
 
 
 def _labelled(rows: DataFrame, labels: DataFrame, node: str, name: str) -> DataFrame:
@@ -166,42 +250,43 @@ def _labelled(rows: DataFrame, labels: DataFrame, node: str, name: str) -> DataF
 
 def _class_components(sketches: DataFrame, classes: DataFrame, docs: DataFrame, n: int, percent: int) -> DataFrame:
     """``(node, component)`` of the classes (a row per distinct set) that link with another."""
-    keyed = sketches.join(classes.select(F.col("node").alias("row_id")), "row_id", "left_semi").select(F.explode("keys").alias("key"), F.col("row_id").alias("node"), F.col("n_shingles").cast("int").alias("size"))
+    first_rows = sketches.join(classes.select(F.col("node").alias("row_id")), "row_id", "left_semi").withColumnRenamed("row_id", "node")
+    nodes = first_rows.select("node", F.col("n_shingles").cast("int").alias("size"), "sketch")
+    keyed = first_rows.select("node", F.explode(F.arrays_zip("keys", "shared")).alias("k")).select("k.keys", "node", "k.shared").withColumnRenamed("keys", "key")
     # Frames end at the current row, so a group is read as a stream, however large it is.
     group = "PARTITION BY key ORDER BY node"
-    met = keyed.selectExpr("key", "node", "size", f"first_value(node) OVER ({group} ROWS UNBOUNDED PRECEDING) AS center", f"first_value(size) OVER ({group} ROWS UNBOUNDED PRECEDING) AS center_size", f"lead(node) OVER ({group}) IS NOT NULL AS more")
+    met = keyed.selectExpr("key", "node", "shared", f"first_value(node) OVER ({group} ROWS UNBOUNDED PRECEDING) AS center", f"lead(node) OVER ({group}) IS NOT NULL AS more")
     met = written(met.filter("node <> center OR more").drop("more"), "jaccard-groups")
-    ids = met.select("node").distinct().join(classes, "node").select("node", "low", "fp1", "fp2")
-    ids = written(ids, "jaccard-candidates")
-    few = (lambda x: F.broadcast(x)) if ids.count() <= BROADCAST_IDS else (lambda x: x)
-    low = few(ids.select(F.col("low").alias("_low")).distinct())
-    texts = docs.join(low, docs["doc_id"].eqNullSafe(low["_low"]), "left_semi")
-    sets = _sets(texts, n, percent).dropDuplicates(["fp1", "fp2"]).join(few(ids.select("node", "fp1", "fp2")), ["fp1", "fp2"]).select("node", "shingles")
-    sets = written(sets, "jaccard-sets")
-
-    star = met.filter((F.col("node") != F.col("center")) & _can_link(F.col("size"), F.col("center_size"), percent)).select(F.col("center").alias("u"), F.col("node").alias("v")).distinct()
-    star = written(star, "jaccard-star")
-    first = star.groupBy("v").agg(F.min("u").alias("u")).select("u", "v")
-    links = _verified(first, sets, percent)
+
+    star = _near(met.filter("node <> center").select(F.col("center").alias("u"), F.col("node").alias("v")).distinct(), nodes, percent)
+    first = written(star.groupBy("v").agg(F.min("u").alias("u")).select("u", "v"), "jaccard-first")
+    links = _verified(first, docs, classes, n, percent)
     labels = connected_components(links)
 
     rest = star.join(first, ["u", "v"], "left_anti")
-    rest = _labelled(_labelled(rest, labels, "u", "cu"), labels, "v", "cv").filter("cu <> cv").select("u", "v")
-    links = written(links.unionByName(_verified(rest, sets, percent)), "jaccard-links")
-    labels = connected_components(links)
+    rest = written(_labelled(_labelled(rest, labels, "u", "cu"), labels, "v", "cv").filter("cu <> cv").select("u", "v"), "jaccard-rest")
+    if not rest.isEmpty():
+        links = written(links.unionByName(_verified(rest, docs, classes, n, percent)), "jaccard-links")
+        labels = connected_components(links)
 
     # Groups of three or more that still hold two components: their members other than the smallest meet each other.
-    named = _labelled(met.filter("node <> center").select("key", "node", "size"), labels, "node", "component")
+    sizes = met.groupBy("key").agg(F.count("*").alias("members"))
+    large = written(sizes.filter(F.col("members") > GROUP).select("key"), "jaccard-large")
+    few = F.broadcast(large) if large.count() <= BROADCAST_IDS else large
+    in_large = written(met.join(few, "key", "left_semi"), "jaccard-in-large")
+    # The values of a document's two bands count together, which only keeps more.
+    kept = in_large.groupBy("node").agg(F.count("*").alias("values"), F.min("shared").alias("least")).filter("values >= least").select("node")
+    rows = met.join(few, "key", "left_anti").unionByName(in_large.join(kept, "node", "left_semi").select(met.columns))
+    named = _labelled(rows.filter("node <> center").select("key", "node").join(nodes.select("node", "size"), "node"), labels, "node", "component")
     mixed = named.groupBy("key").agg(F.min("component").alias("a"), F.max("component").alias("b")).filter("a <> b").select("key")
     named = written(named.join(mixed, "key", "left_semi"), "jaccard-mixed")
     one, two = (named.select("key", *(F.col(c).alias(f"{c}{i}") for c in ("node", "size", "component"))) for i in (1, 2))
-    met_late = one.join(two, (one["key"] == two["key"]) & (F.col("node1") < F.col("node2")) & (F.col("component1") != F.col("component2")) & _can_link(F.col("size1"), F.col("size2"), percent))
-    met_late = written(met_late.select(F.col("node1").alias("u"), F.col("node2").alias("v")).distinct(), "jaccard-late")
-    met_late = met_late.join(star, ["u", "v"], "left_anti")
-    late = _verified(met_late, sets, percent)
-    if not late.isEmpty():
-        labels = connected_components(links.unionByName(late))
-    drop_written(sets)
+    late = one.join(two, (one["key"] == two["key"]) & (F.col("node1") < F.col("node2")) & (F.col("component1") != F.col("component2")) & _can_link(F.col("size1"), F.col("size2"), percent))
+    late = _near(late.select(F.col("node1").alias("u"), F.col("node2").alias("v")).distinct(), nodes, percent)
+    late = written(late.join(star, ["u", "v"], "left_anti"), "jaccard-late")
+    found = _verified(late, docs, classes, n, percent)
+    if not found.isEmpty():
+        labels = connected_components(links.unionByName(found))
     return labels
 
 
@@ -209,7 +294,7 @@ def jaccard_components(docs: DataFrame, n: int = N, percent: int = PERCENT) -> D
     """``(doc_id, n_shingles, component_id)`` of each document; the id is the smallest ``doc_id`` reachable by links."""
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_or_empty().alias("text"))
     # Written once, so the row ids are settled.
-    sketches = written(_sketches(rows, n, percent).withColumn("row_id", F.monotonically_increasing_id()), "jaccard-sketches")
+    sketches = written(_sketches(rows, n, percent, _common_shingles(rows, n, percent)).withColumn("row_id", F.monotonically_increasing_id()), "jaccard-sketches")
     full = sketches.filter("n_shingles > 0")
     classes = written(full.groupBy("fp1", "fp2").agg(F.min("row_id").alias("node"), F.min(F.struct("row_id", "doc_id"))["doc_id"].alias("low"), F.min("doc_id").alias("least")), "jaccard-classes")
     labels = _class_components(sketches, classes, rows, n, percent)

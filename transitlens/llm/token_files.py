@@ -47,7 +47,7 @@ def tokenizer(path: str):
 class ChunkEncoder:
     """Encodes texts through the tokenizers library, each distinct chunk once; chunks met before come from a bounded table."""
 
-    def __init__(self, path: str, wide: bool, end_id: int, cache_size: int = 400_000):
+    def __init__(self, path: str, wide: bool, end_id: int, cache_size: int = 1_000_000):
         self.own, self.code, self.cache_size = tokenizer(path), "I" if wide else "H", cache_size
         self.end = array(self.code, [end_id]).tobytes()
         self.known: dict[str, bytes] = {}
