@@ -258,15 +258,20 @@ def _class_components(sketches: DataFrame, classes: DataFrame, docs: DataFrame,
     met = keyed.selectExpr("key", "node", "shared", f"first_value(node) OVER ({group} ROWS UNBOUNDED PRECEDING) AS center", f"lead(node) OVER ({group}) IS NOT NULL AS more")
     met = written(met.filter("node <> center OR more").drop("more"), "jaccard-groups")
 
-    star = _near(met.filter("node <> center").select(F.col("center").alias("u"), F.col("node").alias("v")).distinct(), nodes, percent)
-    first = written(star.groupBy("v").agg(F.min("u").alias("u")).select("u", "v"), "jaccard-first")
+    first = met.filter("node <> center").groupBy(F.col("node").alias("v")).agg(F.min("center").alias("u")).select("u", "v")
+    first = _near(first, nodes, percent)
     links = _verified(first, docs, classes, n, percent)
     labels = connected_components(links)
 
-    rest = star.join(first, ["u", "v"], "left_anti")
-    rest = written(_labelled(_labelled(rest, labels, "u", "cu"), labels, "v", "cv").filter("cu <> cv").select("u", "v"), "jaccard-rest")
-    if not rest.isEmpty():
-        links = written(links.unionByName(_verified(rest, docs, classes, n, percent)), "jaccard-links")
+    # In groups that still hold two components, members meet a smallest member of another component.
+    named = _labelled(met, labels, "node", "component")
+    mixed = named.groupBy("key").agg(F.min("component").alias("a"), F.max("component").alias("b")).filter("a <> b").select("key")
+    named = written(named.join(mixed, "key", "left_semi"), "jaccard-mixed")
+    heads = named.filter("node = center").select("key", F.col("component").alias("head"))
+    star = named.filter("node <> center").join(heads, "key").filter("component <> head").select(F.col("center").alias("u"), F.col("node").alias("v")).distinct()
+    star = _near(star.join(first, ["u", "v"], "left_anti"), nodes, percent)
+    if not star.isEmpty():
+        links = written(links.unionByName(_verified(star, docs, classes, n, percent)), "jaccard-links")
         labels = connected_components(links)
 
     # Groups of three or more that still hold two components: their members other than the smallest meet each other.
