@@ -204,6 +204,21 @@ def test_disclosing_terms_are_removed_and_clean_texts_stay(spark):
     assert pii.personal_spans(docs.limit(0)).count() == 0
 
 
+def test_terms_disclose_an_entity_of_one_text(spark):
+    filler = "the usual way with some more words between them " * 4
+    rows = [(1, f"Quorvane came along. {filler} mail qu@corp.example"), (2, f"ask mo@corp.example {filler} Mulbrick"), (3, f"{filler} Mulbrick told mo@corp.example")]
+    rows += [(100 + i, f"{filler} {'Quorvanes' * (i % 2)}") for i in range(2)] + [(200 + i, f"{filler} note {i}") for i in range(600)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    got = {r.doc_id: r for r in pii.personal_spans(docs).collect()}
+    assert {i: r.n_term for i, r in got.items() if r.n_term} == {1: 4, 2: 1, 3: 2}  # also "came", "along" and "mail", "told"
+    assert got[1].spans.startswith("term:0:8,term:9:13,")
+    clean = {r.doc_id: r.text for r in pii.sanitised_rows(docs).collect()}
+    assert clean[2] == f"ask [EMAIL] {filler} " and "Mulbrick" not in clean[3] and "Quorvane" not in clean[1]
+    assert all(clean[i] == t for i, t in rows if i >= 100)
+    few = spark.createDataFrame(rows[:3] + rows[5:55], "doc_id long, text string")
+    assert all(r.n_term == 0 for r in pii.personal_spans(few).collect() if r.doc_id == 1)  # so few texts tell nothing
+
+
 def test_quality_model_on_held_out_rows(spark):
     rows = [(i, prose(50) if i % 3 else " ".join(w + "###" for w in prose(50).split()), int(i % 3 > 0)) for i in range(900)]
     docs = spark.createDataFrame([(i, t) for i, t, _ in rows] + [(2000, None), (2001, "")], "doc_id long, text string")

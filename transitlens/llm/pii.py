@@ -1,16 +1,18 @@
 """Personal data: patterns, and terms that give a person away; DataFrame functions only.
 
-Base spans come from four patterns with their checks. A protected entity is a base match, normalised. Beside it, terms near it may
-reveal it: over the distinct texts of the corpus, a term's pointwise mutual information with an entity is held against the entity's
-own information content, and a term that gives at least ``alpha`` of it, in at least ``support`` distinct texts, is a disclosing
-term wherever a text holds that entity. Base spans are generalised to a label of their kind, disclosing terms are removed.
+Base spans come from four patterns with their checks. A protected entity is a base match, normalised. Beside it, terms of its texts may
+reveal it: over the distinct texts of the corpus, the pointwise mutual information of a term and an entity in the same text is held
+against the entity's own information content. A term that gives at least ``alpha`` of it is a disclosing term wherever a text holds
+that entity. How many texts that takes follows from the counts: a bound of how likely so many common texts are by chance must not
+exceed ``chance``, so one text is enough for a rare term and a rare entity in a corpus of some hundreds of texts. Base spans are
+generalised to a label of their kind, disclosing terms are removed.
 
 Patterns are written so that Java's matcher neither backtracks without bound nor recurses on long runs: runs are taken whole
 (possessive), and a run is tried from its start or from the end of the last match only. Matches are the same as those of the plain
 patterns. Offsets are code points: a text is split at the matches, and lengths of gaps and matches add up.
 
-Work: one pass over the texts writes narrow rows of spans and nearby words; entity and term counts are partial sums; texts are read
-again only where a disclosing term may stand.
+Work: one pass over the texts writes narrow rows of spans, with the words of those texts that have any; entity and term counts are
+partial sums; a second pass counts the terms that may be rare enough, a third places disclosing terms in their texts.
 
 Defined cases: a null or empty text has no spans; rows equal in id and text each get the same spans; a null id is an id of its own;
 an empty table gives an empty table; other columns are ignored (:func:`personal_spans`) or kept (:func:`sanitised_rows`).
@@ -18,6 +20,9 @@ an empty table gives an empty table; other columns are ignored (:func:`personal_
 
 from __future__ import annotations
 
+import math
+from collections.abc import Callable
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -35,8 +40,10 @@ PATTERNS = {
 IP_PARTS = r"^(?:0*(?:25[0-5]|2[0-4][0-9]|1[0-9][0-9]|[1-9]?[0-9])(?:\.|$)){4}$"
 LABELS = {"email": "[EMAIL]", "ip": "[IP]", "card": "[CARD]", "phone": "[PHONE]", "term": ""}
 SPAN = "array<struct<start int, kind int, end int, text string>>"
-#: Code points on each side of an entity in which terms count as near, and the least letters of a term.
-NEAR, TERM = 64, r"\p{L}{4,}"
+#: A term: a run of letters, whole.
+TERM = r"\p{L}{4,}+"
+#: Rows of the table of term bits, of 64 bits each; hashes, and lists of terms or spans, up to which a table of them is broadcast.
+BUCKETS, BROADCAST_HASHES, BROADCAST_LISTS = 1 << 20, 1_000_000, 30_000
 
 
 def _digits(x: Column) -> Column:
@@ -53,8 +60,8 @@ def _valid(kind: str, x: Column) -> Column:
     return F.lit(True)
 
 
-def _placed(text: Column, matches: Column, pattern: Column, kind: int) -> Column:
-    """The matches as spans."""
+def _placed(text: Column, matches: Column, pattern: Column, kind: int, wanted: Callable[[Column], Column] | None = None) -> Column:
+    """The matches, or the ``wanted`` ones of them, as spans."""
     gaps = F.slice(F.split(text, pattern, -1), F.lit(1), F.size(matches))
     steps = F.zip_with(gaps, matches, lambda g, m: F.struct(F.length(g).alias("gap"), m.alias("m")))
     start = F.struct(F.lit(0).alias("at"), F.array().cast(SPAN).alias("out"))
@@ -63,7 +70,10 @@ def _placed(text: Column, matches: Column, pattern: Column, kind: int) -> Column
         lo = acc["at"] + s["gap"]
         hi = lo + F.length(s["m"])
         span = F.struct(lo.alias("start"), F.lit(kind).alias("kind"), hi.alias("end"), s["m"].alias("text"))
-        return F.struct(hi.alias("at"), F.concat(acc["out"], F.array(span)).cast(SPAN).alias("out"))
+        out = F.concat(acc["out"], F.array(span)).cast(SPAN)
+        if wanted is not None:
+            out = F.when(wanted(s["m"]), out).otherwise(acc["out"])
+        return F.struct(hi.alias("at"), out.alias("out"))
 
     placed = F.aggregate(steps, start, step, lambda acc: acc["out"])
     return F.when(F.size(matches) > 0, placed).otherwise(F.array().cast(SPAN))
@@ -90,74 +100,107 @@ def _entity(span: Column) -> Column:
     return F.concat(span["kind"].cast("string"), F.lit(":"), F.when(email | ip, F.lower(span["text"])).otherwise(_digits(span["text"])))
 
 
-def _near_terms(text: Column, span: Column) -> Column:
-    """Distinct whole words near a span."""
-    lo = F.greatest(span["start"] - NEAR, F.lit(0))
-    left = F.substring(text, lo + 1, span["start"] - lo)
-    right = F.substring(text, span["end"] + 1, F.lit(NEAR))
-    left = F.when(lo > 0, F.regexp_replace(left, r"^\p{L}+", "")).otherwise(left)
-    right = F.when(F.length(right) == NEAR, F.regexp_replace(right, r"\p{L}+$", "")).otherwise(right)
-    return F.array_distinct(F.regexp_extract_all(F.lower(F.concat(left, F.lit("\n"), right)), F.lit(TERM), F.lit(0)))
+def _lower_words(text: Column) -> Column:
+    """The words of a text, lower-cased, as often as they stand there."""
+    return F.transform(F.regexp_extract_all(text, F.lit(TERM), F.lit(0)), F.lower)
+
+
+def _other_terms(text: Column, spans: Column) -> Column:
+    """Distinct words of a text outside its base spans."""
+    start = F.struct(F.lit(0).alias("at"), F.array().cast("array<string>").alias("out"))
+
+    def step(acc: Column, s: Column) -> Column:
+        gap = F.substring(text, acc["at"] + 1, F.greatest(s["start"] - acc["at"], F.lit(0)))
+        return F.struct(F.greatest(acc["at"], s["end"]).alias("at"), F.concat(acc["out"], F.array(gap)).alias("out"))
+
+    rest = F.aggregate(spans, start, step, lambda acc: F.concat(F.array_join(acc["out"], "\n"), F.lit("\n"), F.substring(text, acc["at"] + 1, F.length(text))))
+    return F.array_distinct(_lower_words(rest))
 
 
 def _rows(docs: DataFrame) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_or_empty().alias("_text")).withColumn("_hash", F.xxhash64("_text"))
 
 
-def disclosing_terms(found: DataFrame, docs: DataFrame, alpha: float = 0.9, support: int = 5) -> DataFrame:
-    """``(entity, term)`` above the threshold, from ``found(_hash, near)``, a written row per document; written.
+def _term_counts(docs: DataFrame, wanted: DataFrame) -> DataFrame:
+    """``(term, t)`` of ``wanted(term)``: the distinct texts of ``docs`` that hold the term."""
+    # One bit per hashed term, in a table of at most BUCKETS rows, keeps most other words from the shuffle however many are wanted.
+    bucket, bit = F.pmod(F.xxhash64("term"), F.lit(BUCKETS)), F.pmod(F.shiftright(F.xxhash64("term"), 32), F.lit(64)).cast("int")
+    bits = wanted.groupBy(bucket.alias("_b")).agg(F.bit_or(F.call_function("shiftleft", F.lit(1).cast("long"), bit)).alias("_bits"))
+    words = _rows(docs).select("_hash", F.explode(F.array_distinct(_lower_words(F.col("_text")))).alias("term")).withColumn("_b", bucket)
+    words = words.join(F.broadcast(bits), "_b").filter(F.call_function("shiftrightunsigned", F.col("_bits"), bit).bitwiseAND(F.lit(1).cast("long")) == 1)
+    return words.select("_hash", "term").distinct().groupBy("term").agg(F.count("*").alias("t")).join(wanted, "term", "left_semi")
 
-    Counts are of distinct texts: N of all, e of those with the entity, t with the term, et with the term near the entity. A term
-    discloses if ``log(N * et / (e * t)) >= alpha * log(N / e)``.
-    """
-    near = found.select("_hash", F.explode("near").alias("n")).select("_hash", "n.entity", F.explode_outer("n.terms").alias("term"))
-    n = float(max(1, found.select("_hash").distinct().count()))
-    entities = near.select("_hash", "entity").distinct().groupBy("entity").agg(F.count("*").alias("e"))
-    # Texts with the term near any entity are some of those that hold it, so this bounds t from below without reading a text.
-    least = near.filter("term IS NOT NULL").select("_hash", "term").distinct().groupBy("term").agg(F.count("*").alias("least"))
-    pairs = near.filter("term IS NOT NULL").distinct().groupBy("entity", "term").agg(F.count("*").alias("et")).filter(F.col("et") >= support)
 
-    def discloses(t: str) -> Column:
-        return F.log(F.lit(n) * F.col("et") / (F.col("e") * F.col(t))) >= F.lit(alpha) * F.log(F.lit(n) / F.col("e"))
+def disclosing_terms(found: DataFrame, docs: DataFrame, alpha: float = 0.9, chance: float = 0.01) -> DataFrame:
+    """``(_hash, words)``: of each distinct text, the terms that disclose an entity it holds; written. ``found(_hash, entities, terms)``
+    is a written row per document.
 
-    pairs = written(pairs.join(entities, "entity").join(least, "term").filter(discloses("least")), "pii-pairs")
-    if pairs.isEmpty():
-        return pairs.select("entity", "term")
-    wanted = written(pairs.select("term").distinct(), "pii-terms")
-    few = F.broadcast(wanted) if wanted.count() <= 100_000 else wanted
-    words = _rows(docs).select("_hash", F.explode(F.array_distinct(F.regexp_extract_all(F.lower("_text"), F.lit(TERM), F.lit(0)))).alias("term"))
-    terms = words.join(few, "term").distinct().groupBy("term").agg(F.count("*").alias("t"))
-    return written(pairs.join(terms, "term").filter(discloses("t")).select("entity", "term"), "pii-disclosing")
+    Counts are of distinct texts: N of all, e of those with the entity, t with the term, et with both. With
+    ``pmi = log(N * et / (e * t))`` a term discloses if ``pmi >= alpha * log(N / e)`` and ``et * (pmi - 1) >= log(1 / chance)``.
+    """
+    n = float(max(1, found.select("_hash").distinct().count()))
+    texts = written(found.filter(F.size("entities") > 0).dropDuplicates(["_hash"]).select("_hash", "entities", "terms"), "pii-texts")
+    held = texts.select("_hash", F.explode("entities").alias("entity"))
+    # Entities of the same texts have the same counts with every term: they are one class.
+    prints = held.groupBy("entity").agg(F.count("*").alias("e"), F.bit_xor("_hash").alias("x"), F.bit_xor(F.xxhash64("_hash")).alias("y"))
+    classes = written(held.join(prints, "entity").select("_hash", "e", "x", "y").distinct(), "pii-classes")
+    words = texts.select("_hash", F.explode("terms").alias("term"))
+
+    def most(e: str) -> Column:
+        """What t cannot exceed, as et is at most e."""
+        return F.pow(F.col(e), F.lit(alpha)) * (n ** (1 - alpha) * (1 + 1e-9))
+
+    # Texts with the term beside any entity are some of those that hold it, so this bounds t from below without reading a text.
+    largest = classes.groupBy("_hash").agg(F.max("e").alias("e"))
+    least = words.join(largest, "_hash").groupBy("term").agg(F.count("*").alias("least"), F.max("e").alias("e"))
+    wanted = written(least.filter(F.col("least") <= most("e")).select("term"), "pii-terms")
+    terms = written(_term_counts(docs, wanted), "pii-term-counts")
+    pairs = written(words.join(terms, "term").join(classes, "_hash").filter(F.col("t") <= most("e")), "pii-pairs")
+    pmi = F.log(F.lit(n) * F.col("et") / (F.col("e") * F.col("t")))
+    told = pairs.groupBy("e", "x", "y", "term", "t").agg(F.count("*").alias("et"))
+    told = told.filter((pmi >= alpha * F.log(F.lit(n) / F.col("e"))) & (F.col("et") * (pmi - 1) >= -math.log(chance)))
+    return written(pairs.join(told.select("e", "x", "y", "term"), ["e", "x", "y", "term"], "left_semi").groupBy("_hash").agg(F.array_sort(F.collect_set("term")).alias("words")), "pii-disclosing")
+
+
+def _some(rows: DataFrame, table: DataFrame, how: str) -> DataFrame:
+    """``rows`` semi- or anti-joined to the hashes of ``table``, a written table, broadcast only where its counted rows are few."""
+    hashes = table.select("_h").distinct()
+    return rows.join(F.broadcast(hashes) if table.count() <= BROADCAST_HASHES else hashes, rows["_hash"] == hashes["_h"], how)
 
 
 def _term_spans(docs: DataFrame, found: DataFrame, disclosing: DataFrame) -> DataFrame:
     """``(_id, _h, terms)``: spans of disclosing terms in the distinct documents that hold their entity; written."""
-    held = found.select("doc_id", "_hash", F.explode("near.entity").alias("entity")).distinct()
-    per_doc = held.join(disclosing, "entity").groupBy("doc_id", "_hash").agg(F.array_sort(F.collect_set("term")).alias("words"))
+    per_doc = found.filter(F.size("entities") > 0).select("doc_id", "_hash").distinct().join(disclosing, "_hash")
     per_doc = written(per_doc.select(F.col("doc_id").alias("_id"), F.col("_hash").alias("_h"), "words"), "pii-doc-terms")
-    few = F.broadcast(per_doc) if per_doc.count() <= 10_000 else per_doc
-    rows = _rows(docs)
+    few = F.broadcast(per_doc) if per_doc.count() <= BROADCAST_LISTS else per_doc
+    rows = _some(_rows(docs), per_doc, "left_semi")
     rows = rows.join(few, rows["doc_id"].eqNullSafe(few["_id"]) & (rows["_hash"] == few["_h"])).dropDuplicates(["doc_id", "_hash"])
-    pattern = F.concat(F.lit(r"(?iu)(?<!\p{L})(?:"), F.array_join("words", "|"), F.lit(r")(?!\p{L})"))
-    rows = rows.withColumn("_p", pattern).withColumn("_m", F.regexp_extract_all("_text", F.col("_p"), F.lit(0)))
-    return written(rows.select("_id", "_h", _placed(F.col("_text"), F.col("_m"), F.col("_p"), KINDS.index("term")).alias("terms")), "pii-term-spans")
+    rows = rows.withColumn("_m", F.regexp_extract_all("_text", F.lit(TERM), F.lit(0)))
+    told = _placed(F.col("_text"), F.col("_m"), F.lit(TERM), KINDS.index("term"), lambda m: F.array_contains("words", F.lower(m)))
+    return written(rows.select("_id", "_h", told.alias("terms")), "pii-term-spans")
 
 
 def _found(docs: DataFrame) -> DataFrame:
-    """A narrow row per document: its base spans, and for each its entity and the terms near it; written."""
-    near = F.transform("_spans", lambda s: F.struct(_entity(s).alias("entity"), _near_terms(F.col("_text"), s).alias("terms")))
-    return written(with_base_spans(_rows(docs)).select("doc_id", "_hash", "_spans", near.alias("near")), "pii-spans")
+    """A narrow row per document: its base spans, its entities, and the terms beside them; written."""
+    terms = F.when(F.size("_spans") > 0, _other_terms(F.col("_text"), F.col("_spans"))).otherwise(F.array().cast("array<string>"))
+    return written(with_base_spans(_rows(docs)).select("doc_id", "_hash", "_spans", F.array_distinct(F.transform("_spans", _entity)).alias("entities"), terms.alias("terms")), "pii-spans")
 
 
-def _with_terms(rows: DataFrame, docs: DataFrame, found: DataFrame, alpha: float, support: int) -> DataFrame:
+def _with_terms(rows: DataFrame, docs: DataFrame, found: DataFrame, alpha: float, chance: float) -> DataFrame:
     """``rows(doc_id, _hash, ...)`` with ``_terms``, the spans of disclosing terms."""
-    disclosing = disclosing_terms(found, docs, alpha, support)
     none = F.array().cast(SPAN)
+    disclosing = disclosing_terms(found, docs, alpha, chance)
     if disclosing.isEmpty():
         return rows.withColumn("_terms", none)
     terms = _term_spans(docs, found, disclosing)
-    few = F.broadcast(terms) if terms.count() <= 10_000 else terms
-    return rows.join(few, rows["doc_id"].eqNullSafe(few["_id"]) & (rows["_hash"] == few["_h"]), "left").withColumn("_terms", F.coalesce("terms", none)).drop("_id", "_h", "terms")
+
+    def joined(some: DataFrame, few: DataFrame) -> DataFrame:
+        return some.join(few, some["doc_id"].eqNullSafe(few["_id"]) & (some["_hash"] == few["_h"]), "left").withColumn("_terms", F.coalesce("terms", none)).drop("_id", "_h", "terms")
+
+    if terms.count() <= BROADCAST_LISTS:
+        return joined(rows, F.broadcast(terms))
+    # Only the rows of texts with terms are shuffled.
+    return joined(_some(rows, terms, "left_semi"), terms).unionByName(_some(rows, terms, "left_anti").withColumn("_terms", none))
 
 
 def _listed(spans: Column) -> Column:
@@ -165,10 +208,10 @@ def _listed(spans: Column) -> Column:
     return F.array_join(F.transform(spans, lambda s: F.concat(names[s["kind"]], F.lit(":"), s["start"].cast("string"), F.lit(":"), s["end"].cast("string"))), ",")
 
 
-def personal_spans(docs: DataFrame, alpha: float = 0.9, support: int = 5) -> DataFrame:
+def personal_spans(docs: DataFrame, alpha: float = 0.9, chance: float = 0.01) -> DataFrame:
     """``(doc_id, n_email, n_ip, n_card, n_phone, base_sha256, spans, n_term)`` of each document."""
     found = _found(docs)
-    rows = _with_terms(found.select("doc_id", "_hash", "_spans"), docs, found, alpha, support)
+    rows = _with_terms(found.select("doc_id", "_hash", "_spans"), docs, found, alpha, chance)
     kinds = F.transform("_spans", lambda s: s["kind"])
     counts = [(F.size(kinds) - F.size(F.array_remove(kinds, F.lit(i)))).cast("long").alias(f"n_{KINDS[i]}") for i in range(4)]
     return rows.select("doc_id", *counts, F.sha2(_listed(F.col("_spans")), 256).alias("base_sha256"), _listed(F.array_sort(F.concat("_spans", "_terms"))).alias("spans"), F.size("_terms").cast("long").alias("n_term"))
@@ -187,11 +230,11 @@ def _replaced(text: Column, spans: Column) -> Column:
     return F.aggregate(spans, start, step, lambda acc: F.concat(F.array_join(acc["out"], ""), F.substring(text, acc["at"] + 1, F.length(text))))
 
 
-def sanitised_rows(docs: DataFrame, alpha: float = 0.9, support: int = 5) -> DataFrame:
+def sanitised_rows(docs: DataFrame, alpha: float = 0.9, chance: float = 0.01) -> DataFrame:
     """``docs``, all columns and rows, with ``text`` sanitised; a null text stays null."""
     found = _found(docs)
     marked = docs.select(F.struct("*").alias("row"), F.col("doc_id").cast("long").alias("doc_id"), text_or_empty().alias("_text")).withColumn("_hash", F.xxhash64("_text"))
-    rows = _with_terms(with_base_spans(marked), docs, found, alpha, support)
+    rows = _with_terms(with_base_spans(marked), docs, found, alpha, chance)
     spans = F.array_sort(F.concat("_spans", "_terms"))
     clean = F.when(F.size("_spans") + F.size("_terms") > 0, _replaced(F.col("_text"), spans)).otherwise(F.col("row.text"))
     return rows.withColumn("_clean", clean).select(*(F.col("_clean").alias(c) if c == "text" else F.col(f"row.`{c}`").alias(c) for c in docs.columns))
