@@ -2,8 +2,10 @@
 
 Hosts with allowed pages are trusted seeds, hosts with blocked pages are distrusted ones, each in proportion to its pages. Trust runs
 along links between hosts as a personalised PageRank from the trusted seeds; distrust runs against them from the blocked seeds, to
-those who link there. A host is blocked if its distrust is more than ``ratio`` times its trust. Ranks are whole numbers of billionths
-and shares are rounded down, so sums do not depend on their order and reruns agree.
+those who link there. A host is blocked if its distrust is more than ``ratio`` times its trust, each as a share of its seed pages.
+Each seed page starts with the same fixed amount, however many others there are, so what it passes on does not fade as a table grows.
+Ranks are whole numbers and shares are rounded down, so sums do not depend on their order and reruns agree; trust and distrust are
+given in billionths, rounded down, the verdict is from the whole numbers.
 
 Links are the absolute and protocol-relative targets of ``href`` and ``src`` attributes; a host's links to itself do not count.
 
@@ -22,8 +24,8 @@ from pyspark.sql import functions as F
 
 from .common import join_hosts, written
 
-#: Whole of a rank vector; products with link counts below 9e9 stay within 64 bits.
-UNIT = 1_000_000_000
+#: Whole of the trust and distrust that are given, and the amount of a seed page: products of 38 digits leave room for 1e11 pages and links.
+UNIT, PAGE = 1_000_000_000, 10**15
 STEPS, DAMPING = 10, 85
 LINK = r"""(?i)(?:href|src)\s*=\s*["']?(?:[a-z][a-z0-9+.-]*:)?//([^/?#"'>\s]+)"""
 #: Rules of the query, (verdict, host/path); a parameter of the operator.
@@ -62,24 +64,49 @@ def host_links(pages: DataFrame) -> DataFrame:
     return links.groupBy("src", "dst").agg(F.count("*").alias("n"))
 
 
+def _whole(x: str) -> str:
+    return f"CAST({x} AS DECIMAL(38, 0))"
+
+
+def _floor_div(a: str, b: str) -> str:
+    """The whole part of a quotient of whole numbers of up to 38 digits; ``div`` has 64 bits only."""
+    return _whole(f"({a} - {a} % {b}) / {b}")
+
+
 def propagated(seeds: DataFrame, links: DataFrame, steps: int = STEPS, damping: int = DAMPING) -> DataFrame:
-    """``(host, rank)`` after so many steps from ``seeds(host, n)`` along ``links(src, dst, n)``, both written tables.
+    """``(host, rank)`` after so many steps from ``seeds(host, n)`` along ``links(src, dst, n)``, both written tables; ranks are in units
+    of which a seed page has ``PAGE``.
 
     A step gives each host ``damping`` percent of what its neighbours pass on, by number of links, and the rest to the seeds.
     """
-    total = seeds.agg(F.sum("n")).first()[0] or 0
-    start = written(seeds.select("host", F.expr(f"(n * {UNIT}) div {max(1, total)}").alias("rank")), "url-seeds")
-    if not total or links.isEmpty():
+    start = written(seeds.select("host", F.expr(_whole(f"{_whole('n')} * {PAGE}")).alias("rank")), "url-seeds")
+    if start.isEmpty() or links.isEmpty():
         return start
     out = written(links.join(links.groupBy("src").agg(F.sum("n").alias("all")), "src"), "url-links")
+    passed, kept, own = _floor_div(_whole("rank * n"), "`all`"), _floor_div(_whole(f"got * {damping}"), "100"), _floor_div(_whole(f"rank * {100 - damping}"), "100")
     now = start
     for _ in range(steps):
-        moved = out.join(now.withColumnRenamed("host", "src"), "src").groupBy(F.col("dst").alias("host")).agg(F.sum(F.expr("(rank * n) div `all`")).alias("got"))
-        both = moved.select("host", F.expr(f"(got * {damping}) div 100").alias("rank")).unionByName(start.select("host", F.expr(f"(rank * {100 - damping}) div 100").alias("rank")))
+        moved = out.join(now.withColumnRenamed("host", "src"), "src").groupBy(F.col("dst").alias("host")).agg(F.sum(F.expr(passed)).alias("got"))
+        both = moved.select("host", F.expr(kept).alias("rank")).unionByName(start.select("host", F.expr(own).alias("rank")))
         now = written(both.groupBy("host").agg(F.sum("rank").alias("rank")), "url-ranks")
     return now
 
 
+def host_verdicts(seeds: DataFrame, links: DataFrame, ratio: int = 2, steps: int = STEPS, damping: int = DAMPING) -> DataFrame:
+    """``(host, trust, distrust, blocked)`` from the written tables ``seeds(host, ruled, n)`` and ``links(src, dst, n)``; written."""
+    back = links.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "n")
+    parts, none = [], F.expr(_whole("0"))
+    for name, other, ruled, along in (("trust", "distrust", "allow", links), ("distrust", "trust", "block", back)):
+        own = seeds.filter(F.col("ruled") == ruled).select("host", "n")
+        parts.append(propagated(own, along, steps, damping).select("host", F.col("rank").alias(name), none.alias(other)))
+    hosts = parts[0].unionByName(parts[1]).groupBy("host").agg(F.sum("trust").alias("trust"), F.sum("distrust").alias("distrust"))
+    pages = {r.ruled: r.n for r in seeds.groupBy("ruled").agg(F.sum("n").alias("n")).collect()}
+    good, bad = max(1, pages.get("allow", 0)), max(1, pages.get("block", 0))
+    shares = {x: F.expr(_floor_div(_whole(f"{x} * {UNIT}"), _whole(str(PAGE * n)))).cast("long") for x, n in (("trust", good), ("distrust", bad))}
+    blocked = F.expr(f"{_whole(f'distrust * {good}')} > {_whole(f'trust * {bad * ratio}')}")
+    return written(hosts.select("host", *(x.alias(name) for name, x in shares.items()), blocked.alias("blocked")), "url-hosts")
+
+
 def judge_urls(pages: DataFrame, rules: Sequence[tuple[str, str]] = RULES, ratio: int = 2, steps: int = STEPS, damping: int = DAMPING) -> DataFrame:
     """``(page_id, host, path, rule, verdict, trust, distrust)`` of each of ``pages(page_id, url, html)``."""
     rows = with_host_and_path(pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").alias("url"), "html"))
@@ -88,11 +115,6 @@ def judge_urls(pages: DataFrame, rules: Sequence[tuple[str, str]] = RULES, ratio
     links = written(host_links(rows), "url-host-links")
     rows = written(rows.select("page_id", "host", "path", "rule", "ruled"), "url-rules")
     seeds = written(rows.filter("ruled IS NOT NULL AND host <> ''").groupBy("host", "ruled").agg(F.count("*").alias("n")), "url-ruled")
-    back = links.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "n")
-    trust = propagated(seeds.filter("ruled = 'allow'").select("host", "n"), links, steps, damping).select("host", F.col("rank").alias("trust"), F.lit(0).cast("long").alias("distrust"))
-    distrust = propagated(seeds.filter("ruled = 'block'").select("host", "n"), back, steps, damping).select("host", F.lit(0).cast("long").alias("trust"), F.col("rank").alias("distrust"))
-    hosts = written(trust.unionByName(distrust).groupBy("host").agg(F.sum("trust").alias("trust"), F.sum("distrust").alias("distrust")), "url-hosts")
-    out = join_hosts(rows, hosts, "host", "left")
-    blocked = F.coalesce("distrust", F.lit(0)) > ratio * F.coalesce("trust", F.lit(0))
-    verdict = F.coalesce("ruled", F.when(blocked, "block").otherwise("allow"))
+    out = join_hosts(rows, host_verdicts(seeds, links, ratio, steps, damping), "host", "left")
+    verdict = F.coalesce("ruled", F.when(F.col("blocked"), "block").otherwise("allow"))
     return out.select("page_id", "host", "path", "rule", verdict.alias("verdict"), F.coalesce("trust", F.lit(0)).alias("trust"), F.coalesce("distrust", F.lit(0)).alias("distrust"))
