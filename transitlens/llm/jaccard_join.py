@@ -24,7 +24,8 @@ pair that could link two components is compared, on whole shingle sets.
 
 Defined cases: null or empty texts, and texts without words, have no shingles and link with nothing; fewer than five words are one
 shingle; a row that repeats an id is a document of its own, linked by its own text; an empty table gives an empty table; other
-columns are ignored (:func:`jaccard_components`) or kept (:func:`one_of_each_group`).
+columns are ignored (:func:`jaccard_components`) or kept (:func:`one_of_each_group`, which decides by id and text, so rows that repeat
+both, and rows with a null id, are copies as any other).
 """
 
 from __future__ import annotations
@@ -157,8 +158,8 @@ def _common_shingles(rows: DataFrame, n: int, percent: int) -> np.ndarray:
 
 
 def _sketches(rows: DataFrame, n: int, percent: int, common: np.ndarray) -> DataFrame:
-    """``rows(doc_id, text)`` to ``(doc_id, n_shingles, fp1, fp2, keys, shared, sketch)``; the fingerprint is a 128-bit hash of the
-    set."""
+    """``rows(doc_id, text, text_hash)`` to ``(doc_id, text_hash, n_shingles, fp1, fp2, keys, shared, sketch)``; the fingerprint is a
+    128-bit hash of the set."""
 
     held = rows.sparkSession.sparkContext.broadcast(common)
 
@@ -172,6 +173,7 @@ def _sketches(rows: DataFrame, n: int, percent: int, common: np.ndarray) -> Data
                 yield pa.RecordBatch.from_arrays(
                     [
                         b.column(0).slice(lo, hi - lo),
+                        b.column(2).slice(lo, hi - lo),
                         pa.array([h.size for h in sets], pa.int64()),
                         pa.array(np.ascontiguousarray(prints[:, 0])),
                         pa.array(np.ascontiguousarray(prints[:, 1])),
@@ -179,10 +181,10 @@ def _sketches(rows: DataFrame, n: int, percent: int, common: np.ndarray) -> Data
                         _lists([c for _, c in keys], np.int32),
                         _lists([own.sketch(h) for h in sets], np.int64),
                     ],
-                    names=["doc_id", "n_shingles", "fp1", "fp2", "keys", "shared", "sketch"],
+                    names=["doc_id", "text_hash", "n_shingles", "fp1", "fp2", "keys", "shared", "sketch"],
                 )
 
-    return rows.mapInArrow(run, "doc_id long, n_shingles long, fp1 long, fp2 long, keys array<long>, shared array<int>, sketch array<long>")
+    return rows.mapInArrow(run, "doc_id long, text_hash long, n_shingles long, fp1 long, fp2 long, keys array<long>, shared array<int>, sketch array<long>")
 
 
 def _sets(rows: DataFrame, n: int, percent: int) -> DataFrame:
@@ -295,24 +297,45 @@ def _class_components(sketches: DataFrame, classes: DataFrame, docs: DataFrame,
     return labels
 
 
-def jaccard_components(docs: DataFrame, n: int = N, percent: int = PERCENT) -> DataFrame:
-    """``(doc_id, n_shingles, component_id)`` of each document; the id is the smallest ``doc_id`` reachable by links."""
+def _text_hash() -> Column:
+    return F.xxhash64(text_or_empty())
+
+
+def _row_components(docs: DataFrame, n: int, percent: int) -> DataFrame:
+    """``(doc_id, text_hash, n_shingles, component, component_id)`` of each document; ``component`` is null without shingles, and tells
+    components apart that have the same smallest id."""
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_or_empty().alias("text"))
+    hashed = rows.withColumn("text_hash", _text_hash())
     # Written once, so the row ids are settled.
-    sketches = written(_sketches(rows, n, percent, _common_shingles(rows, n, percent)).withColumn("row_id", F.monotonically_increasing_id()), "jaccard-sketches")
+    sketches = written(_sketches(hashed, n, percent, _common_shingles(rows, n, percent)).withColumn("row_id", F.monotonically_increasing_id()), "jaccard-sketches")
     full = sketches.filter("n_shingles > 0")
     classes = written(full.groupBy("fp1", "fp2").agg(F.min("row_id").alias("node"), F.min(F.struct("row_id", "doc_id"))["doc_id"].alias("low"), F.min("doc_id").alias("least")), "jaccard-classes")
     labels = _class_components(sketches, classes, rows, n, percent)
     named = _labelled(classes.select("fp1", "fp2", "node", "least"), labels, "node", "component")
     least = named.groupBy("component").agg(F.min("least").alias("component_id"))
-    named = named.join(least, "component").select("fp1", "fp2", "component_id")
-    out = sketches.select("doc_id", "n_shingles", "fp1", "fp2").join(named, ["fp1", "fp2"], "left")
-    return out.select("doc_id", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id"))
+    named = named.join(least, "component").select("fp1", "fp2", "component", "component_id")
+    out = sketches.select("doc_id", "text_hash", "n_shingles", "fp1", "fp2").join(named, ["fp1", "fp2"], "left")
+    return out.select("doc_id", "text_hash", "n_shingles", "component", F.coalesce("component_id", "doc_id").alias("component_id"))
+
+
+def jaccard_components(docs: DataFrame, n: int = N, percent: int = PERCENT) -> DataFrame:
+    """``(doc_id, n_shingles, component_id)`` of each document; the id is the smallest ``doc_id`` reachable by links."""
+    return _row_components(docs, n, percent).select("doc_id", "n_shingles", "component_id")
 
 
 def one_of_each_group(docs: DataFrame, n: int = N, percent: int = PERCENT) -> DataFrame:
-    """The rows of ``docs``, all columns, of the smallest id of each component; documents without words stay."""
-    found = written(jaccard_components(docs, n, percent), "jaccard-components")
-    gone = found.filter("doc_id <> component_id").select(F.col("doc_id").alias("_gone"))
-    few = F.broadcast(gone) if gone.count() <= BROADCAST_IDS else gone
-    return docs.join(few, docs["doc_id"].cast("long") == few["_gone"], "left_anti")
+    """One row of each component of ``docs``, all columns: of the smallest id, null last, then of the smallest hash of the text, then of
+    the smallest text of the row; documents without words stay."""
+    found = _row_components(docs, n, percent).filter("component IS NOT NULL")
+    found = written(found.groupBy("component", "doc_id", "text_hash").agg(F.count("*").alias("n")), "jaccard-components")
+    key = F.struct(F.col("doc_id").isNull().alias("no_id"), "doc_id", "text_hash")
+    first = found.groupBy("component").agg(F.min(key).alias("first"))
+    # Rows of equal id and text are in one component, so these two name a row up to its repeats.
+    told = found.join(first, "component").select(F.col("doc_id").alias("_i"), F.col("text_hash").alias("_t"), key.eqNullSafe(F.col("first")).alias("stays"), "n")
+    told = written(told.filter("NOT stays OR n > 1"), "jaccard-told")
+    few = F.broadcast(told) if told.count() <= BROADCAST_IDS else told
+    rows = docs.select(F.struct("*").alias("row"), F.col("doc_id").cast("long").alias("_id"), _text_hash().alias("_hash"))
+    same = rows["_id"].eqNullSafe(few["_i"]) & (rows["_hash"] == few["_t"])
+    others = rows.join(few, same, "left_anti").select("row")
+    repeated = rows.join(few.filter("stays"), same, "left_semi").groupBy("_id", "_hash").agg(F.min_by("row", F.to_json("row")).alias("row")).select("row")
+    return others.unionByName(repeated).select("row.*")
