@@ -7,8 +7,8 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-#: Stops kept of a route, lattice nodes start here.
-MAX_STOPS, OFFSET = 24, 64
+#: Lattice nodes start here: a route of up to so many rows, whole, stays at positive ones.
+OFFSET = 512
 
 
 def _div(dialect: str) -> str:
@@ -35,13 +35,12 @@ WITH numbered AS (
   SELECT CAST(l_suppkey * 10 + l_linenumber AS BIGINT) AS route_id, CAST(l_partkey AS BIGINT) AS partkey, CAST(l_quantity AS BIGINT) AS qty,
          CAST(row_number() OVER (PARTITION BY l_suppkey, l_linenumber ORDER BY l_orderkey, l_partkey, l_quantity, l_extendedprice) AS INT) AS seq
   FROM lineitem),
-kept AS (SELECT * FROM numbered WHERE seq <= {MAX_STOPS}),
-starts AS (SELECT route_id, {OFFSET} + partkey % g AS gx0, {OFFSET} + partkey {d} g AS gy0 FROM kept CROSS JOIN {side_sql()} WHERE seq = 1),
+starts AS (SELECT route_id, {OFFSET} + partkey % g AS gx0, {OFFSET} + partkey {d} g AS gy0 FROM numbered CROSS JOIN {side_sql()} WHERE seq = 1),
 steps AS (
   SELECT route_id, seq,
          CASE WHEN seq > 1 AND qty % 2 = 0 THEN CASE WHEN route_id % 2 = 0 THEN 1 ELSE -1 END ELSE 0 END AS dx,
          CASE WHEN seq > 1 AND qty % 2 = 1 THEN CASE WHEN (route_id {d} 2) % 2 = 0 THEN 1 ELSE -1 END ELSE 0 END AS dy
-  FROM kept),
+  FROM numbered),
 walked AS (
   SELECT route_id, seq, CAST(sum(dx) OVER w AS BIGINT) AS sx, CAST(sum(dy) OVER w AS BIGINT) AS sy
   FROM steps WINDOW w AS (PARTITION BY route_id ORDER BY seq ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW)),
@@ -57,8 +56,8 @@ def transitions_sql(dialect: str) -> str:
     return f"""
 WITH placed AS (
   SELECT event_id, user_id, CAST(ts AS TIMESTAMP) AS ts,
-         60000 + (CAST(round(value * 100) AS BIGINT) * 37 + event_id * 7919) % ((g + 8) * 1000) AS x,
-         60000 + {k} * (((g + 8) * 1000) {d} 100) + (event_id * 104729) % (((g + 8) * 1000) {d} 100) AS y
+         {(OFFSET - 4) * 1000} + (CAST(round(value * 100) AS BIGINT) * 37 + event_id * 7919) % ((g + 8) * 1000) AS x,
+         {(OFFSET - 4) * 1000} + {k} * (((g + 8) * 1000) {d} 100) + (event_id * 104729) % (((g + 8) * 1000) {d} 100) AS y
   FROM events CROSS JOIN {side_sql()}),
 paired AS (
   SELECT event_id, user_id, ts, x, y, lag(x) OVER w AS px, lag(y) OVER w AS py FROM placed WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id))
