@@ -7,20 +7,21 @@ link differ by at most ``(a + b) * (1 - s) / (1 + s)`` shingles, D say, so of m
 shared block value.
 
 Sizes fall into bands (powers of two), each with a number of blocks of its own, somewhat above D; a document also takes part in the
-next band if a partner there can be similar enough. Block values with many rare shingles are rare, empty ones are common. In that
-order, the same for all documents, the first D + 1 of a document's m values suffice: two documents with m - D common values share one
-of those (prefix filtering). Which shingles count as common is a hint from a bounded sample of documents: any hint gives the same
-links, a good one keeps documents that share a passage and no more from meeting.
-
-Each document also has one parity sketch of its whole set, a few bits for each shingle it may differ by. Documents that met are
-dropped where these sketches differ in more bits than D; few pairs that do not link get past that.
-
-Equal sets are one class from the start, so copies cost a row each and nothing more. Within a group of equal block values no pairs
-are listed: members meet the smallest member, one pair for each member, and verified links form components. What is left are members
-of one group in different components; a pair inside one component changes no result. In groups of up to ``GROUP`` members these meet
-each other. For larger groups documents carry a few more values than D + 1: linked documents then share several, so a document with
-fewer values in large groups than that meets each of its partners in a small one, and only the others meet in large groups. Every
-pair that could link two components is compared, on whole shingle sets.
+next band if a partner there can be similar enough. In any order of the block values that is the same for all documents, the first
+D + 1 of a document's m values suffice: two documents with m - D common values share one of those (prefix filtering). The order is by
+hash, empty blocks last. Values that many documents carry are counted over all documents; documents that carry some move these to the
+end of the order and carry later values instead, which changes nothing for the others. So documents that share a passage and little
+more do not meet by it.
+
+Each document also has one parity sketch of its whole set, some bits for each shingle it may differ by. Pairs whose sketches differ in
+more bits than D cannot link.
+
+Equal sets are one class from the start, so copies cost a row each and nothing more. Members of a group of equal block values first
+meet its smallest member, one pair for each document, and verified links form components; a pair inside one component changes no
+result. Groups that still hold two components are compared in tiles of bounded size (:mod:`group_compare`): sketches of different
+components within a task, and only pairs that may link leave it. Of large groups each component's nearest pair goes first, as the links
+found leave little for the last round, which compares all that is left. Every pair that could link two components is compared, on whole
+shingle sets.
 
 Defined cases: null or empty texts, and texts without words, have no shingles and link with nothing; fewer than five words are one
 shingle; a row that repeats an id is a document of its own, linked by its own text; an empty table gives an empty table; other
@@ -40,18 +41,21 @@ from pyspark.sql import functions as F
 
 from .common import slices, text_or_empty, written
 from .components import connected_components
+from .group_compare import near_in_groups
 
 N = 5
 #: Similarity as a fraction: 100 * intersection >= PERCENT * union.
 PERCENT = 80
-#: Blocks beyond D + 1, as a share of D: room to leave out common block values.
-SPARE = 0.3
-#: Values beyond D that a document carries, and the members up to which all of a group's components meet.
-EXTRA, GROUP = 4, 64
-#: Documents in the sample that tells common shingles, and how many of them must hold one.
-HINT_DOCS, HINT_LEAST = 30_000, 3
+#: Blocks beyond D + 1, as a share of D: room to leave out values that many documents carry.
+SPARE = 0.4
+#: Documents above which a value counts as one of many; members above which a group's components offer their nearest pairs first.
+MANY, GROUP = 8, 48
+#: Rounds in which components of large groups offer their nearest pair, before the last.
+OFFERS = 1
 #: A table of ids of at most so many rows is broadcast; above, Spark shuffles.
 BROADCAST_IDS = 400_000
+#: Block values, over all documents, up to which lists of them are broadcast.
+BROADCAST_VALUES = 4_000_000
 
 _MIX = [np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xBF58476D1CE4E5B9, 0x94D049BB133111EB, 0xD6E8FEB86659FD93, 0xA0761D6478BD642F)]
 
@@ -71,9 +75,8 @@ class _Hashes(dict):
 class Shingler:
     """Shingle hashes and sketch keys of texts; one for each task."""
 
-    def __init__(self, n: int = N, percent: int = PERCENT, common: np.ndarray | None = None, most_words: int = 500_000):
+    def __init__(self, n: int = N, percent: int = PERCENT, most_words: int = 500_000):
         self.n, self.percent, self.most_words, self.hashes = n, percent, most_words, _Hashes()
-        self.common = np.append(np.sort(common), np.uint64(2**64 - 1)) if common is not None and common.size else None  # of hashes
 
     def shingles(self, text: str) -> np.ndarray:
         """Sorted distinct hashes of the text's shingles."""
@@ -94,23 +97,23 @@ class Shingler:
         """The largest symmetric difference of linked sets of these sizes."""
         return (a + b) * (100 - self.percent) // (100 + self.percent)
 
-    def keys(self, h: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """The block values, hashed with band and block, by which a set's partners find it, and the least number of them that
-        linked documents share."""
+    def keys(self, h: np.ndarray) -> list[tuple[np.ndarray, int]]:
+        """For each band in which a set may have partners: its block values, hashed with band and block, in order, and how many of
+        them it carries."""
         a = h.size
         if a == 0:
-            return h, np.zeros(0, np.int32)
+            return []
         band = a.bit_length() - 1
         found = [self._keys(h, band)]
         if a * 100 >= self.percent << (band + 1):
             found.append(self._keys(h, band + 1))
-        return np.concatenate([k for k, _ in found]), np.concatenate([np.full(k.size, c, np.int32) for k, c in found])
+        return [x for x in found if x[1]]
 
     def _keys(self, h: np.ndarray, band: int) -> tuple[np.ndarray, int]:
         a, top = h.size, (2 << band) - 1
         apart = self.most_apart(a, min(a * 100 // self.percent, top))
         if apart == 0:
-            return h[:0], 1  # only an equal set links
+            return h[:0], 0  # only an equal set links
         most = self.most_apart(top, top)
         blocks = most + 1 + int(np.ceil(most * SPARE))
         block = ((h >> np.uint64(32)) * np.uint64(blocks) >> np.uint64(32)).astype(np.int64)
@@ -118,17 +121,14 @@ class Shingler:
         value = np.zeros(blocks, np.uint64)
         # A block's bits are as many as there are hashes: few are set, and the XOR of those hashes stands for them.
         value[block[start]] = np.bitwise_xor.reduceat(_mixed(h), start)
-        own = block if self.common is None else block[self.common[np.searchsorted(self.common, h)] != h]
-        rare = np.minimum(np.bincount(own, minlength=blocks), 63).astype(np.uint64)
-        # A block of the same shingles has as many rare ones, so their number may be part of the key and of the order.
-        key = _mixed(_mixed(value + rare * _MIX[0]) ^ (np.arange(blocks, dtype=np.uint64) << np.uint64(8) | np.uint64(band)))
-        order = (np.uint64(63) - rare) << np.uint64(58) | key >> np.uint64(6)
-        shared = min(EXTRA, blocks - most)  # at least so many of the values below, for any two sizes of the band
-        return key[np.argsort(order)[: apart + shared]], shared
+        key = _mixed(_mixed(value) ^ (np.arange(blocks, dtype=np.uint64) << np.uint64(8) | np.uint64(band)))
+        order = np.lexsort((key, value == 0))
+        # Documents differ in at most ``apart`` blocks, so apart + 1 values suffice; a band has more blocks than that.
+        return key[order], apart + 1
 
     def sketch(self, h: np.ndarray) -> np.ndarray:
         """The parity sketch of a whole set, in a power of two of 64-bit words; folding its halves gives the next smaller one."""
-        bits = max(64, 2 << (max(1, h.size).bit_length() - 1))
+        bits = max(64, 4 << (max(1, h.size).bit_length() - 1))
         odd = np.bincount((h >> np.uint64(6) & np.uint64(bits - 1)).astype(np.int64), minlength=bits) & 1
         return np.packbits(odd.astype(np.uint8)).view(np.int64)
 
@@ -142,34 +142,19 @@ def _print(h: np.ndarray) -> np.ndarray:
     return np.frombuffer(xxhash.xxh3_128_digest(h.tobytes()), "<i8")
 
 
-def _common_shingles(rows: DataFrame, n: int, percent: int) -> np.ndarray:
-    """Hashes of shingles that several documents of a bounded sample (by a hash of the id) hold."""
-    share = min(1.0, HINT_DOCS / max(1, rows.count()))
-    some = rows.filter(F.pmod(F.xxhash64("doc_id"), F.lit(1 << 20)) < int(share * (1 << 20)))
+def _sketches(rows: DataFrame, n: int, percent: int) -> DataFrame:
+    """``rows(doc_id, text, text_hash)`` to ``(doc_id, text_hash, n_shingles, fp1, fp2, keys, carried, sketch)``; the fingerprint is a
+    128-bit hash of the set, ``keys`` has a list of values for each band and ``carried`` how many of each count at first."""
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own = Shingler(n, percent)
-        for b in batches:
-            for _, _, texts in slices(b.column(1)):
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate([own.shingles(t) for t in texts]).view(np.int64))], names=["h"])
-
-    counts = some.mapInArrow(run, "h long").groupBy("h").agg(F.count("*").alias("n")).filter(F.col("n") >= HINT_LEAST)
-    return counts.select("h").toPandas()["h"].to_numpy(np.int64).view(np.uint64)
-
-
-def _sketches(rows: DataFrame, n: int, percent: int, common: np.ndarray) -> DataFrame:
-    """``rows(doc_id, text, text_hash)`` to ``(doc_id, text_hash, n_shingles, fp1, fp2, keys, shared, sketch)``; the fingerprint is a
-    128-bit hash of the set."""
-
-    held = rows.sparkSession.sparkContext.broadcast(common)
-
-    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        own = Shingler(n, percent, held.value)
         for b in batches:
             for lo, hi, texts in slices(b.column(1)):
                 sets = [own.shingles(t) for t in texts]
                 prints = np.array([_print(h) for h in sets])
                 keys = [own.keys(h) for h in sets]
+                bands = _lists([k for found in keys for k, _ in found] or [sets[0][:0]], np.int64)
+                ends = pa.array(np.cumsum([0, *map(len, keys)]).astype(np.int32))
                 yield pa.RecordBatch.from_arrays(
                     [
                         b.column(0).slice(lo, hi - lo),
@@ -177,14 +162,14 @@ def _sketches(rows: DataFrame, n: int, percent: int, common: np.ndarray) -> Data
                         pa.array([h.size for h in sets], pa.int64()),
                         pa.array(np.ascontiguousarray(prints[:, 0])),
                         pa.array(np.ascontiguousarray(prints[:, 1])),
-                        _lists([k for k, _ in keys], np.int64),
-                        _lists([c for _, c in keys], np.int32),
+                        pa.ListArray.from_arrays(ends, bands),
+                        pa.ListArray.from_arrays(ends, pa.array([c for found in keys for _, c in found] or [0], pa.int32())),
                         _lists([own.sketch(h) for h in sets], np.int64),
                     ],
-                    names=["doc_id", "text_hash", "n_shingles", "fp1", "fp2", "keys", "shared", "sketch"],
+                    names=["doc_id", "text_hash", "n_shingles", "fp1", "fp2", "keys", "carried", "sketch"],
                 )
 
-    return rows.mapInArrow(run, "doc_id long, text_hash long, n_shingles long, fp1 long, fp2 long, keys array<long>, shared array<int>, sketch array<long>")
+    return rows.mapInArrow(run, "doc_id long, text_hash long, n_shingles long, fp1 long, fp2 long, keys array<array<long>>, carried array<int>, sketch array<long>")
 
 
 def _sets(rows: DataFrame, n: int, percent: int) -> DataFrame:
@@ -250,50 +235,80 @@ def _labelled(rows: DataFrame, labels: DataFrame, node: str, name: str) -> DataF
     return rows.join(found, node, "left").withColumn(name, F.coalesce("_c", node)).drop("_c")
 
 
+def _groups(keyed: DataFrame, label: str) -> DataFrame:
+    """``(key, node, center)`` of ``keyed(key, node)`` where two or more share a key; ``center`` is the smallest of them. Written.
+
+    Frames end at the current row, so a group is read as a stream, however large it is.
+    """
+    group = "PARTITION BY key ORDER BY node"
+    met = keyed.selectExpr("*", f"first_value(node) OVER ({group} ROWS UNBOUNDED PRECEDING) AS center", f"lead(node) OVER ({group}) IS NOT NULL AS more")
+    return written(met.filter("node <> center OR more").drop("more"), label)
+
+
+def _few(table: DataFrame) -> DataFrame:
+    """A written table, broadcast only where its counted rows are few."""
+    return F.broadcast(table) if table.count() <= BROADCAST_IDS else table
+
+
+def _carried(order: Column) -> Column:
+    """The values that count, over all bands."""
+    return F.flatten(F.zip_with(order, "carried", lambda k, c: F.slice(k, F.lit(1), c)))
+
+
+def _meetings(nodes: DataFrame) -> DataFrame:
+    """``(key, node, center)``: the groups in which documents of ``nodes(node, keys, carried)`` meet."""
+    met = _groups(nodes.select("node", F.explode(_carried(F.col("keys"))).alias("key")), "jaccard-groups")
+    many = written(met.groupBy("key").agg(F.count("*").alias("n")).filter(F.col("n") > MANY).select("key"), "jaccard-many")
+    if many.isEmpty():
+        return met
+    few = _few(many)
+    late = met.join(few, "key", "left_semi").groupBy("node").agg(F.collect_list("key").alias("many"))
+    # Two documents of which one carries no such value share another one already, so only those that do meet anew.
+    late = written(late, "jaccard-late-nodes")
+    values = late.agg(F.sum(F.size("many"))).first()[0]
+    late = nodes.join(F.broadcast(late) if values <= BROADCAST_VALUES else late, "node").withColumn("old", _carried(F.col("keys")))
+    late = late.withColumn("now", _carried(F.transform("keys", lambda k: F.concat(F.array_except(k, "many"), F.array_intersect(k, "many")))))
+    late = late.withColumn("anew", F.concat(F.array_except("now", "old"), F.array_intersect("now", "many")))
+    late = late.withColumn("kept", F.array_except("now", "anew"))
+    each = F.concat(F.transform("anew", lambda x: F.struct(x.alias("key"), F.lit(True).alias("new"))), F.transform("kept", lambda x: F.struct(x.alias("key"), F.lit(False).alias("new"))))
+    late = _groups(late.select("node", F.explode(each).alias("k")).select("k.key", "node", "k.new"), "jaccard-late")
+    fresh = late.groupBy("key").agg(F.max("new").alias("new")).filter("new").select("key")
+    return written(met.join(few, "key", "left_anti").unionByName(late.join(fresh, "key", "left_semi").drop("new")), "jaccard-met")
+
+
 def _class_components(sketches: DataFrame, classes: DataFrame, docs: DataFrame, n: int, percent: int) -> DataFrame:
     """``(node, component)`` of the classes (a row per distinct set) that link with another."""
-    first_rows = sketches.join(classes.select(F.col("node").alias("row_id")), "row_id", "left_semi").withColumnRenamed("row_id", "node")
+    # Where the ids are few they are broadcast, so that the sketches stay where they are.
+    first_rows = sketches.join(_few(classes.select(F.col("node").alias("row_id"))), "row_id", "left_semi").withColumnRenamed("row_id", "node")
     nodes = first_rows.select("node", F.col("n_shingles").cast("int").alias("size"), "sketch")
-    keyed = first_rows.select("node", F.explode(F.arrays_zip("keys", "shared")).alias("k")).select("k.keys", "node", "k.shared").withColumnRenamed("keys", "key")
-    # Frames end at the current row, so a group is read as a stream, however large it is.
-    group = "PARTITION BY key ORDER BY node"
-    met = keyed.selectExpr("key", "node", "shared", f"first_value(node) OVER ({group} ROWS UNBOUNDED PRECEDING) AS center", f"lead(node) OVER ({group}) IS NOT NULL AS more")
-    met = written(met.filter("node <> center OR more").drop("more"), "jaccard-groups")
+    met = _meetings(first_rows.select("node", "keys", "carried"))
 
     first = met.filter("node <> center").groupBy(F.col("node").alias("v")).agg(F.min("center").alias("u")).select("u", "v")
-    first = _near(first, nodes, percent)
-    links = _verified(first, docs, classes, n, percent)
+    tested = _near(first, nodes, percent)
+    links = _verified(tested, docs, classes, n, percent)
     labels = connected_components(links)
 
-    # In groups that still hold two components, members meet a smallest member of another component.
-    named = _labelled(met, labels, "node", "component")
-    mixed = named.groupBy("key").agg(F.min("component").alias("a"), F.max("component").alias("b")).filter("a <> b").select("key")
-    named = written(named.join(mixed, "key", "left_semi"), "jaccard-mixed")
-    heads = named.filter("node = center").select("key", F.col("component").alias("head"))
-    star = named.filter("node <> center").join(heads, "key").filter("component <> head").select(F.col("center").alias("u"), F.col("node").alias("v")).distinct()
-    star = _near(star.join(first, ["u", "v"], "left_anti"), nodes, percent)
-    if not star.isEmpty():
-        links = written(links.unionByName(_verified(star, docs, classes, n, percent)), "jaccard-links")
-        labels = connected_components(links)
-
-    # Groups of three or more that still hold two components: their members other than the smallest meet each other.
-    sizes = met.groupBy("key").agg(F.count("*").alias("members"))
-    large = written(sizes.filter(F.col("members") > GROUP).select("key"), "jaccard-large")
-    few = F.broadcast(large) if large.count() <= BROADCAST_IDS else large
-    in_large = written(met.join(few, "key", "left_semi"), "jaccard-in-large")
-    # The values of a document's two bands count together, which only keeps more.
-    kept = in_large.groupBy("node").agg(F.count("*").alias("values"), F.min("shared").alias("least")).filter("values >= least").select("node")
-    rows = met.join(few, "key", "left_anti").unionByName(in_large.join(kept, "node", "left_semi").select(met.columns))
-    named = _labelled(rows.filter("node <> center").select("key", "node").join(nodes.select("node", "size"), "node"), labels, "node", "component")
-    mixed = named.groupBy("key").agg(F.min("component").alias("a"), F.max("component").alias("b")).filter("a <> b").select("key")
-    named = written(named.join(mixed, "key", "left_semi"), "jaccard-mixed")
-    one, two = (named.select("key", *(F.col(c).alias(f"{c}{i}") for c in ("node", "size", "component"))) for i in (1, 2))
-    late = one.join(two, (one["key"] == two["key"]) & (F.col("node1") < F.col("node2")) & (F.col("component1") != F.col("component2")) & _can_link(F.col("size1"), F.col("size2"), percent))
-    late = _near(late.select(F.col("node1").alias("u"), F.col("node2").alias("v")).distinct(), nodes, percent)
-    late = written(late.join(star, ["u", "v"], "left_anti"), "jaccard-late")
-    found = _verified(late, docs, classes, n, percent)
-    if not found.isEmpty():
-        labels = connected_components(links.unionByName(found))
+    for offer in range(OFFERS + 1):
+        named = _labelled(met.select("key", "node"), labels, "node", "component")
+        parts = [F.bit_xor(F.xxhash64(F.lit(i), "node")).alias(f"h{i}") for i in range(2)]
+        mixed = named.groupBy("key").agg(F.min("component").alias("a"), F.max("component").alias("b"), F.count("*").alias("members"), *parts).filter("a <> b")
+        if offer:
+            mixed = mixed.filter(F.col("members") > GROUP)
+        # Of groups with the same members one is enough.
+        mixed = written(mixed.groupBy("members", "h0", "h1").agg(F.min("key").alias("key")).select("key", "members"), "jaccard-mixed")
+        if mixed.isEmpty():
+            break
+        rows = named.join(_few(mixed), "key").join(nodes, "node")
+        rows = rows.withColumn("offer", (F.col("members") > GROUP) & F.lit(offer < OFFERS))
+        near = written(near_in_groups(rows, percent).distinct(), "jaccard-late-near")
+        if near.isEmpty():  # so there is nothing left in large groups either
+            break
+        pairs = written(near.join(tested, ["u", "v"], "left_anti"), "jaccard-late-pairs")
+        found = _verified(pairs, docs, classes, n, percent)
+        tested = tested.unionByName(pairs)
+        if not found.isEmpty():
+            links = links.unionByName(found)
+            labels = connected_components(links)
     return labels
 
 
@@ -307,7 +322,7 @@ def _row_components(docs: DataFrame, n: int, percent: int) -> DataFrame:
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_or_empty().alias("text"))
     hashed = rows.withColumn("text_hash", _text_hash())
     # Written once, so the row ids are settled.
-    sketches = written(_sketches(hashed, n, percent, _common_shingles(rows, n, percent)).withColumn("row_id", F.monotonically_increasing_id()), "jaccard-sketches")
+    sketches = written(_sketches(hashed, n, percent).withColumn("row_id", F.monotonically_increasing_id()), "jaccard-sketches")
     full = sketches.filter("n_shingles > 0")
     classes = written(full.groupBy("fp1", "fp2").agg(F.min("row_id").alias("node"), F.min(F.struct("row_id", "doc_id"))["doc_id"].alias("low"), F.min("doc_id").alias("least")), "jaccard-classes")
     labels = _class_components(sketches, classes, rows, n, percent)
