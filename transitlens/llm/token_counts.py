@@ -21,8 +21,9 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .chunks import chunks
+from .chunks import CodeTable, chunk_keys, chunk_of, sums
 from .common import slices, text_or_empty
+from .token_files import in_chunks
 
 #: Fixed value: the split of the byte-level BPE before merges.
 SPLIT = r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"""
@@ -39,9 +40,11 @@ def _byte_chars() -> dict[str, int]:
 class RankMerger:
     """Counts tokens of pre-tokens; holds the merge table as sorted arrays."""
 
-    def __init__(self, path: str, cache_size: int = 400_000):
+    def __init__(self, path: str):
         with open(path, encoding="utf-8") as f:
             spec = json.load(f)
+        if not in_chunks(path) or spec["model"].get("ignore_merges") or spec["model"].get("dropout"):
+            raise ValueError(f"{path}: not a byte-level BPE with its own split and without a normaliser")
         vocab = spec["model"]["vocab"]
         self.first = np.zeros(256, np.int64)
         for c, b in _byte_chars().items():
@@ -55,8 +58,7 @@ class RankMerger:
         added = sorted((x["content"] for x in spec.get("added_tokens", [])), key=len, reverse=True)
         self.added = regex.compile("|".join(map(regex.escape, added))) if added else None
         self.split = regex.compile(SPLIT)
-        self.known: dict[str, int] = {}
-        self.cache_size = cache_size
+        self.table, self.known = CodeTable(), np.zeros(0, np.int64)
 
     def _ranks(self, sym: np.ndarray, at: np.ndarray) -> np.ndarray:
         """Rank of the pair at each place, the largest integer where the vocabulary has none."""
@@ -103,34 +105,30 @@ class RankMerger:
             rank[near] = self._ranks(sym, near)
         return count
 
-    def _learn(self, chunks: list[str]) -> None:
-        """Counts of chunks never met: distinct pre-tokens are merged together, and summed for each chunk."""
+    def _learn(self, chunks: list[str]) -> np.ndarray:
+        """Counts of chunks: distinct pre-tokens are merged together, and summed for each chunk."""
         cut: list[list[str]] = []
-        extra = [0] * len(chunks)
+        extra = np.zeros(len(chunks), np.int64)
         for i, t in enumerate(chunks):
-            if self.added is not None and (n := len(self.added.findall(t))):
+            if t[1:].isalpha() and t[:1] == " ":
+                cut.append([t])
+            elif self.added is not None and (n := len(self.added.findall(t))):
                 extra[i] = n
                 cut.append([w for part in self.added.split(t) for w in self.split.findall(part)])
             else:
                 cut.append(self.split.findall(t))
-        words = list(set().union(*cut))
-        count = dict(zip(words, self.merge_counts(words).tolist(), strict=True))
-        self.known.update((c, n + sum(map(count.__getitem__, w))) for c, n, w in zip(chunks, extra, cut, strict=True))
+        words = CodeTable()
+        codes, ends = words.codes(cut)
+        return extra + sums(self.merge_counts(words.new)[codes], ends)
 
     def counts(self, texts: list[str]) -> list[int]:
         """Tokens of each text."""
-        cut = [chunks(t) for t in texts]
-        if len(self.known) > self.cache_size:
-            self.known.clear()
-        new = list(set().union(*cut).difference(self.known))
-        if new:
-            self._learn(new)
-        get = self.known.__getitem__
-        out = [sum(map(get, words)) for words in cut]
-        for w in new:
-            if len(w) > 64:
-                del self.known[w]
-        return out
+        if (kept := self.table.trim()) is not None:
+            self.known = self.known[kept]
+        codes, ends = self.table.codes(list(map(chunk_keys, texts)))
+        if self.table.new:
+            self.known = np.concatenate([self.known, self._learn(list(map(chunk_of, self.table.new)))])
+        return sums(self.known[codes], ends).tolist()
 
 
 @lru_cache(maxsize=2)

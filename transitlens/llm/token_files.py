@@ -16,21 +16,23 @@ of their text's hash; an empty table gives a manifest without shards and reads b
 
 from __future__ import annotations
 
+import json
 import os
+import string
 import uuid
 import zlib
-from array import array
 from collections.abc import Iterable, Iterator
 from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import pyarrow.fs as pafs
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .chunks import chunks
+from .chunks import CodeTable, Ragged, chunk_keys, chunk_of, sums
 from .common import slices, text_or_empty
 
 MANIFEST = "shard int, name string, n_docs long, n_ids long, n_sequences long"
@@ -44,28 +46,63 @@ def tokenizer(path: str):
     return Tokenizer.from_file(path)
 
 
-class ChunkEncoder:
-    """Encodes texts through the tokenizers library, each distinct chunk once; chunks met before come from a bounded table."""
+def in_chunks(path: str) -> bool:
+    """Whether chunks can be encoded apart: byte-level BPE with its own split, no normaliser, no added token with white space."""
+    with open(path, encoding="utf-8") as f:
+        spec = json.load(f)
+    split = spec.get("pre_tokenizer") or {}
+    plain = split.get("type") == "ByteLevel" and not split.get("add_prefix_space") and split.get("use_regex", True) and not spec.get("normalizer")
+    added = all(not (set(x["content"]) & set(string.whitespace) or x["lstrip"] or x["rstrip"] or x["single_word"]) for x in spec.get("added_tokens", []))
+    return plain and added and spec["model"]["type"] == "BPE"
+
 
-    def __init__(self, path: str, wide: bool, end_id: int, cache_size: int = 1_000_000):
-        self.own, self.code, self.cache_size = tokenizer(path), "I" if wide else "H", cache_size
-        self.end = array(self.code, [end_id]).tobytes()
-        self.known: dict[str, bytes] = {}
+class ChunkEncoder:
+    """Encodes texts through the tokenizers library, each distinct chunk once; chunks met before come from a bounded table.
+
+    New chunks go to the library many in one text, and as each token stands for a number of bytes, byte places tell whose it is. Where
+    chunks cannot be encoded apart, texts go to the library whole.
+    """
+
+    def __init__(self, path: str, wide: bool, end_id: int):
+        self.own, self.apart = tokenizer(path), in_chunks(path)
+        self.kind = np.dtype("<u4" if wide else "<u2")
+        self.end, self.table, self.ids = np.array([end_id], self.kind), CodeTable(), Ragged(self.kind)
+        added = {i: len(x.content.encode("utf-8")) for i, x in self.own.get_added_tokens_decoder().items()}
+        # The vocabulary has a character for each byte.
+        self.bytes = np.zeros(max(self.own.get_vocab().values()) + 1, np.int64)
+        for t, i in self.own.get_vocab().items():
+            self.bytes[i] = added.get(i, len(t))
+
+    def _learn(self, keys: list[str]) -> None:
+        # Chunks that start with one space can follow each other; the others stand alone.
+        joined = np.array([k[:1] != " " for k in keys])
+        order = np.argsort(~joined, kind="stable")
+        plain, odd = [k for k, j in zip(keys, joined, strict=True) if j], [chunk_of(k) for k, j in zip(keys, joined, strict=True) if not j]
+        size = pc.binary_length(pa.array(plain + odd, pa.large_string())).to_numpy(zero_copy_only=False).astype(np.int64)
+        size[: len(plain)] += 1
+        texts = [" " + " ".join(plain[lo : lo + 256]) for lo in range(0, len(plain), 256)] + odd
+        flat = np.concatenate([np.array(e.ids, self.kind) for lo in range(0, len(texts), 64) for e in self.own.encode_batch_fast(texts[lo : lo + 64], add_special_tokens=False)])
+        starts, place = np.cumsum(size) - size, np.cumsum(self.bytes[flat])
+        if place[-1:].sum() != size.sum():
+            raise ValueError("tokens do not add up to the bytes of their texts")
+        found = Ragged(self.kind)
+        found.extend(flat, np.bincount(np.searchsorted(starts, place - self.bytes[flat], side="right") - 1, minlength=len(keys)))
+        back = np.argsort(order)
+        self.ids.extend(found.take(back), found.size[back])
 
     def encode(self, texts: list[str]) -> list[np.ndarray]:
-        cut = [chunks(t) for t in texts]
-        if len(self.known) > self.cache_size:
-            self.known.clear()
-        new = list(set().union(*cut).difference(self.known))
-        for lo in range(0, len(new), 20_000):
-            part = new[lo : lo + 20_000]
-            self.known.update(zip(part, [array(self.code, e.ids).tobytes() for e in self.own.encode_batch_fast(part, add_special_tokens=False)], strict=True))
-        get = self.known.__getitem__
-        out = [np.frombuffer(b"".join([*map(get, words), self.end]), self.code) for words in cut]
-        for w in new:
-            if len(w) > 64:
-                del self.known[w]
-        return out
+        """Each text's ids, with the end id."""
+        if not self.apart:
+            return [np.append(np.array(e.ids, self.kind), self.end) for e in self.own.encode_batch_fast(texts, add_special_tokens=False)]
+        if (kept := self.table.trim()) is not None:
+            self.ids.keep(kept)
+        codes, ends = self.table.codes(list(map(chunk_keys, texts)))
+        if self.table.new:
+            self._learn(self.table.new)
+        flat, at = self.ids.take(codes), np.cumsum(sums(self.ids.size[codes], ends))
+        # The end ids go in between.
+        flat = np.insert(flat, at, self.end[0])
+        return np.split(flat, (at + np.arange(1, at.size + 1))[:-1])
 
 
 @lru_cache(maxsize=2)
