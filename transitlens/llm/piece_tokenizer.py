@@ -14,7 +14,6 @@ from __future__ import annotations
 import os
 import re
 import zlib
-from array import array
 from collections.abc import Iterable, Iterator
 from functools import lru_cache
 
@@ -25,6 +24,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from .chunks import CodeTable, Ragged, sums
 from .common import slices, text_or_empty
 
 MARK = "▁"
@@ -123,58 +123,84 @@ class PieceCodec:
     """Encodes texts through the tokenizers library, each distinct word once.
 
     Where no piece has the marker after another character, no piece crosses the start of a word, so a text's ids are those of its
-    words (each with the markers before it) end to end; else a text is one word. Words met before come from a bounded table.
+    words (each with the markers before it) end to end; else a text is one word. Words met before come from a bounded table; new
+    ones go to the library many in one text, in which each piece with the marker starts a word.
     """
 
-    def __init__(self, path: str, threads: int, cache_size: int = 400_000):
+    def __init__(self, path: str, threads: int):
         # The library reads these when it starts its pool, once in a worker.
         os.environ.setdefault("RAYON_NUM_THREADS", str(threads))
         os.environ["TOKENIZERS_PARALLELISM"] = "true" if threads > 1 else "false"
         with open(path, "rb") as f:
             self.model = PieceModel(f.read())
-        self.path, self.threads, self.cache_size = path, threads, cache_size
+        self.path, self.threads = path, threads
         self.own = build_tokenizer(self.model)
         m = self.model
         by_word = m.dummy_prefix and m.escape and not m.squeeze and not m.charsmap and not any(MARK in p.lstrip(MARK) or k == USER for p, _, k in m.pieces if k in (NORMAL, USER))
         self.words = re.compile(f"{MARK}*[^{MARK}]+|{MARK}+").findall if by_word else None
-        self.known: dict[str, bytes] = {}  # a word's ids as little-endian 32-bit integers
-        self.verified = False  # whether all of them have been held against sentencepiece
-        self.lossy: set[str] = set()
-        self.unlike: set[str] = set()
+        self.starts = np.array([p.startswith(MARK) for p, _, _ in m.pieces])
+        self.table, self.ids, self.lossy = CodeTable(), Ragged(np.dtype("<i4")), np.zeros(0, bool)
 
     def _split(self, text: str) -> list[str]:
-        """Words, each as a text of its own would look after normalisation."""
+        """Words, each as a text of its own would look."""
         if not text:
             return []
-        return self.words(MARK + text.replace(" ", MARK)) if self.words else [text]
-
-    def _learn(self, words: list[str], parity: bool) -> None:
-        # The library puts the marker before a text, as it stands before the word; it gives nothing for an empty text.
-        raw = [w[1:].replace(MARK, " ") for w in words] if self.words else words
-        ids = [e.ids for e in self.own.encode_batch_fast(raw, add_special_tokens=False)]
+        if self.words is None:
+            return [text]
+        if MARK in text or "  " in text or text[0] == " " or text[-1] == " ":
+            # The library puts the marker before a text, as it stands before a word.
+            return [w[1:].replace(MARK, " ") for w in self.words(MARK + text.replace(" ", MARK))]
+        return text.split(" ")
+
+    def _learn(self, words: list[str]) -> None:
+        plain = np.array([bool(w) and self.words is not None and " " not in w for w in words])
+        order = np.argsort(~plain, kind="stable")
+        one = [w for w, p in zip(words, plain, strict=True) if p]
+        odd = [w for w, p in zip(words, plain, strict=True) if not p]
+        flat, size, lossy = [], np.zeros(len(words), np.int64), np.zeros(len(words), bool)
+        for lo in range(0, len(one), 1 << 14):
+            held = [one[i : i + 256] for i in range(lo, min(lo + (1 << 14), len(one)), 256)]
+            texts = list(map(" ".join, held))
+            ids = [e.ids for e in self.own.encode_batch_fast(texts, add_special_tokens=False)]
+            at = lo
+            for part, text, x, back in zip(held, texts, ids, self.own.decode_batch(ids, skip_special_tokens=False), strict=True):
+                x = np.array(x, "<i4")
+                first = np.flatnonzero(self.starts[x])
+                if first.size != len(part):
+                    raise ValueError("a word has not one piece with the marker")
+                flat.append(x)
+                size[at : at + len(part)] = np.diff(np.append(first, x.size))
+                if back != text:
+                    alone = np.split(x, first[1:])
+                    lossy[at : at + len(part)] = [d != w for d, w in zip(self.own.decode_batch([y.tolist() for y in alone], skip_special_tokens=False), part, strict=True)]
+                at += len(part)
+        # A text that is a marker alone: the library gives nothing for an empty text.
+        ids = [[self.own.token_to_id(MARK)] if self.words and not w else e.ids for w, e in zip(odd, self.own.encode_batch_fast(odd, add_special_tokens=False), strict=True)]
         back = self.own.decode_batch(ids, skip_special_tokens=False)
-        self.lossy.update(w for w, r, d in zip(words, raw, back, strict=True) if d != r)
+        for n, (w, x, d) in enumerate(zip(odd, ids, back, strict=True), len(one)):
+            flat.append(np.array(x, "<i4"))
+            size[n], lossy[n] = len(x), d != w
+        found = Ragged(np.dtype("<i4"))
+        found.extend(np.concatenate(flat) if flat else self.ids.flat[:0], size)
+        back = np.argsort(order)
+        self.ids.extend(found.take(back), size[back])
+        self.lossy = np.concatenate([self.lossy, lossy[back]])
+
+    def encode(self, texts: list[str], parity: bool = False) -> list[tuple[np.ndarray, bool, bool | None]]:
+        """Each text's ids as 32-bit integers, whether all its words decode to themselves, whether sentencepiece gives the same ids
+        for the whole text."""
+        if (kept := self.table.trim()) is not None:
+            self.ids.keep(kept)
+            self.lossy = self.lossy[kept]
+        codes, ends = self.table.codes(list(map(self._split, texts)))
+        if self.table.new:
+            self._learn(self.table.new)
+        ids = np.split(self.ids.take(codes), np.cumsum(sums(self.ids.size[codes], ends))[:-1])
+        lossy = sums(self.lossy[codes], ends) > 0
+        same: list[bool | None] = [None] * len(texts)
         if parity:
-            self.unlike.update(w for w, x, y in zip(words, ids, reference(self.path).encode(raw, num_threads=self.threads), strict=True) if x != y)
-        self.known.update(zip(words, [array("i", x).tobytes() for x in ids], strict=True))
-        if self.words and MARK in self.known:
-            self.known[MARK] = array("i", [self.own.token_to_id(MARK)]).tobytes()
-
-    def encode(self, texts: list[str], parity: bool = False) -> list[tuple[bytes, bool, bool | None]]:
-        """Each text's ids as little-endian 32-bit integers, whether they decode to it, whether sentencepiece gives the same."""
-        if len(self.known) > self.cache_size or parity and not self.verified:
-            self.known.clear(), self.lossy.clear(), self.unlike.clear()
-            self.verified = parity
-        cut = [self._split(t) for t in texts]
-        new = list(set().union(*cut).difference(self.known))
-        if new:
-            self._learn(new, parity)
-        get, lossy, unlike = self.known.__getitem__, self.lossy, self.unlike
-        out = [(b"".join(map(get, words)), MARK not in t and lossy.isdisjoint(words), unlike.isdisjoint(words) if parity else None) for t, words in zip(texts, cut, strict=True)]
-        for w in new:
-            if len(w) > 64:
-                del self.known[w]
-        return out
+            same = [np.array_equal(x, y) for x, y in zip(ids, reference(self.path).encode(texts, num_threads=self.threads), strict=True)]
+        return [(x, MARK not in t and not bad, p) for t, x, bad, p in zip(texts, ids, lossy, same, strict=True)]
 
     def decode(self, ids: list[list[int]]) -> list[str]:
         return self.own.decode_batch(ids, skip_special_tokens=False)
@@ -192,9 +218,9 @@ def reference(path: str):
     return sentencepiece.SentencePieceProcessor(model_file=path)
 
 
-def _lists(packed: list[bytes]) -> pa.Array:
-    ends = np.cumsum([0, *(len(x) // 4 for x in packed)]).astype(np.int32)
-    return pa.ListArray.from_arrays(pa.array(ends), pa.array(np.frombuffer(b"".join(packed), "<i4")))
+def _lists(ids: list[np.ndarray]) -> pa.Array:
+    ends = np.cumsum([0, *map(len, ids)]).astype(np.int32)
+    return pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(ids)))
 
 
 def with_piece_ids(docs: DataFrame, path: str, threads: int = 2) -> DataFrame:
@@ -227,8 +253,8 @@ def decode_pieces(rows: DataFrame, path: str, threads: int = 2) -> DataFrame:
 
 
 def encode_pieces(docs: DataFrame, path: str, threads: int = 2, parity: bool = True) -> DataFrame:
-    """Per row of ``docs(doc_id, text)``: number and crc32 (little-endian 32-bit) of the ids, whether decoding them gives the
-    text, and whether sentencepiece gives the same ids (null if not ``parity``)."""
+    """Per row of ``docs(doc_id, text)``: number and crc32 (little-endian 32-bit) of the ids, whether all its words decode to
+    themselves, and whether sentencepiece gives the same ids for the whole text (null if not ``parity``)."""
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_or_empty().alias("text"))
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -239,12 +265,12 @@ def encode_pieces(docs: DataFrame, path: str, threads: int = 2, parity: bool = T
                 yield pa.RecordBatch.from_arrays(
                     [
                         b.column(0).slice(lo, hi - lo),
-                        pa.array([len(x) // 4 for x, _, _ in got], pa.int64()),
-                        pa.array([zlib.crc32(x) for x, _, _ in got], pa.int64()),
+                        pa.array([x.size for x, _, _ in got], pa.int64()),
+                        pa.array([zlib.crc32(x.data) for x, _, _ in got], pa.int64()),
                         pa.array([x for _, x, _ in got], pa.bool_()),
                         pa.array([x for _, _, x in got], pa.bool_()),
                     ],
-                    names=["doc_id", "n_pieces", "ids_crc32", "round_trip", "parity"],
+                    names=["doc_id", "n_pieces", "ids_crc32", "words_decode", "parity"],
                 )
 
-    return rows.mapInArrow(run, "doc_id long, n_pieces long, ids_crc32 long, round_trip boolean, parity boolean")
+    return rows.mapInArrow(run, "doc_id long, n_pieces long, ids_crc32 long, words_decode boolean, parity boolean")
