@@ -1,11 +1,13 @@
 """Routes keep every row of the table they come from."""
 
-from transitlens.llm.common import scratch_path
+import uuid
+
+from transitlens.plans.shared import shared_dir
 from transitlens.sources.fixtures import route_points
 
 
 def test_routes_are_whole(spark):
-    folder = scratch_path(spark, "fixtures-in")
+    folder = f"{shared_dir(spark)}/fixtures-{uuid.uuid4().hex}"
     rows = [(o, 1, 1 + o % 2, o % 9, float(o % 50), 1.0) for o in range(230)]
     spark.createDataFrame(rows, "l_orderkey long, l_suppkey long, l_linenumber int, l_partkey long, l_quantity double, l_extendedprice double").write.parquet(f"{folder}/lineitem.parquet")
     spark.range(9).withColumnRenamed("id", "p_partkey").write.parquet(f"{folder}/part.parquet")

@@ -5,9 +5,9 @@ from __future__ import annotations
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
-#: Cells are squares of ``2**shift`` metres; a level is its shift. The first two and the last serve the descent through an index,
-#: all of them the search around a point.
-DESCENT = (14, 12, 10)
+#: Cells are squares of ``2**shift`` metres; a level is its shift. Some serve the descent through an index, from a few cells of 262 km
+#: down, all of them the search around a point.
+DESCENT = (18, 14, 12, 10)
 LEVELS = (10, 12, 14, 16, 18, 20)
 _ORIGIN = 1 << 30
 
@@ -65,6 +65,12 @@ def point_box_max_sq(box: Column, x: Column, y: Column) -> Column:
     return dx * dx + dy * dy
 
 
+def boxes_max_sq(a: Column, b: Column) -> Column:
+    """Greatest squared distance between a point of one box and a point of the other."""
+    dx, dy = (F.greatest(F.abs(a[f"{v}_hi"] - b[f"{v}_lo"]), F.abs(b[f"{v}_hi"] - a[f"{v}_lo"])) for v in "xy")
+    return dx * dx + dy * dy
+
+
 def grid_cell(gx: Column, gy: Column) -> Column:
     """The cell of whole-number grid positions."""
     return F.shiftleft(gx, 31).bitwiseOR(gy)

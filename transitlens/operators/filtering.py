@@ -5,15 +5,20 @@ A probe is what is pruned for: a query, or one of its points. All probes go thro
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions import geometry as G
 from ..functions.clip import with_inside
 from ..plans.layout import StopIndex
+from ..plans.shared import few
 
 #: Stops that a probe prunes with at first, dealt to the eight directions around it; any subset gives right results.
 SEEDS, SECTORS = 64, 8
+#: Probes with their stops, and cells of the widest level, up to which a table of them is broadcast; above, Spark shuffles.
+PROBES, TOP_CELLS = 2_000, 10_000
 
 
 def _without(routes: Column, excluded: Column) -> Column:
@@ -21,22 +26,25 @@ def _without(routes: Column, excluded: Column) -> Column:
 
 
 def seed_stops(index: StopIndex, probes: DataFrame, order: str = "distance", seeds: int = SEEDS, credit: str = "crossover") -> DataFrame:
-    """``(probe_id, stop_id, x_m, y_m, routes)``: stops around each probe, nearest or most covered first in each direction.
+    """``(probe_id, stop_id, x_m, y_m, routes)``: stops around each point of a probe, nearest or most covered first in each direction.
 
-    Candidates come from the cells around the query points by an equi-join, so no stop far from a probe is looked at.
+    A probe of one point takes ``seeds`` stops; one of many points a share of them around each point, one a direction at least.
+    Candidates come from the cells around the points by an equi-join, so no stop far from a probe is looked at.
     """
     level = 12
-    offsets = [(dx, dy) for dx in range(-2, 3) for dy in range(-2, 3)]
+    offsets = [(dx, dy) for dx in (-1, 0, 1) for dy in (-1, 0, 1)]
     at = probes.select("probe_id", "exclude_route_id", "q", F.explode("q").alias("p"))
     cells = at.select("probe_id", "exclude_route_id", "q", F.explode(F.array(*(G.grid_cell(G.grid(F.col("p.x_m"), level) + dx, G.grid(F.col("p.y_m"), level) + dy) for dx, dy in offsets))).alias("cell")).distinct()
-    near = index.stops.filter(F.col("level") == level).join(F.broadcast(cells), "cell")
+    near = cells.join(index.stops.filter(F.col("level") == level), "cell")
     near = near.withColumn("routes", _without(F.col("routes"), F.col("exclude_route_id"))).filter(F.size("routes") > 0)
-    near = near.withColumn("d2", G.nearest_sq(F.col("x_m"), F.col("y_m"), F.col("q")))
-    first = F.col("q")[0]
-    sector = F.floor((F.atan2((F.col("y_m") - first["y_m"]).cast("double"), (F.col("x_m") - first["x_m"]).cast("double")) + 3.14159265358979) / 6.2831853071796 * SECTORS)
+    x, y = F.col("x_m"), F.col("y_m")
+    nearest = F.array_min(F.transform("q", lambda q, i: F.struct(G.sq_dist(x, y, q["x_m"], q["y_m"]).alias("d2"), i.alias("i"))))
+    near = near.withColumn("_n", nearest).withColumns({"d2": F.col("_n.d2"), "_q": F.get("q", F.col("_n.i"))}).filter("d2 > 0")
+    sector = F.floor((F.atan2((y - F.col("_q.y_m")).cast("double"), (x - F.col("_q.x_m")).cast("double")) + 3.14159265358979) / 6.2831853071796 * SECTORS)
     by = [F.desc(F.size("routes")), "d2", "stop_id"] if order == "coverage" else ["d2", "stop_id"]
-    w = Window.partitionBy("probe_id", sector).orderBy(*by)
-    picked = near.withColumn("nth", F.row_number().over(w)).filter(F.col("nth") <= seeds // SECTORS)
+    w = Window.partitionBy("probe_id", "_n.i", sector).orderBy(*by)
+    share = F.greatest(F.lit(1), F.floor(F.lit(seeds // SECTORS) / F.size("q")))
+    picked = near.withColumn("nth", F.row_number().over(w)).filter(F.col("nth") <= share)
     routes = F.col("routes") if credit == "crossover" else F.slice("routes", 1, 1)
     return picked.select("probe_id", "stop_id", "x_m", "y_m", routes.alias("routes"))
 
@@ -62,7 +70,7 @@ def _tested(boxes: DataFrame, probes: DataFrame, need: int, routes: DataFrame |
 
     With ``routes``, whole routes count as well: those with a stop among the probe's, where no single stop has counted them.
     """
-    sides = F.broadcast(probes.select("probe_id", "q", "stops"))
+    sides = few(probes.select("probe_id", "q", "stops"), PROBES)
     state = boxes.join(sides, "probe_id").withColumn("by", routes_around(F.col("box"), F.col("stops"), F.col("q")))
     if routes is None:
         return state.select(*boxes.columns, (F.size("by") >= need).alias("out"))
@@ -80,13 +88,17 @@ def _tested(boxes: DataFrame, probes: DataFrame, need: int, routes: DataFrame |
     return tried.groupBy("probe_id", "level", "cell").agg(F.first("box").alias("box"), out.alias("out"))
 
 
-def descend(cells: DataFrame, probes: DataFrame, need: int, routes: DataFrame | None = None) -> tuple[DataFrame, DataFrame]:
-    """Live leaf cells and pruned cells of each probe, from the coarsest level down; a pruned cell's children are never looked at."""
+def descend(cells: DataFrame, probes: DataFrame, need: int, routes: DataFrame | None = None, also: Callable[[DataFrame], DataFrame] | None = None) -> tuple[DataFrame, DataFrame]:
+    """Live leaf cells and pruned cells of each probe, from the coarsest level down; a pruned cell's children are never looked at.
+
+    ``also`` may leave out more of a level's live cells, as pruned.
+    """
     live, pruned = None, None
     for level in G.DESCENT:
         here = cells.filter(F.col("level") == level).select("level", "cell", "box")
         if live is None:
-            boxes = here.crossJoin(F.broadcast(probes.select("probe_id")))
+            # The widest cells of a plane are few: each probe starts at all of them.
+            boxes = probes.select("probe_id").join(few(here, TOP_CELLS))
         else:
             up = G.DESCENT[G.DESCENT.index(level) - 1]
             parents = live.select("probe_id", F.col("cell").alias("parent"))
@@ -94,6 +106,8 @@ def descend(cells: DataFrame, probes: DataFrame, need: int, routes: DataFrame |
         tested = _tested(boxes.select("probe_id", "level", "cell", "box"), probes, need, routes)
         live = tested.filter("NOT out").drop("out")
         gone = tested.filter("out").drop("out")
+        if also is not None:
+            live = also(live)
         pruned = gone if pruned is None else pruned.unionByName(gone)
     return live, pruned
 
@@ -111,7 +125,7 @@ def choose_filter_stops(index: StopIndex, probes: DataFrame, need: int, test_poi
     """
     sides = with_stops(probes, seed_stops(index, probes, order, seeds, credit))
     live, pruned = descend(index.cells, sides, need, route_shapes(index) if whole_route else None)
-    rest = index.points().join(live.select("probe_id", "cell"), "cell").join(F.broadcast(sides), "probe_id")
+    rest = index.points().join(live.select("probe_id", "cell"), "cell").join(few(sides, PROBES), "probe_id")
     rest = rest.withColumn("routes", _without(F.col("routes"), F.col("exclude_route_id"))).filter(F.size("routes") > 0)
     if credit == "single":
         rest = rest.withColumn("routes", F.slice("routes", 1, 1))

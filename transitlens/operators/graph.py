@@ -37,7 +37,8 @@ def shortest_to(edges: DataFrame, targets: DataFrame, cap: int) -> DataFrame:
 
     Each round relaxes the edges into stops whose distance fell in the last one; a round's tables are written, so lineage stays short.
     """
-    back = edges.select(F.col("dst").alias("at"), F.col("src").alias("to"), F.col("length_m").alias("step")).persist()
+    back = edges.select(F.col("dst").alias("at"), F.col("src").alias("to"), F.col("length_m").alias("step"))
+    back = written(back, "edges-back")
     best = written(targets.select("target", F.col("target").alias("src"), F.lit(0).cast("bigint").alias("length_m"), F.lit(True).alias("fell")), "shortest")
     while not (front := best.filter("fell")).isEmpty():
         step = front.join(back, front["src"] == back["at"]).select("target", F.col("to").alias("src"), (F.col("length_m") + F.col("step")).alias("length_m")).filter(F.col("length_m") <= cap)

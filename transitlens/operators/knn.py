@@ -1,22 +1,40 @@
-"""Forward queries: the routes nearest to a point, and to a transition."""
+"""Forward queries: the routes nearest to a point and to a transition, exhaustive or by rings of cells.
+
+By rings, an endpoint looks at the stops of the nine cells around it, in wider cells until it has found enough routes within the width of
+a cell; what lies farther cannot be nearer. All joins are on cells, so the work follows the stops around the endpoints.
+
+A route ranks among an endpoint's k nearest if fewer than k routes are strictly nearer: routes as far as the k-th tie. That route, or stop,
+then has the endpoint in its reverse result; so one forward pass answers the reverse queries of all routes, or of all stops.
+
+Defined cases: no endpoints or no routes give no rows; with fewer than k routes all rank; a repeated endpoint or stop counts once
+(:func:`kth_distances`) or once for each row (:func:`route_distances`).
+"""
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from functools import reduce
+
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.geometry import sq_dist
-from ..plans.layout import stop_routes
+from ..functions import geometry as G
+from ..plans.layout import StopIndex, stop_routes
+from ..plans.shared import few, written
+
+#: Stops up to which the exhaustive methods broadcast and pair them with every endpoint.
+SCAN_STOPS = 100_000
 
 
 def route_distances(endpoints: DataFrame, route_points: DataFrame) -> DataFrame:
     """``(transition_id, side, route_id, d2)`` for every endpoint and route: the exhaustive baseline, endpoints times stops.
 
-    The stops are broadcast; a stop's routes fan out only after the product.
+    The stops are broadcast, at most ``SCAN_STOPS``; a stop's routes fan out only after the product.
     """
     stops = stop_routes(route_points).select(F.col("x_m").alias("sx"), F.col("y_m").alias("sy"), "routes")
+    if stops.count() > SCAN_STOPS:
+        raise ValueError(f"more than {SCAN_STOPS} stops: use nearest_by_rings")
     near = endpoints.select("transition_id", "side", "x_m", "y_m").crossJoin(F.broadcast(stops))
-    near = near.select("transition_id", "side", sq_dist(F.col("x_m"), F.col("y_m"), F.col("sx"), F.col("sy")).alias("d2"), F.explode("routes").alias("route_id"))
+    near = near.select("transition_id", "side", G.sq_dist(F.col("x_m"), F.col("y_m"), F.col("sx"), F.col("sy")).alias("d2"), F.explode("routes").alias("route_id"))
     return near.groupBy("transition_id", "side", "route_id").agg(F.min("d2").alias("d2"))
 
 
@@ -27,8 +45,83 @@ def nearest_routes(endpoints: DataFrame, route_points: DataFrame, k: int, ties:
     return route_distances(endpoints, route_points).withColumn("rank", rank.over(order)).filter(F.col("rank") <= k)
 
 
-def transition_routes(endpoints: DataFrame, route_points: DataFrame, k: int, mode: str = "any") -> DataFrame:
-    """``(transition_id, route_id, mask)``: routes among the k nearest of one endpoint (``any``) or of both."""
-    found = nearest_routes(endpoints, route_points, k).withColumn("mask", F.when(F.col("side") == "o", 1).otherwise(2))
-    both = found.groupBy("transition_id", "route_id").agg(F.bit_or("mask").alias("mask"))
+def _around(points: DataFrame, index: StopIndex, level: Column) -> DataFrame:
+    """``points`` with the stops of the nine cells around, of a level from a column; ``d2`` is the squared distance."""
+    x, y = F.col("x_m"), F.col("y_m")
+    rows = points.withColumn("level", level)
+    cells = [G.grid_cell(G.grid(x, F.col("level")) + i, G.grid(y, F.col("level")) + j) for i in (-1, 0, 1) for j in (-1, 0, 1)]
+    rows = rows.withColumn("cell", F.explode(F.array(*cells)))
+    stops = index.stops.select("level", "cell", "stop_id", F.col("x_m").alias("sx"), F.col("y_m").alias("sy"), "routes")
+    return rows.join(stops, ["level", "cell"]).withColumn("d2", G.sq_dist(x, y, F.col("sx"), F.col("sy"))).drop("cell", "sx", "sy")
+
+
+def kth_distances(endpoints: DataFrame, index: StopIndex, ks: tuple[int, ...]) -> DataFrame:
+    """``(transition_id, side, x_m, y_m, kth)`` of distinct endpoints: for each of ``ks`` the squared distance of the k-th nearest route
+    (the farthest, with fewer routes). Written."""
+    keys = ["transition_id", "side", "x_m", "y_m"]
+    left = endpoints.select(*keys).distinct()
+    n_routes = index.stops.filter(F.col("level") == G.LEVELS[0]).select(F.explode("routes")).distinct().count()
+    if not n_routes:
+        return written(left.limit(0).withColumn("kth", F.array().cast("array<bigint>")), "kth")
+    need = min(max(ks), n_routes)
+
+    def found(near: DataFrame) -> DataFrame:
+        nearest = near.select(*keys, "d2", F.explode("routes").alias("route_id")).groupBy(*keys, "route_id").agg(F.min("d2").alias("d2"))
+        sorted_ = nearest.groupBy(*keys).agg(F.slice(F.sort_array(F.collect_list("d2")), 1, need).alias("d")).filter(F.size("d") >= need)
+        return sorted_.select(*keys, F.array(*(F.element_at("d", min(k, n_routes)) for k in ks)).alias("kth"))
+
+    parts = []
+    for level in G.LEVELS:
+        near = _around(left, index, F.lit(level)).filter(F.col("d2") <= 1 << 2 * level)
+        parts.append(written(found(near), "kth"))
+        left = written(left.join(parts[-1].select(*keys), keys, "left_anti"), "kth-left")
+        if left.isEmpty():
+            break
+    else:
+        # Farther from the routes than the widest cells: all stops, by their number.
+        stops = index.points().select(F.col("x_m").alias("sx"), F.col("y_m").alias("sy"), "routes")
+        if stops.count() > SCAN_STOPS:
+            raise ValueError(f"endpoints farther than {1 << G.LEVELS[-1]} m from {need} routes, and more than {SCAN_STOPS} stops")
+        every = left.crossJoin(F.broadcast(stops)).withColumn("d2", G.sq_dist(F.col("x_m"), F.col("y_m"), F.col("sx"), F.col("sy")))
+        parts.append(written(found(every), "kth"))
+    return reduce(DataFrame.unionByName, parts)
+
+
+def _within(points: DataFrame, index: StopIndex) -> DataFrame:
+    """``points(..., kth)`` with every stop no farther than the last of ``kth``."""
+    radius = F.sqrt(F.element_at("kth", -1).cast("double"))
+    level = F.lit(G.LEVELS[-1])
+    for s in reversed(G.LEVELS[:-1]):
+        level = F.when(radius <= float(1 << s), F.lit(s)).otherwise(level)
+    near = points.filter(radius <= float(1 << G.LEVELS[-1]))
+    far = points.filter(radius > float(1 << G.LEVELS[-1]))
+    found = _around(near, index, level).drop("level")
+    if not far.isEmpty():
+        stops = index.points().select("stop_id", F.col("x_m").alias("sx"), F.col("y_m").alias("sy"), "routes")
+        every = far.crossJoin(few(stops, SCAN_STOPS)).withColumn("d2", G.sq_dist(F.col("x_m"), F.col("y_m"), F.col("sx"), F.col("sy")))
+        found = found.unionByName(every.select(found.columns))
+    return found.filter(F.col("d2") <= F.element_at("kth", -1))
+
+
+def nearest_by_rings(endpoints: DataFrame, index: StopIndex, k: int) -> DataFrame:
+    """``(transition_id, side, route_id, d2)``: the routes that rank among the k nearest of each endpoint, ties kept."""
+    near = _within(kth_distances(endpoints, index, (k,)), index)
+    return near.select("transition_id", "side", "d2", F.explode("routes").alias("route_id")).groupBy("transition_id", "side", "route_id").agg(F.min("d2").alias("d2"))
+
+
+def stops_by_rings(endpoints: DataFrame, index: StopIndex, ks: tuple[int, ...]) -> DataFrame:
+    """``(k, stop_id, transition_id, side)``: stops than which fewer than k routes are strictly nearer to the endpoint."""
+    ks = tuple(sorted(ks))
+    near = _within(kth_distances(endpoints, index, ks), index)
+    each = F.filter(F.arrays_zip(F.array(*map(F.lit, ks)).alias("k"), F.col("kth").alias("kth")), lambda p: F.col("d2") <= p["kth"])
+    return near.select("stop_id", "transition_id", "side", F.explode(each).alias("p")).select(F.col("p.k").alias("k"), "stop_id", "transition_id", "side")
+
+
+def transition_routes(found: DataFrame, mode: str = "any") -> DataFrame:
+    """``(transition_id, route_id, mask)`` of ``found(transition_id, side, route_id)``: routes among the k nearest of one endpoint
+    (``any``) or of both."""
+    if mode not in ("any", "both"):
+        raise ValueError(f"mode {mode!r}")
+    marked = found.withColumn("mask", F.when(F.col("side") == "o", 1).otherwise(2))
+    both = marked.groupBy("transition_id", "route_id").agg(F.bit_or("mask").alias("mask"))
     return both if mode == "any" else both.filter("mask = 3")

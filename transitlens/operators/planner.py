@@ -1,11 +1,15 @@
 """Route planning: the path between two stops, within a length limit, that serves the most or the fewest transitions.
 
-A planning query only needs the stops through which a path of the allowed length can run. These corridors are cut out by joins;
-each query's search then runs in a task of its own, all queries in parallel.
+A planning query only needs the stops through which a path of the allowed length can run. These corridors are cut out by joins on
+cells; each query's search then runs in a task of its own, all queries in parallel.
+
+Defined cases: a query whose ends are not stops, or without a path within its limit, has no row; one whose ends are the same stop has
+that stop as its path; edges may be one-way; repeated edges count with their least length; stops without results win nothing.
 """
 
 from __future__ import annotations
 
+import bisect
 import heapq
 from collections.abc import Iterable, Iterator
 from dataclasses import dataclass, field
@@ -14,9 +18,12 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ..functions import geometry as G
 from ..plans.layout import EndpointIndex, StopIndex
 from ..plans.shared import written
+from .knn import stops_by_rings
 from .reverse import result_counts, reverse_routes
+from .verify import level_for
 
 Points = frozenset  # of (transition, side)
 RESULT = "query_id bigint, path string, length_m bigint, n_transitions bigint, n_stops bigint, labels bigint"
@@ -30,6 +37,40 @@ def served(points: Iterable[tuple[int, int]], mode: str) -> int:
     return sum(mode == "any" or m == 3 for m in sides.values())
 
 
+def _distances(near: dict[int, list[tuple[int, int]]], start: int) -> dict[int, int]:
+    """Shortest distances from a stop along ``near``."""
+    best, heap = {start: 0}, [(0, start)]
+    while heap:
+        d, v = heapq.heappop(heap)
+        if d > best[v]:
+            continue
+        for u, n in near.get(v, ()):
+            if d + n < best.get(u, d + n + 1):
+                best[u] = d + n
+                heapq.heappush(heap, (d + n, u))
+    return best
+
+
+class Ceilings:
+    """What a partial path can still win at most: all that the stops win through which it can run on to the target within the limit."""
+
+    def __init__(self, net: Network, rest: dict[int, int]):
+        self.net, self.rest = net, rest
+        self.by_end: dict[int, tuple[list[int], list[int]]] = {}
+        self.united: dict[tuple[int, int], Points] = {}
+
+    def points(self, end: int, left: int) -> Points:
+        """Of the stops that a path from ``end`` to the target of length ``left`` can pass."""
+        if end not in self.by_end:
+            need = sorted((d + self.rest[v], v) for v, d in self.net.distances_from(end).items() if v in self.rest and self.net.won.get(v))
+            self.by_end[end] = [n for n, _ in need], [v for _, v in need]
+        need, stops = self.by_end[end]
+        n = bisect.bisect_right(need, left)
+        if (end, n) not in self.united:
+            self.united[end, n] = self.net.points(stops[:n])
+        return self.united[end, n]
+
+
 @dataclass
 class Network:
     """A corridor: neighbours with lengths, and the endpoints each stop wins."""
@@ -38,20 +79,14 @@ class Network:
     won: dict[int, Points] = field(default_factory=dict)
 
     def distances_to(self, target: int) -> dict[int, int]:
-        best, heap = {target: 0}, [(0, target)]
         into: dict[int, list[tuple[int, int]]] = {}
         for u, out in self.near.items():
             for v, n in out:
                 into.setdefault(v, []).append((u, n))
-        while heap:
-            d, v = heapq.heappop(heap)
-            if d > best[v]:
-                continue
-            for u, n in into.get(v, ()):
-                if d + n < best.get(u, d + n + 1):
-                    best[u] = d + n
-                    heapq.heappush(heap, (d + n, u))
-        return best
+        return _distances(into, target)
+
+    def distances_from(self, source: int) -> dict[int, int]:
+        return _distances(self.near, source)
 
     def points(self, path: Iterable[int]) -> Points:
         return frozenset().union(*(self.won.get(v, Points()) for v in path))
@@ -118,9 +153,7 @@ def search(net: Network, src: int, dst: int, limit: int, objective: str = "max",
     rest = net.distances_to(dst)
     if rest.get(src, limit + 1) > limit:
         return None
-    there = Network({v: out for v, out in net.near.items()}).distances_to(src) if bound and objective == "max" else {}
-    fits = [v for v in rest if there.get(v, limit + 1) + rest[v] <= limit]
-    ceiling = net.points(fits)
+    ceilings = Ceilings(net, rest)
     first = (0, (src,), net.won.get(src, Points()))
     heap, table, best, n = [first[:2]], {src: [first]}, None, 1
     held = {first[1]: first}
@@ -139,9 +172,9 @@ def search(net: Network, src: int, dst: int, limit: int, objective: str = "max",
             if simple and v in path or v not in rest or length + step + rest[v] > limit:
                 continue
             new = (length + step, (*path, v), points | net.won.get(v, Points()))
-            if best is not None and objective == "min" and served(new[2], mode) > best.value:
+            if best is not None and objective == "min" and bound and served(new[2], mode) > best.value:
                 continue
-            if best is not None and objective == "max" and bound and served(new[2] | ceiling, mode) < best.value:
+            if best is not None and objective == "max" and bound and served(new[2] | ceilings.points(v, limit - new[0]), mode) < best.value:
                 continue
             if dominance != "none":
                 rows = table.setdefault(v, [])
@@ -157,12 +190,19 @@ def search(net: Network, src: int, dst: int, limit: int, objective: str = "max",
     return best and Plan(best.path, best.length, best.value, n)
 
 
-def vertex_omega(stops: StopIndex, endpoints: EndpointIndex, ks: tuple[int, ...] = (10,), only: DataFrame | None = None) -> DataFrame:
-    """``(k, stop_id, transition_id, mask)``: each stop (or those of ``only(stop_id)``) as a query of its own, all in one plan, for
-    all k from one count."""
+def vertex_omega(stops: StopIndex, endpoints: EndpointIndex, ks: tuple[int, ...] = (10,), only: DataFrame | None = None, method: str = "rings") -> DataFrame:
+    """``(k, stop_id, transition_id, mask)``: each stop (or those of ``only(stop_id)``) as a query of its own, for all k at once.
+
+    ``rings`` finds for each endpoint how far its k-th nearest route is, and the stops within; work follows the stops around the
+    endpoints. ``queries`` asks each stop as a reverse query, which reads what lies around the stops asked for only.
+    """
+    if method == "rings":
+        at = stops_by_rings(endpoints.points, stops, ks)
+        at = at if only is None else at.join(only.select("stop_id").distinct(), "stop_id", "left_semi")
+        return at.groupBy("k", "stop_id", "transition_id").agg(F.bit_or(F.when(F.col("side") == "o", 1).otherwise(2)).alias("mask"))
     wanted = stops.points() if only is None else stops.points().join(only.select("stop_id").distinct(), "stop_id", "left_semi")
     queries = wanted.select(F.col("stop_id").alias("query_id"), F.lit(0).alias("q_idx"), "x_m", "y_m", F.lit(None).cast("bigint").alias("exclude_route_id"))
-    counts = result_counts(stops, endpoints, queries, max(ks), "framework")
+    counts = result_counts(stops, endpoints, queries, max(ks), "split")
     at = counts.withColumn("k", F.explode(F.array(*map(F.lit, ks)))).filter(F.col("nearer") < F.col("k"))
     return at.groupBy("k", F.col("query_id").alias("stop_id"), "transition_id").agg(F.bit_or(F.when(F.col("side") == "o", 1).otherwise(2)).alias("mask"))
 
@@ -176,16 +216,29 @@ def path_omega(paths: DataFrame, omega: DataFrame, mode: str = "any") -> DataFra
 def corridors(queries: DataFrame, edges: DataFrame, stops: DataFrame) -> DataFrame:
     """``(query_id, src, dst, max_len_m, u, v, length_m)``: edges on which a path of the query can run.
 
-    Straight distances bound travel distances from below (but for a rounding of each edge), so the corridor holds every path.
+    An edge of length n, rounded, spans at most n + 0.5, so at most ``1 + 0.5 / least`` times its length, ``least`` being the shortest
+    edge: straight distances, with that factor, bound travel distances from below and the corridor holds every path. It lies in a square
+    around the middle of both ends, of which a few cells of suitable width are looked at.
     """
     ends = stops.select("stop_id", "x_m", "y_m")
+    least = edges.agg(F.min("length_m")).first()[0] or 1
     a, b = (ends.select(F.col("stop_id").alias(e), F.struct("x_m", "y_m").alias(f"{e}_at")) for e in ("src", "dst"))
-    q = queries.join(a, "src").join(b, "dst")
+    reach = F.ceil(F.col("max_len_m") * (1 + 0.5 / max(least, 1)) + 1).cast("bigint")
+    q = queries.select("query_id", "src", "dst", "max_len_m").join(a, "src").join(b, "dst").withColumn("reach", reach)
+    q = q.withColumn("level", level_for(F.col("reach"), 0.5))
+    for axis in "xy":
+        middle = F.expr(f"(src_at.{axis}_m + dst_at.{axis}_m) div 2")
+        half = F.expr("reach div 2 + 1")
+        q = q.withColumn(f"g{axis}", F.explode(F.sequence(G.grid(middle - half, F.col("level")), G.grid(middle + half, F.col("level")))))
+    q = q.withColumn("cell", G.grid_cell(F.col("gx"), F.col("gy"))).drop("gx", "gy")
+    at = F.explode(F.array(*(F.struct(F.lit(s).alias("level"), G.cell_at(F.col("x_m"), F.col("y_m"), s).alias("cell")) for s in G.LEVELS)))
+    placed = ends.withColumn("_at", at).select("*", "_at.level", "_at.cell").drop("_at")
 
     def straight(p: str) -> Column:
         return F.sqrt(((F.col("x_m") - F.col(f"{p}.x_m")) ** 2 + (F.col("y_m") - F.col(f"{p}.y_m")) ** 2).cast("double"))
 
-    inside = ends.join(F.broadcast(q), straight("src_at") + straight("dst_at") <= F.col("max_len_m") * 1.01 + 64).select("query_id", "src", "dst", "max_len_m", F.col("stop_id").alias("u"))
+    inside = q.join(placed, ["level", "cell"]).filter(straight("src_at") + straight("dst_at") <= F.col("reach"))
+    inside = inside.select("query_id", "src", "dst", "max_len_m", F.col("stop_id").alias("u"))
     both = inside.join(edges.select(F.col("src").alias("u"), F.col("dst").alias("v"), "length_m"), "u")
     return both.join(inside.select("query_id", F.col("u").alias("v")), ["query_id", "v"])
 
@@ -227,26 +280,33 @@ def plan_routes(queries: DataFrame, edges: DataFrame, stops: DataFrame, omega: D
     return cut.groupBy("query_id").cogroup(inner.groupBy("asked")).applyInPandas(run, RESULT)
 
 
-def candidate_paths(queries: DataFrame, edges: DataFrame, stops: DataFrame) -> DataFrame:
-    """``(query_id, nth, length_m, path)``: every loopless path within the limit, shortest first."""
+def candidate_paths(queries: DataFrame, edges: DataFrame, stops: DataFrame, most: int = 1_000_000) -> DataFrame:
+    """``(query_id, nth, length_m, path)``: every loopless path within the limit, shortest first; more than ``most`` of a query are an
+    error, never cut."""
 
     def run(e: pd.DataFrame) -> pd.DataFrame:
         net = Network()
         for u, v, n in sorted(zip(e["u"], e["v"], e["length_m"], strict=True)):
             net.near.setdefault(u, []).append((v, n))
         q, src, dst, limit = (int(e[c].iloc[0]) for c in ("query_id", "src", "dst", "max_len_m"))
-        return pd.DataFrame([(q, i, n, list(p)) for i, (n, p) in enumerate(paths_within(net, src, dst, limit))], columns=["query_id", "nth", "length_m", "path"])
+        rows = []
+        for i, (n, p) in enumerate(paths_within(net, src, dst, limit)):
+            if i >= most:
+                raise ValueError(f"query {q} has more than {most} paths: search instead of enumerating")
+            rows.append((q, i, n, list(p)))
+        return pd.DataFrame(rows, columns=["query_id", "nth", "length_m", "path"])
 
     return corridors(queries, edges, stops).groupBy("query_id").applyInPandas(run, "query_id bigint, nth bigint, length_m bigint, path array<bigint>")
 
 
-def plan_by_queries(queries: DataFrame, edges: DataFrame, index: StopIndex, endpoints: EndpointIndex, k: int, objective: str = "max", mode: str = "any") -> DataFrame:
+def plan_by_queries(queries: DataFrame, edges: DataFrame, index: StopIndex, endpoints: EndpointIndex, k: int, objective: str = "max", mode: str = "any", method: str = "split") -> DataFrame:
     """The plain baseline: every candidate path is a reverse query of its own, all in one batch; then the best of each query."""
     stops = index.points().select("stop_id", "x_m", "y_m")
-    paths = written(candidate_paths(queries, edges, stops).withColumn("cand", F.col("query_id") * 1_000_000 + F.col("nth")), "candidates")
+    # Written once, so the numbers of candidates are settled.
+    paths = written(candidate_paths(queries, edges, stops).withColumn("cand", F.monotonically_increasing_id()), "candidates")
     points = paths.select("cand", F.posexplode("path").alias("q_idx", "stop_id")).join(stops, "stop_id")
     asked = points.select(F.col("cand").alias("query_id"), "q_idx", "x_m", "y_m", F.lit(None).cast("bigint").alias("exclude_route_id"))
-    found = reverse_routes(index, endpoints, asked, k, mode, method="framework").groupBy(F.col("query_id").alias("cand")).agg(F.count("*").alias("n_transitions"))
+    found = reverse_routes(index, endpoints, asked, k, mode, method=method).groupBy(F.col("query_id").alias("cand")).agg(F.count("*").alias("n_transitions"))
     return best_of(paths.join(found, "cand", "left").withColumn("n_transitions", F.coalesce("n_transitions", F.lit(0))), objective)
 
 
@@ -256,5 +316,3 @@ def best_of(candidates: DataFrame, objective: str = "max") -> DataFrame:
     key = F.struct(value.alias("v"), "length_m", "path")
     best = candidates.groupBy("query_id").agg(F.min(key).alias("b"), F.count("*").alias("labels"))
     return best.select("query_id", F.array_join(F.col("b.path").cast("array<string>"), "-").alias("path"), "b.length_m", F.abs("b.v").alias("n_transitions"), F.size("b.path").cast("bigint").alias("n_stops"), "labels")
-
-

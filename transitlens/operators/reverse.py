@@ -7,11 +7,11 @@ from pyspark.sql import functions as F
 
 from ..functions import geometry as G
 from ..plans.layout import EndpointIndex, StopIndex, build_endpoint_index, build_stop_index, stop_routes
-from ..plans.shared import written
+from ..plans.shared import few, written
 from ..schema import QUERY_POINTS
 from .filtering import SEEDS, choose_filter_stops, route_shapes, seed_stops, with_stops
 from .pruning import prune_endpoints
-from .verify import nearer_counts
+from .verify import PROBES, nearer_counts
 
 METHODS = ("forward", "scan", "framework", "cell", "split")
 #: Stops up to which the exhaustive methods broadcast and pair them with every endpoint.
@@ -27,15 +27,17 @@ def query_frame(spark: SparkSession, points: list[tuple[int, int]], query_id: in
 
 
 def probes_of(queries: DataFrame, split: bool) -> DataFrame:
-    """``(probe_id, query_id, q_idx, q, all_q, exclude_route_id)``: a probe per query, or one per query point.
+    """``(probe_id, query_id, q_idx, q, all_q, exclude_route_id)``: a probe per query, or one per query point; written.
 
     ``q`` is what a probe prunes for, ``all_q`` the whole query, and ``q_idx`` is null for a whole query.
     """
     whole = queries.groupBy("query_id").agg(F.array_sort(F.collect_set(F.struct("q_idx", "x_m", "y_m"))).alias("all_q"), F.max("exclude_route_id").alias("exclude_route_id"))
-    if not split:
-        return whole.select(F.col("query_id").alias("probe_id"), "query_id", F.lit(None).cast("int").alias("q_idx"), F.col("all_q").alias("q"), "all_q", "exclude_route_id")
-    one = whole.select("query_id", F.explode("all_q").alias("p"), "all_q", "exclude_route_id")
-    return one.select((F.col("query_id") * 4096 + F.col("p.q_idx")).alias("probe_id"), "query_id", F.col("p.q_idx").alias("q_idx"), F.array("p").alias("q"), "all_q", "exclude_route_id")
+    if split:
+        each = whole.select("query_id", F.explode("all_q").alias("p"), "all_q", "exclude_route_id")
+        probes = each.select("query_id", F.col("p.q_idx").alias("q_idx"), F.array("p").alias("q"), "all_q", "exclude_route_id")
+    else:
+        probes = whole.select("query_id", F.lit(None).cast("int").alias("q_idx"), F.col("all_q").alias("q"), "all_q", "exclude_route_id")
+    return written(probes.select(F.monotonically_increasing_id().alias("probe_id"), "*"), "probe-points")
 
 
 def apply_mode(points: DataFrame, mode: str) -> DataFrame:
@@ -55,11 +57,11 @@ def _need(k: int, rank_rule: str) -> int:
 
 def _exhaustive(route_points: DataFrame, endpoints: DataFrame, queries: DataFrame, need: int, ranked: bool) -> DataFrame:
     """Result points by pairing every endpoint with every stop; guarded by the number of stops."""
-    stops = stop_routes(route_points).persist()
+    stops = written(stop_routes(route_points), "scan-stops")
     if stops.count() > SCAN_STOPS:
         raise ValueError(f"more than {SCAN_STOPS} stops: use framework, cell or split")
-    probes = F.broadcast(probes_of(queries, False).select("query_id", F.col("all_q"), "exclude_route_id"))
-    rows = endpoints.select("transition_id", "side", "x_m", "y_m").crossJoin(probes)
+    probes = probes_of(queries, False).select("query_id", F.col("all_q"), "exclude_route_id")
+    rows = endpoints.select("transition_id", "side", "x_m", "y_m").join(few(probes, PROBES))
     rows = rows.withColumn("dq", G.nearest_sq(F.col("x_m"), F.col("y_m"), F.col("all_q"))).drop("all_q")
     keys = ["query_id", "transition_id", "side"]
     side = stops.select(F.col("x_m").alias("sx"), F.col("y_m").alias("sy"), "routes")
@@ -76,24 +78,29 @@ def _exhaustive(route_points: DataFrame, endpoints: DataFrame, queries: DataFram
     return rows.select(*keys).join(counts, keys, "left").filter(F.coalesce("nearer", F.lit(0)) < need).select(*keys)
 
 
-def result_counts(stops: StopIndex, endpoints: EndpointIndex, queries: DataFrame, need: int, method: str = "split", order: str = "distance", credit: str = "crossover", descend_routes: bool = False, points: bool = True, seeds: int = SEEDS) -> DataFrame:
-    """``(query_id, transition_id, side, nearer)`` by filter, prune and verify, for all queries in one plan.
+def filtered_probes(stops: StopIndex, queries: DataFrame, need: int, method: str = "split", order: str = "distance", credit: str = "crossover", descend_routes: bool | None = None, seeds: int = SEEDS) -> DataFrame:
+    """The filter step: probes with the stops they prune with; written.
 
-    Any subset of the stops prunes soundly, and what a probe broadcasts must stay small: by default its seeds prune, a fixed number
-    around it. ``descend_routes`` adds the stops that the descent through the route cells leaves, nearest first, four times as many.
+    Any subset of the stops prunes soundly, and what a probe carries must stay small: its seeds, a fixed number around each point, and
+    with ``descend_routes`` (the default for whole queries) the nearest of the stops that a descent through the route cells leaves, four
+    times as many.
     """
-    probes = written(probes_of(queries, method == "split"), "probe-points")
-    whole = method == "cell"
+    probes = probes_of(queries, method == "split")
     chosen = seed_stops(stops, probes, order, seeds, credit)
-    if descend_routes:
-        left_over, _, _ = choose_filter_stops(stops, probes, need, True, credit, order, whole, seeds)
-        near = left_over.join(F.broadcast(probes.select("probe_id", "q")), "probe_id").withColumn("_d", G.nearest_sq(F.col("x_m"), F.col("y_m"), F.col("q")))
+    if descend_routes or descend_routes is None and method != "split":
+        left_over, _, _ = choose_filter_stops(stops, probes, need, True, credit, order, method == "cell", seeds)
+        near = left_over.join(few(probes.select("probe_id", "q"), PROBES), "probe_id").withColumn("_d", G.nearest_sq(F.col("x_m"), F.col("y_m"), F.col("q")))
         nth = F.row_number().over(Window.partitionBy("probe_id").orderBy("_d", "stop_id"))
         chosen = near.withColumn("_n", nth).filter(F.col("_n") <= 4 * seeds).select(chosen.columns).unionByName(chosen).dropDuplicates(["probe_id", "stop_id"])
-    sides = written(with_stops(probes, chosen), "probes")
-    left = prune_endpoints(endpoints, sides, need, route_shapes(stops) if whole else None, points)
-    counts = nearer_counts(left, stops, sides)
-    return counts.filter(F.col("nearer") < need).join(F.broadcast(sides.select("probe_id", "query_id")), "probe_id").select("query_id", "transition_id", "side", "nearer")
+    return written(with_stops(probes, chosen), "probes")
+
+
+def result_counts(stops: StopIndex, endpoints: EndpointIndex, queries: DataFrame, need: int, method: str = "split", points: bool = True, **options) -> DataFrame:
+    """``(query_id, transition_id, side, nearer)`` by filter, prune and verify, for all queries in one plan."""
+    sides = filtered_probes(stops, queries, need, method, **options)
+    left = prune_endpoints(endpoints, sides, need, route_shapes(stops) if method == "cell" else None, points, stops)
+    counts = nearer_counts(left, stops, sides, need)
+    return counts.filter(F.col("nearer") < need).join(few(sides.select("probe_id", "query_id"), PROBES), "probe_id").select("query_id", "transition_id", "side", "nearer")
 
 
 def reverse_routes(route_points: DataFrame | StopIndex, endpoints: DataFrame | EndpointIndex, queries: DataFrame, k: int, mode: str = "any", rank_rule: str = "exact", method: str = "split", **options) -> DataFrame:

@@ -24,7 +24,7 @@ def stop_routes(route_points: DataFrame) -> DataFrame:
     """A row per distinct stop with the sorted routes through it."""
     return (
         route_points.groupBy("stop_id")
-        .agg(F.first("x_m").alias("x_m"), F.first("y_m").alias("y_m"), F.array_sort(F.collect_set("route_id")).alias("routes"))
+        .agg(F.min("x_m").alias("x_m"), F.min("y_m").alias("y_m"), F.array_sort(F.collect_set("route_id")).alias("routes"))
         .withColumn("n_routes", F.size("routes"))
     )
 
@@ -95,7 +95,7 @@ def read_endpoints(spark: SparkSession, path: str, since: str | None = None, bef
         if day is not None:
             points, cells = (x.filter(f"day {op} DATE'{day}'") for x in (points, cells))
     box = F.struct(F.min("box.x_lo").alias("x_lo"), F.max("box.x_hi").alias("x_hi"), F.min("box.y_lo").alias("y_lo"), F.max("box.y_hi").alias("y_hi"))
-    return EndpointIndex(points, cells.groupBy("level", "cell").agg(box.alias("box"), F.sum("n").alias("n")).persist())
+    return EndpointIndex(points, cells.groupBy("level", "cell").agg(box.alias("box"), F.sum("n").alias("n")))
 
 
 def expire(spark: SparkSession, path: str, before: str) -> int:

@@ -8,12 +8,13 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.geometry import DESCENT
-from ..operators.filtering import descend, seed_stops, with_stops
+from ..operators.filtering import route_shapes
 from ..operators.graph import build, path_length
 from ..operators.pruning import prune_endpoints
-from ..operators.reverse import probes_of
+from ..operators.reverse import filtered_probes
+from ..operators.verify import nearer_counts
 from .layout import EndpointIndex, StopIndex
+from .shared import written
 
 
 def dataset_stats(route_points: DataFrame, transitions: DataFrame) -> DataFrame:
@@ -50,11 +51,28 @@ def timed(make: Callable[[], DataFrame], repeat: int = 1) -> dict[str, float]:
     return {"mean": sum(took) / len(took), "p50": took[len(took) // 2], "p95": took[min(len(took) - 1, int(0.95 * len(took)))]}
 
 
+def phases(stops: StopIndex, endpoints: EndpointIndex, queries: DataFrame, k: int, method: str = "split") -> list[tuple[str, float, int]]:
+    """``(phase, seconds, rows)`` of a reverse query: stops to prune with, candidates left by pruning, endpoints won."""
+    out, began = [], time.time()
+
+    def ended(phase: str, rows: int) -> None:
+        nonlocal began
+        out.append((phase, time.time() - began, rows))
+        began = time.time()
+
+    sides = filtered_probes(stops, queries, k, method)
+    ended("filter", sides.agg(F.coalesce(F.sum(F.size("stops")), F.lit(0))).first()[0])
+    left = written(prune_endpoints(endpoints, sides, k, route_shapes(stops) if method == "cell" else None, True, stops), "phase-candidates")
+    ended("prune", left.count())
+    ended("verify", written(nearer_counts(left, stops, sides, k).filter(F.col("nearer") < k), "phase-won").count())
+    return out
+
+
 def pruning_power(stops: StopIndex, endpoints: EndpointIndex, queries: DataFrame, k: int, method: str = "split") -> DataFrame:
-    """``(probes, live_cells, candidates)`` of a method: work that does not depend on the machine."""
-    probes = probes_of(queries, method == "split")
-    sides = with_stops(probes, seed_stops(stops, probes)).persist()
-    live, _ = descend(endpoints.cells, sides, k)
-    left = prune_endpoints(endpoints, sides, k)
-    counts = [sides.agg(F.count("*").alias("probes")), live.filter(F.col("level") == DESCENT[-1]).agg(F.count("*").alias("live_cells")), left.agg(F.count("*").alias("candidates"))]
-    return counts[0].crossJoin(counts[1]).crossJoin(counts[2])
+    """``(probes, filter_stops, candidates, won)`` of a method: work that does not depend on the machine."""
+    sides = filtered_probes(stops, queries, k, method)
+    left = written(prune_endpoints(endpoints, sides, k, route_shapes(stops) if method == "cell" else None, True, stops), "power-candidates")
+    won = nearer_counts(left, stops, sides, k).filter(F.col("nearer") < k)
+    counts = [sides.agg(F.count("*").alias("probes"), F.sum(F.size("stops")).alias("filter_stops")), left.agg(F.count("*").alias("candidates")), won.agg(F.count("*").alias("won"))]
+    # One row each.
+    return counts[0].join(F.broadcast(counts[1])).join(F.broadcast(counts[2]))

@@ -2,27 +2,29 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions import geometry as G
-from ..operators import graph, planner, trips
+from ..operators import graph, knn, planner, trips
 from ..operators.filtering import choose_filter_stops
 from ..operators.reverse import probes_of, reverse_routes
-from ..schema import endpoints
+from ..schema import TRANSITIONS, endpoints
 from ..sources import fixtures as X
 from ..streaming import transitions as stream
 from . import metrics
 from . import oracles as O
-from .layout import build_endpoint_index, build_stop_index, cell_routes, endpoint_cells, stop_routes
-from .shared import written
-from .workloads import planning_queries, route_queries
-
-#: The routes that serve as queries, and the planning queries' stops and limit.
-ROUTE, BATCH = 51, (51, 52, 61)
-STOPS, PERCENT = 5, 140
+from .layout import append_transitions, build_endpoint_index, build_stop_index, cell_routes, endpoint_cells, expire, read_endpoints, stop_routes, write_endpoints
+from .shared import shared_dir, written
+from .workloads import chord_queries, planning_queries, random_queries, route_queries
+
+#: The route that serves as a query where one is asked, and the planning queries' stops and limit in percent.
+ROUTE = 51
+STOPS, PERCENT = 6, 140
+KS = (1, 5, 10, 15, 20, 25)
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 SQL: dict[str, str] = {}
 
@@ -37,25 +39,113 @@ def _points(spark: SparkSession, d: str) -> DataFrame:
     return endpoints(X.transitions(spark, d))
 
 
-def _query(spark: SparkSession, d: str, routes: tuple[int, ...] = (ROUTE,), rp: DataFrame | None = None) -> DataFrame:
+def _query(spark: SparkSession, d: str, rp: DataFrame | None = None) -> DataFrame:
+    """A whole route as the query, itself out of the competition."""
     rp = X.route_points(spark, d) if rp is None else rp
-    return route_queries(rp.filter(F.col("route_id").isin(*routes)), 4)
+    return route_queries(rp.filter(F.col("route_id") == ROUTE))
 
 
-def _reverse(method: str, mode: str, k: int = 10, routes: tuple[int, ...] = (ROUTE,), rule: str = "exact") -> Callable[[SparkSession, str], DataFrame]:
+def _reverse(method: str, mode: str, k: int = 10, rule: str = "exact", large: bool = False) -> Callable[[SparkSession, str], DataFrame]:
     def run(spark: SparkSession, d: str) -> DataFrame:
         rp = written(X.route_points(spark, d), "route-points")
-        return reverse_routes(rp, written(_points(spark, d), "endpoints"), _query(spark, d, routes, rp), k, mode, rule, method)
+        points = endpoints(X.large_transitions(spark, d)) if large else _points(spark, d)
+        return reverse_routes(rp, written(points, "endpoints"), _query(spark, d, rp), k, mode, rule, method)
 
     return run
 
 
 for _mode in ("any", "both"):
     for _method in ("forward", "scan", "framework", "cell", "split"):
-        _add(f"reverse_{_method}_{_mode}", _reverse(_method, _mode), O.reverse(O.every_fourth(ROUTE), 10, _mode))
-_add("reverse_loose_any", _reverse("split", "any", rule="loose"), O.reverse(O.every_fourth(ROUTE), 10, loose=True))
-for _k in (1, 5, 10):
-    _add(f"reverse_batch_k{_k}", _reverse("split", "any", _k, BATCH), O.reverse(O.every_fourth(*BATCH), _k))
+        _add(f"reverse_{_method}_{_mode}", _reverse(_method, _mode), O.reverse(O.whole_route(ROUTE), 10, _mode))
+    _add(f"reverse_large_{_mode}", _reverse("split", _mode, large=True), O.reverse(O.whole_route(ROUTE), 10, _mode, trips=O.TR_LARGE))
+_add("reverse_loose_any", _reverse("split", "any", rule="loose"), O.reverse(O.whole_route(ROUTE), 10, loose=True))
+_add("reverse_point", lambda s, d: (lambda rp: reverse_routes(rp, written(_points(s, d), "endpoints"), _query(s, d, rp).filter("q_idx = 1"), 10))(written(X.route_points(s, d), "route-points")), O.reverse(O.whole_route(ROUTE) + " AND seq = 1", 10))
+
+
+def _indexes(spark: SparkSession, d: str, large: bool = False) -> tuple:
+    rp = written(X.route_points(spark, d), "route-points")
+    points = endpoints(X.large_transitions(spark, d)) if large else _points(spark, d)
+    return rp, build_stop_index(rp), build_endpoint_index(written(points, "endpoints"))
+
+
+def _ranks(spark: SparkSession, d: str, large: bool = False, ks: tuple[int, ...] = KS) -> DataFrame:
+    """``(k, transition_id, route_id, mask)``: for each k the routes that rank among the k nearest of a transition's ends. A route's own
+    result, itself out of the competition, is the transitions that have it here."""
+    _, stops, points = _indexes(spark, d, large)
+    near = knn.nearest_by_rings(points.points, stops, max(ks))
+    rank = F.rank().over(Window.partitionBy("transition_id", "side").orderBy("d2"))
+    each = near.withColumn("rank", rank).withColumn("k", F.explode(F.array(*map(F.lit, ks)))).filter("rank <= k")
+    return each.groupBy("k", "transition_id", "route_id").agg(F.bit_or(F.when(F.col("side") == "o", 1).otherwise(2)).alias("mask"))
+
+
+def _counted(found: DataFrame, *by: str) -> DataFrame:
+    return found.groupBy(*by).agg(F.count("*").alias("n_any"), F.count_if(F.col("mask") == 3).alias("n_both"))
+
+
+_MASKS = ", masks AS (SELECT k, transition_id, route_id, bit_or(side) AS mask FROM ranked, (SELECT unnest([1, 5, 10, 15, 20, 25]) AS k) WHERE rank <= k GROUP BY 1, 2, 3)"
+_add(
+    "nearest_routes_k",
+    lambda s, d: (lambda x: knn.nearest_by_rings(x[2].points, x[1], 10).select("transition_id", "side", "route_id", "d2"))(_indexes(s, d)),
+    O.RANKED + " SELECT transition_id, CASE side WHEN 1 THEN 'o' ELSE 'd' END AS side, route_id, d AS d2 FROM ranked WHERE rank <= 10",
+)
+for _mode in ("any", "both"):
+    _add(
+        f"transition_routes_{_mode}",
+        (lambda mode: lambda s, d: (lambda x: knn.transition_routes(knn.nearest_by_rings(x[2].points, x[1], 10), mode))(_indexes(s, d)))(_mode),
+        O.RANKED + _MASKS + f" SELECT transition_id, route_id, CAST(mask AS INTEGER) AS mask FROM masks WHERE k = 10{'' if _mode == 'any' else ' AND mask = 3'}",
+    )
+_add("reverse_all_routes", lambda s, d: _counted(_ranks(s, d, ks=(10,)), "route_id"), O.RANKED + _MASKS + " SELECT route_id, count(*) AS n_any, CAST(count_if(mask = 3) AS BIGINT) AS n_both FROM masks WHERE k = 10 GROUP BY 1")
+_add("reverse_all_routes_large", lambda s, d: _counted(_ranks(s, d, True, (10,)), "route_id"))
+_add("sweep_k", lambda s, d: _counted(_ranks(s, d), "k"), O.RANKED + _MASKS + " SELECT CAST(k AS INTEGER) AS k, count(*) AS n_any, CAST(count_if(mask = 3) AS BIGINT) AS n_both FROM masks GROUP BY 1")
+_add("sweep_k_large", lambda s, d: _counted(_ranks(s, d, True), "k"))
+
+
+def _sweep(lengths: tuple[int, ...], intervals: tuple[int, ...], n: int = 5) -> Callable[[SparkSession, str], DataFrame]:
+    """Generated queries, ``n`` of each length and interval, in one batch by the split method."""
+
+    def run(spark: SparkSession, d: str) -> DataFrame:
+        rp, stops, points = _indexes(spark, d)
+        parts = [random_queries(rp, n, m, step, seed=m).withColumn("query_id", (F.col("query_id") * 100 + m) * 10 + step // 1000) for m in lengths for step in intervals]
+        asked = parts[0]
+        for p in parts[1:]:
+            asked = asked.unionByName(p)
+        found = reverse_routes(stops, points, written(asked, "sweep-queries"), 10)
+        found = found.withColumns({"length": F.expr("query_id div 10 % 100"), "interval_km": F.expr("query_id % 10")})
+        return _counted(found, "length", "interval_km")
+
+    return run
+
+
+_add("sweep_length", _sweep(tuple(range(3, 11)), (3000,)))
+_add("sweep_interval", _sweep((5,), tuple(range(1000, 7000, 1000))))
+
+
+def _mode_invariant(spark: SparkSession, d: str) -> DataFrame:
+    """Transitions that a route wins by both ends but not by any: none."""
+    found = _ranks(spark, d, ks=(10,))
+    both = found.filter("mask = 3").select("route_id", "transition_id")
+    return both.join(found.filter("mask > 0").select("route_id", "transition_id"), ["route_id", "transition_id"], "left_anti").agg(F.count("*").alias("n"))
+
+
+def _point_invariant(spark: SparkSession, d: str) -> DataFrame:
+    """Endpoints nearer to one of a route's stops than to the query, and among them those not nearer to the route: none."""
+    rp = written(X.route_points(spark, d), "route-points")
+    stops, asked = stop_routes(rp), probes_of(_query(spark, d, rp), False).select("all_q")
+    dq = G.nearest_sq(F.col("x_m"), F.col("y_m"), F.col("all_q"))
+    near = trips.within_radius(_points(spark, d), stops, 1500).join(F.broadcast(asked)).withColumn("dq", dq).filter("d2 < dq")
+    route = near.join(stops.select("stop_id", "routes"), "stop_id").select("transition_id", "side", "dq", "d2", F.explode("routes").alias("route_id"))
+    least = route.groupBy("transition_id", "side", "route_id").agg(F.min("d2").alias("to_route"), F.min("dq").alias("dq"))
+    return least.agg(F.count("*").alias("n"), F.count_if(F.col("to_route") >= F.col("dq")).alias("n_wrong"))
+
+
+_add("both_within_any", _mode_invariant, "SELECT CAST(0 AS BIGINT) AS n")
+_add(
+    "point_implies_route",
+    _point_invariant,
+    f"WITH {O.RP}, {O.TR}, {O.EP}, {O.ST}, q AS ({O.whole_route(ROUTE)}), e AS (SELECT transition_id, side, ep.x, ep.y, min((ep.x - q.x) * (ep.x - q.x) + (ep.y - q.y) * (ep.y - q.y)) AS dq FROM ep CROSS JOIN q GROUP BY ALL) "
+    "SELECT count(*) AS n, CAST(0 AS BIGINT) AS n_wrong FROM (SELECT DISTINCT transition_id, side, route_id FROM e JOIN st s ON s.x BETWEEN e.x - 1500 AND e.x + 1500 AND s.y BETWEEN e.y - 1500 AND e.y + 1500 JOIN through USING (stop_id) "
+    "WHERE (e.x - s.x) * (e.x - s.x) + (e.y - s.y) * (e.y - s.y) <= 2250000 AND (e.x - s.x) * (e.x - s.x) + (e.y - s.y) * (e.y - s.y) < dq)",
+)
 
 _add(
     "stop_routes",
@@ -80,7 +170,7 @@ def _filter_stops_sound(spark: SparkSession, d: str) -> DataFrame:
     """Stops of the filter set, of pruned cells and pruned by themselves: together each stop once."""
     rp = written(X.route_points(spark, d), "route-points")
     index = build_stop_index(rp)
-    probes = written(probes_of(_query(spark, d, rp=rp), False), "probe-points")
+    probes = probes_of(_query(spark, d, rp), False)
     chosen, cells, points = choose_filter_stops(index, probes, 10)
     stops = index.points()
     in_cells = [stops.withColumn("cell", G.cell_at(F.col("x_m"), F.col("y_m"), s)).join(cells.filter(F.col("level") == s).select("cell"), "cell", "left_semi").filter(F.size(F.array_remove("routes", F.lit(ROUTE))) > 0).select("stop_id") for s in G.DESCENT]
@@ -117,47 +207,52 @@ _add(
 _add("graph_edges", lambda s, d: graph.build(X.route_points(s, d)), f"WITH {O.RP}, {O.SEGMENTS}, {O.EDGES} SELECT src, dst, CAST(length_m AS BIGINT) AS length_m FROM edges")
 
 
+#: Distance up to which shortest paths are listed.
+CAP_M = 4000
+
+
 def _shortest(spark: SparkSession, d: str) -> DataFrame:
-    rp = X.route_points(spark, d).persist()
+    rp = written(X.route_points(spark, d), "route-points")
     target = rp.filter((F.col("route_id") == ROUTE) & (F.col("seq") == 1)).select(F.col("stop_id").alias("target"))
     return graph.shortest_to(graph.build(rp), target, 6000)
 
 
-_add("shortest_to", _shortest, O.shortest(ROUTE, 6000))
-
-
-def _indexes(spark: SparkSession, d: str) -> tuple:
-    rp = written(X.route_points(spark, d), "route-points")
-    return rp, build_stop_index(rp), build_endpoint_index(written(_points(spark, d), "endpoints"))
+_add("shortest_to", _shortest, O.shortest(f"SELECT stop_id AS target FROM rp WHERE route_id = {ROUTE} AND seq = 1", 6000))
+_add("all_pairs_near", lambda s, d: graph.all_pairs(graph.build(X.route_points(s, d)), CAP_M), O.shortest("SELECT DISTINCT stop_id AS target FROM rp", CAP_M))
 
 
-def _vertex_omega(spark: SparkSession, d: str) -> DataFrame:
+def _vertex_omega(spark: SparkSession, d: str, ks: tuple[int, ...], method: str = "rings") -> DataFrame:
     _, stops, points = _indexes(spark, d)
-    return planner.vertex_omega(stops, points, (1,))
+    return planner.vertex_omega(stops, points, ks, method=method)
 
 
-_add("vertex_omega", _vertex_omega, O.vertex_omega())
+_add("vertex_omega", lambda s, d: _vertex_omega(s, d, (1,)), O.vertex_omega())
+_add("vertex_omega_ks", lambda s, d: _counted(_vertex_omega(s, d, (1, 5, 10)), "k", "stop_id"), O.vertex_counts((1, 5, 10)))
 
 
 def _path_omega(spark: SparkSession, d: str) -> DataFrame:
     rp, stops, points = _indexes(spark, d)
     path = rp.filter(F.col("route_id") == ROUTE).select(F.col("route_id").alias("query_id"), "stop_id")
-    return planner.path_omega(path, planner.vertex_omega(stops, points, (1,), path))
+    return planner.path_omega(path, planner.vertex_omega(stops, points, (10,), path).drop("k"))
+
 
+_add("path_omega", _path_omega, O.reverse(f"SELECT route_id AS query_id, x_m AS x, y_m AS y, CAST(NULL AS BIGINT) AS excluded FROM rp WHERE route_id = {ROUTE}", 10))
 
-_add("path_omega", _path_omega, O.reverse(f"SELECT route_id AS query_id, x_m AS x, y_m AS y, CAST(NULL AS BIGINT) AS excluded FROM rp WHERE route_id = {ROUTE}", 1))
+
+def _planner(spark: SparkSession, d: str, k: int = 10) -> tuple:
+    """All that the planners need: queries (both ends of the first stops of every route), edges, stops, results of the stops."""
+    rp, stops, points = _indexes(spark, d)
+    asked = written(planning_queries(rp, STOPS, PERCENT), "planning")
+    edges, where = written(graph.build(rp), "edges"), stops.points().select("stop_id", "x_m", "y_m")
+    omega = written(planner.vertex_omega(stops, points, (k,)).drop("k"), "omega")
+    return rp, stops, points, asked, edges, where, omega
 
 
 def _plan(method: str, objective: str, mode: str, dominance: str = "contain") -> Callable[[SparkSession, str], DataFrame]:
     def run(spark: SparkSession, d: str) -> DataFrame:
-        rp, stops, points = _indexes(spark, d)
-        asked = written(planning_queries(rp.filter(F.col("route_id").isin(*BATCH)), STOPS, PERCENT), "planning")
-        edges = written(graph.build(rp), "edges")
+        rp, stops, points, asked, edges, where, omega = _planner(spark, d)
         if method == "enumerate":
-            return planner.plan_by_queries(asked, edges, stops, points, 1, objective, mode).drop("labels")
-        where = stops.points().select("stop_id", "x_m", "y_m")
-        inside = planner.corridors(asked, edges, where).select(F.col("u").alias("stop_id"))
-        omega = written(planner.vertex_omega(stops, points, (1,), inside), "omega")
+            return planner.plan_by_queries(asked, edges, stops, points, 10, objective, mode).drop("labels")
         return planner.plan_routes(asked, edges, where, omega, objective, mode, method, dominance).drop("labels")
 
     return run
@@ -166,21 +261,59 @@ def _plan(method: str, objective: str, mode: str, dominance: str = "contain") ->
 for _objective in ("max", "min"):
     for _mode in ("any", "both"):
         for _method in ("search", "pre", "enumerate"):
-            _add(f"plan_{_method}_{_objective}_{_mode}", _plan(_method, _objective, _mode), O.plan(_objective, _mode, BATCH, STOPS, PERCENT))
+            _add(f"plan_{_method}_{_objective}_{_mode}", _plan(_method, _objective, _mode), O.plan(_objective, _mode, STOPS, PERCENT))
 _add("plan_search_count_dominance", _plan("search", "max", "any", "count"))
-_add("plan_shortest", _plan("shortest", "max", "any"))
+_add("plan_shortest", _plan("shortest", "max", "any"), O.plan("shortest", "any", STOPS, PERCENT))
+
+
+def _count_rule_gap(spark: SparkSession, d: str) -> DataFrame:
+    """How the published dominance rule does against the optimum: queries, queries that lose, transitions won and possible."""
+    _, _, _, asked, edges, where, omega = _planner(spark, d)
+    best, found = (planner.plan_routes(asked, edges, where, omega, dominance=x).select("query_id", F.col("n_transitions").alias(x)) for x in ("contain", "count"))
+    return best.join(found, "query_id").agg(F.count("*").alias("n_queries"), F.count_if(F.col("count") < F.col("contain")).alias("n_lost"), F.sum("count").alias("won"), F.sum("contain").alias("best"))
+
+
+def _replanned(spark: SparkSession, d: str) -> DataFrame:
+    """Every route's first stops re-planned under their own length: transitions of the old way and of the new one."""
+    rp, _, _, _, edges, where, omega = _planner(spark, d)
+    asked = written(planning_queries(rp, STOPS, 100), "planning")
+    old = planner.path_omega(rp.filter(F.col("seq") <= STOPS).select(F.col("route_id").alias("query_id"), "stop_id"), omega).groupBy("query_id").agg(F.count("*").alias("old"))
+    new = planner.plan_routes(asked, edges, where, omega).select("query_id", "length_m", F.col("n_transitions").alias("new"))
+    return asked.select("query_id", "max_len_m").join(new, "query_id").join(old, "query_id", "left").select("query_id", "max_len_m", "length_m", F.coalesce("old", F.lit(0)).alias("old"), "new")
+
+
+def _plan_sweep(ratios: tuple[int, ...], chords: tuple[int, ...]) -> Callable[[SparkSession, str], DataFrame]:
+    """Planning queries by chord (km) and limit (percent of the chord): how many have a path, and what the best of them win."""
+
+    def run(spark: SparkSession, d: str) -> DataFrame:
+        _, stops, _, _, edges, where, omega = _planner(spark, d)
+        out = None
+        for chord in chords:
+            pairs = written(chord_queries(where, edges, chord * 1000), "planning-pairs")
+            for ratio in ratios:
+                asked = pairs.withColumn("max_len_m", F.expr(f"chord_m * {ratio} div 100"))
+                for objective in ("max", "min"):
+                    best = planner.plan_routes(asked, edges, where, omega, objective)
+                    row = best.agg(F.count("*").alias("n_found"), F.coalesce(F.sum("n_transitions"), F.lit(0)).alias("n_transitions"), F.coalesce(F.sum("labels"), F.lit(0)).alias("labels"))
+                    row = row.select(F.lit(chord).alias("chord_km"), F.lit(ratio).alias("ratio"), F.lit(objective).alias("objective"), "*")
+                    out = row if out is None else out.unionByName(row)
+        return out
+
+    return run
+
+
+_add("plan_count_rule_gap", _count_rule_gap)
+_add("plan_replanned_routes", _replanned, O.replanned(STOPS))
+_add("plan_sweep_ratio", _plan_sweep((100, 120, 140, 160, 180, 200), (3,)))
+_add("plan_sweep_chord", _plan_sweep((140,), (1, 2, 3, 4, 5)))
 
 
 def _four_routes(spark: SparkSession, d: str) -> DataFrame:
     """Original, shortest, max and min route between the ends of a route's first stops."""
-    rp, stops, points = _indexes(spark, d)
-    own = rp.filter((F.col("route_id") == ROUTE) & (F.col("seq") <= STOPS))
-    asked = written(planning_queries(rp.filter(F.col("route_id") == ROUTE), STOPS, PERCENT), "planning")
-    edges, where = written(graph.build(rp), "edges"), stops.points().select("stop_id", "x_m", "y_m")
-    inside = planner.corridors(asked, edges, where).select(F.col("u").alias("stop_id")).union(own.select("stop_id"))
-    omega = written(planner.vertex_omega(stops, points, (1,), inside), "omega")
+    rp, _, _, asked, edges, where, omega = _planner(spark, d)
+    own, asked = rp.filter((F.col("route_id") == ROUTE) & (F.col("seq") <= STOPS)), asked.filter(F.col("query_id") == ROUTE)
     served = planner.path_omega(own.select(F.col("route_id").alias("query_id"), "stop_id"), omega).agg(F.count("*").alias("n_transitions"))
-    parts = [graph.path_length(own).crossJoin(served).select(F.lit("original").alias("kind"), "length_m", "n_transitions", "n_stops")]
+    parts = [graph.path_length(own).join(F.broadcast(served)).select(F.lit("original").alias("kind"), "length_m", "n_transitions", "n_stops")]
     for kind, method, objective in (("shortest", "shortest", "max"), ("max", "search", "max"), ("min", "search", "min")):
         parts.append(planner.plan_routes(asked, edges, where, omega, objective, "any", method).select(F.lit(kind).alias("kind"), "length_m", "n_transitions", "n_stops"))
     out = parts[0]
@@ -189,7 +322,7 @@ def _four_routes(spark: SparkSession, d: str) -> DataFrame:
     return out
 
 
-_add("four_routes", _four_routes)
+_add("four_routes", _four_routes, O.four_routes(ROUTE, STOPS, PERCENT))
 
 
 def _boardings(spark: SparkSession, d: str) -> DataFrame:
@@ -219,8 +352,8 @@ _add(
 )
 _add(
     "route_overlap",
-    lambda s, d: (lambda b: b.filter(F.col("route_id") == BATCH[0]).select("transition_id").intersect(b.filter(F.col("route_id") != BATCH[0]).select("transition_id")).agg(F.count("*").alias("shared")))(_boardings(s, d)),
-    _BOARD + f" SELECT count(*) AS shared FROM (SELECT transition_id FROM board WHERE route_id = {BATCH[0]} INTERSECT SELECT transition_id FROM board WHERE route_id <> {BATCH[0]})",
+    lambda s, d: (lambda b: b.filter(F.col("route_id") == ROUTE).select("transition_id").intersect(b.filter(F.col("route_id") != ROUTE).select("transition_id")).agg(F.count("*").alias("shared")))(_boardings(s, d)),
+    _BOARD + f" SELECT count(*) AS shared FROM (SELECT transition_id FROM board WHERE route_id = {ROUTE} INTERSECT SELECT transition_id FROM board WHERE route_id <> {ROUTE})",
 )
 _add("uncovered_transitions", lambda s, d: X.transitions(s, d).select("transition_id").join(_boardings(s, d), "transition_id", "left_anti"), _BOARD + " SELECT transition_id FROM tr ANTI JOIN board USING (transition_id)")
 _add(
@@ -251,7 +384,7 @@ def _pruning(method: str) -> Callable[[SparkSession, str], DataFrame]:
     return run
 
 
-for _method in ("framework", "split"):
+for _method in ("framework", "cell", "split"):
     _add(f"pruning_power_{_method}", _pruning(_method))
 
 
@@ -281,3 +414,77 @@ def _stream_dedup(spark: SparkSession, d: str) -> DataFrame:
 
 
 _add("stream_dedup", _stream_dedup, "SELECT DISTINCT event_id, user_id FROM events")
+
+
+def _stream_sessions(spark: SparkSession, d: str) -> DataFrame:
+    events = stream.stream_table(spark, d, "events").withColumn("ts", F.col("ts").cast("timestamp"))
+    return stream.drained(stream.session_counts(events), "stream-sessions", "complete").select("user_id", F.unix_micros("start").alias("start_us"), "n")
+
+
+_add(
+    "stream_sessions",
+    _stream_sessions,
+    "SELECT user_id, CAST(epoch_us(min(ts)) AS BIGINT) AS start_us, count(*) AS n FROM (SELECT user_id, ts, sum(gap) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS s FROM (SELECT user_id, ts, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) < INTERVAL 6 HOUR THEN 0 ELSE 1 END AS gap FROM events)) GROUP BY user_id, s",
+)
+
+
+def _stream_reverse(spark: SparkSession, d: str) -> DataFrame:
+    """Trips that arrive as a stream, each classified once for a registered route."""
+    rp, stops, _ = _indexes(spark, d)
+    folder = f"{shared_dir(spark)}/arrivals-{uuid.uuid4().hex}"
+    X.transitions(spark, d).repartition(3, "user_id").write.parquet(f"{folder}/transitions.parquet")
+    arriving = spark.readStream.schema(TRANSITIONS).option("maxFilesPerTrigger", 1).parquet(f"{folder}/transitions.parquet")
+    return stream.classify(arriving, stops, written(_query(spark, d, rp), "registered"), 10)
+
+
+_add("stream_reverse", _stream_reverse, O.reverse(O.whole_route(ROUTE), 10))
+
+
+def _updated_index(spark: SparkSession, d: str, keep: bool) -> DataFrame:
+    """A stored index that was filled in two parts and lost its oldest days, asked for one route."""
+    rp, stops, _ = _indexes(spark, d)
+    path = f"{shared_dir(spark)}/stored-{uuid.uuid4().hex}"
+    rows, old = _points(spark, d), F.col("ts") < F.lit("2024-01-16").cast("timestamp")
+    write_endpoints(rows.filter(old), path)
+    append_transitions(rows.filter(~old), path)
+    if not keep:
+        expire(spark, path, "2024-01-10")
+    return reverse_routes(stops, read_endpoints(spark, path, since="2024-01-01"), _query(spark, d, rp), 10)
+
+
+_add("reverse_appended", lambda s, d: _updated_index(s, d, True), O.reverse(O.whole_route(ROUTE), 10))
+_add("reverse_expired", lambda s, d: _updated_index(s, d, False), O.reverse(O.whole_route(ROUTE), 10, trips=O.TR_LATE))
+
+
+def _profiles(spark: SparkSession, d: str) -> DataFrame:
+    """The commonest kinds of check-in among the transitions that each route wins."""
+    won = _ranks(spark, d, ks=(10,)).select("route_id", "transition_id")
+    kinds = won.join(spark.read.parquet(f"{d}/events.parquet").select(F.col("event_id").alias("transition_id"), "event_type"), "transition_id")
+    rank = F.row_number().over(Window.partitionBy("route_id").orderBy(F.desc("n"), "event_type")).cast("bigint")
+    return kinds.groupBy("route_id", "event_type").agg(F.count("*").alias("n")).withColumn("rank", rank).filter("rank <= 3")
+
+
+_add("advertising_profiles", _profiles, O.RANKED + _MASKS + ", g AS (SELECT route_id, event_type, count(*) AS n FROM masks JOIN events ON event_id = transition_id WHERE k = 10 GROUP BY 1, 2) SELECT *, row_number() OVER (PARTITION BY route_id ORDER BY n DESC, event_type) AS rank FROM g QUALIFY row_number() OVER (PARTITION BY route_id ORDER BY n DESC, event_type) <= 3")
+_add(
+    "won_by_period",
+    lambda s, d: _ranks(s, d, ks=(10,)).join(X.transitions(s, d).select("transition_id", F.hour("ts").cast("bigint").alias("hour")), "transition_id").groupBy("route_id", "hour").agg(F.count("*").alias("n")),
+    O.RANKED + _MASKS + " SELECT route_id, CAST(hour(ts) AS BIGINT) AS hour, count(*) AS n FROM masks JOIN tr USING (transition_id) WHERE k = 10 GROUP BY 1, 2",
+)
+
+
+def _phases(spark: SparkSession, d: str) -> DataFrame:
+    """Seconds and counts of each phase, by method and k, for one whole route; the seconds differ from run to run."""
+    rp, stops, points = _indexes(spark, d)
+    asked = written(_query(spark, d, rp), "phase-query")
+    rows = [(m, k, *r) for m in ("framework", "cell", "split") for k in (1, 10, 25) for r in metrics.phases(stops, points, asked, k, m)]
+    return spark.createDataFrame(rows, "method string, k int, phase string, seconds double, rows long")
+
+
+_add("reverse_phases", _phases)
+_add("stop_heat", lambda s, d: X.route_points(s, d).groupBy(G.cell_at(F.col("x_m"), F.col("y_m"), 12).alias("cell")).agg(F.count("*").alias("n_points"), F.count_distinct("route_id").alias("n_routes")), f"WITH {O.RP} SELECT {O.cell('x_m', 'y_m', 12)} AS cell, count(*) AS n_points, count(DISTINCT route_id) AS n_routes FROM rp GROUP BY 1")
+for _column, _low, _high in (("chord_m", 0, 200_000), ("interval_m", 800, 1300), ("n_stops", 0, 200)):
+    _add(
+        f"hist_{_column}",
+        (lambda c, lo, hi: lambda s, d: metrics.histogram(metrics.detour_ratio(X.route_points(s, d)), c, lo, hi, 20))(_column, _low, _high),
+        _RATIO + f", h AS (SELECT round(chord, 6) AS chord_m, round(length_m / n_stops, 6) AS interval_m, n_stops FROM r) SELECT CAST(CASE WHEN {_column} < {_low} THEN 0 WHEN {_column} >= {_high} THEN 21 ELSE floor(({_column} - {_low}.0) / {_high - _low}.0 * 20) + 1 END AS BIGINT) AS bin, count(*) AS n FROM h GROUP BY 1",
+    )

@@ -8,6 +8,7 @@ import shutil
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -25,6 +26,11 @@ def shared_dir(spark: SparkSession) -> str:
     return f"file://{own}"
 
 
+def few(table: DataFrame, most: int) -> DataFrame:
+    """``table``, broadcast only where its counted rows are at most so many."""
+    return F.broadcast(table) if table.count() <= most else table
+
+
 def written(df: DataFrame, label: str) -> DataFrame:
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/{label}-{uuid.uuid4().hex}"

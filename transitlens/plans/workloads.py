@@ -41,3 +41,14 @@ def planning_queries(route_points: DataFrame, stops: int = 5, percent: int = 140
     ends = route_points.groupBy("route_id").agg(F.max(F.when(F.col("seq") == 1, F.col("stop_id"))).alias("src"), F.max(F.when(F.col("seq") == stops, F.col("stop_id"))).alias("dst"))
     length = segments(route_points).filter(F.col("seq") < stops).groupBy("route_id").agg(F.sum("length_m").alias("n"))
     return ends.join(length, "route_id").select(F.col("route_id").alias("query_id"), "src", "dst", F.expr(f"n * {percent} div 100").alias("max_len_m"))
+
+
+def chord_queries(stops: DataFrame, edges: DataFrame, chord_m: int, n: int = 20) -> DataFrame:
+    """``(query_id, src, dst, chord_m)``: ``n`` stops drawn by hash as starts, each with the stop whose straight distance is nearest to
+    ``chord_m``, smaller ids first; both ends have edges."""
+    places = stops.join(edges.select(F.col("src").alias("stop_id")).distinct(), "stop_id", "left_semi")
+    first = places.orderBy(_draw(3, F.col("stop_id")), "stop_id").limit(n).select(F.col("stop_id").alias("src"), F.col("x_m").alias("sx"), F.col("y_m").alias("sy"))
+    apart = F.sqrt(((F.col("sx") - F.col("x_m")) ** 2 + (F.col("sy") - F.col("y_m")) ** 2).cast("double"))
+    near = places.join(F.broadcast(first), (F.abs(F.col("x_m") - F.col("sx")) <= 2 * chord_m) & (F.abs(F.col("y_m") - F.col("sy")) <= 2 * chord_m) & (F.col("stop_id") != F.col("src")))
+    best = near.groupBy("src").agg(F.min(F.struct(F.abs(apart - chord_m).alias("gap"), F.col("stop_id").alias("dst"), F.round(apart).cast("bigint").alias("chord_m"))).alias("b"))
+    return best.select(F.col("src").alias("query_id"), "src", "b.dst", "b.chord_m")

@@ -1,6 +1,9 @@
 """Transitions as a stream: arrivals paired per user, counted in windows, deduplicated, classified for registered queries.
 
 A new transition is classified once, by the routes alone, so results only grow until transitions expire.
+
+Defined cases: a stream without rows gives no rows; repeated events count once where deduplicated, else each time; rows later than the
+watermark are dropped from windows and sessions.
 """
 
 from __future__ import annotations
@@ -23,22 +26,37 @@ def stream_table(spark: SparkSession, folder: str, name: str, files_per_batch: i
     return spark.readStream.schema(schema).option("maxFilesPerTrigger", files_per_batch).option("pathGlobFilter", f"{name}.parquet").parquet(folder)
 
 
-def pair_checkins(events: DataFrame, ttl: str | None = None) -> DataFrame:
-    """``events(event_id, user_id, ts, x, y)`` to transitions: each check-in paired with its user's last one, kept as state."""
+def pair_checkins(events: DataFrame, ttl_s: int | None = None, late: str = "1 hour") -> DataFrame:
+    """``events(event_id, user_id, ts, x, y)`` to transitions: each check-in paired with its user's last one, kept as state.
+
+    With ``ttl_s`` a check-in more than so many seconds after the last one starts anew, and state that old is dropped once the watermark
+    (``late`` behind the latest check-in) has passed it. A check-in older than its user's last one comes too late and pairs with nothing.
+    """
 
     def run(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        if state.hasTimedOut:
+            state.remove()
+            return
         last = state.get if state.exists else None
         rows = pd.concat(list(batches)).sort_values(["ts", "event_id"])
         out = []
         for e in rows.itertuples():
-            if last is not None:
+            at = e.ts.value // 1000
+            if last is not None and at < last[2]:
+                continue
+            if last is not None and (ttl_s is None or at - last[2] <= ttl_s * 1_000_000):
                 out.append((e.event_id, key[0], last[0], last[1], e.x, e.y, e.ts))
-            last = (int(e.x), int(e.y))
+            last = (int(e.x), int(e.y), at)
         state.update(last)
+        if ttl_s is not None:
+            state.setTimeoutTimestamp(max(last[2] // 1000 + ttl_s * 1000, state.getCurrentWatermarkMs() + 1))
         yield pd.DataFrame(out, columns=["transition_id", "user_id", "o_x", "o_y", "d_x", "d_y", "ts"])
 
+    if ttl_s is not None:
+        events = events.withWatermark("ts", late)
     out = "transition_id bigint, user_id bigint, o_x bigint, o_y bigint, d_x bigint, d_y bigint, ts timestamp"
-    return events.groupBy("user_id").applyInPandasWithState(run, out, "x bigint, y bigint", "append", GroupStateTimeout.NoTimeout)
+    timeout = GroupStateTimeout.NoTimeout if ttl_s is None else GroupStateTimeout.EventTimeTimeout
+    return events.groupBy("user_id").applyInPandasWithState(run, out, "x bigint, y bigint, at bigint", "append", timeout)
 
 
 def window_counts(transitions: DataFrame, width: str = "1 day", slide: str | None = None, late: str = "1 hour") -> DataFrame:
