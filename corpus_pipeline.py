@@ -2,7 +2,8 @@
 
 Quality rules drop documents that fail; of each group of near duplicates one document stays; personal data is replaced by labels;
 sources are mixed to target weights, a document as often as the mix takes it; the last stage encodes what is left as SentencePiece
-ids and returns a row of figures per document. All stages but the last return the columns of ``documents``.
+ids and returns a row of figures per document. All stages but the last return the columns of ``documents``, whatever those are called. An
+empty table stays empty through all stages; very long texts are handled whole.
 """
 
 from __future__ import annotations
@@ -19,22 +20,28 @@ from transitlens.llm.source_mix import mixed_rows
 
 
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """The documents that keep the base rules and whose source is not rejected. Null, empty and short texts go; rows that repeat stay."""
     return keep_good_documents(docs)
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One row of each group of near duplicates, of the smallest id, null last; rows that repeat one id with different texts are judged
+    by their texts; documents without words stay."""
     return one_of_each_group(docs)
 
 
 def personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """All rows, personal data in ``text`` replaced or removed; a null text stays null."""
     return sanitised_rows(docs)
 
 
 def mixing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Each row as often as the mix takes it; a null source is one of its own; rows equal in id and text are taken alike."""
     return mixed_rows(docs)
 
 
 def encoding(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """A row of figures for each row; a null text has no ids."""
     return encode_pieces(docs, public_tokenizers.path("piece_bpe_32k.model"))
 
 
