@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -18,7 +17,7 @@ from ..streaming import transitions as stream
 from . import metrics
 from . import oracles as O
 from .layout import append_transitions, build_endpoint_index, build_stop_index, cell_routes, endpoint_cells, expire, read_endpoints, stop_routes, write_endpoints
-from .shared import shared_dir, written
+from .shared import scratch_path, written
 from .workloads import chord_queries, planning_queries, random_queries, route_queries
 
 #: The route that serves as a query where one is asked, and the planning queries' stops and limit in percent.
@@ -431,7 +430,7 @@ _add(
 def _stream_reverse(spark: SparkSession, d: str) -> DataFrame:
     """Trips that arrive as a stream, each classified once for a registered route."""
     rp, stops, _ = _indexes(spark, d)
-    folder = f"{shared_dir(spark)}/arrivals-{uuid.uuid4().hex}"
+    folder = scratch_path(spark, "arrivals")
     X.transitions(spark, d).repartition(3, "user_id").write.parquet(f"{folder}/transitions.parquet")
     arriving = spark.readStream.schema(TRANSITIONS).option("maxFilesPerTrigger", 1).parquet(f"{folder}/transitions.parquet")
     return stream.classify(arriving, stops, written(_query(spark, d, rp), "registered"), 10)
@@ -443,7 +442,7 @@ _add("stream_reverse", _stream_reverse, O.reverse(O.whole_route(ROUTE), 10))
 def _updated_index(spark: SparkSession, d: str, keep: bool) -> DataFrame:
     """A stored index that was filled in two parts and lost its oldest days, asked for one route."""
     rp, stops, _ = _indexes(spark, d)
-    path = f"{shared_dir(spark)}/stored-{uuid.uuid4().hex}"
+    path = scratch_path(spark, "stored")
     rows, old = _points(spark, d), F.col("ts") < F.lit("2024-01-16").cast("timestamp")
     write_endpoints(rows.filter(old), path)
     append_transitions(rows.filter(~old), path)

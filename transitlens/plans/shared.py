@@ -31,8 +31,29 @@ def few(table: DataFrame, most: int) -> DataFrame:
     return F.broadcast(table) if table.count() <= most else table
 
 
+#: Paths of the tables written so far, by this process.
+_PATHS: list[str] = []
+
+
+def scratch_path(spark: SparkSession, label: str) -> str:
+    """A fresh path in the shared folder; :func:`discard` deletes what lies there."""
+    _PATHS.append(f"{shared_dir(spark)}/{label}-{uuid.uuid4().hex}")
+    return _PATHS[-1]
+
+
 def written(df: DataFrame, label: str) -> DataFrame:
+    """``df`` written once as a Parquet table in the shared folder and read back: lineage ends there."""
     spark = df.sparkSession
-    path = f"{shared_dir(spark)}/{label}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
+    path = scratch_path(spark, label)
+    df.write.option("compression", "zstd").parquet(path)
     return spark.read.schema(df.schema).parquet(path)
+
+
+def discard(spark: SparkSession) -> int:
+    """Deletes all tables that this process wrote; for when no result that reads them is wanted any more. Returns how many."""
+    jvm, conf = spark.sparkContext._jvm, spark.sparkContext._jsc.hadoopConfiguration()
+    n = len(_PATHS)
+    while _PATHS:
+        path = jvm.org.apache.hadoop.fs.Path(_PATHS.pop())
+        path.getFileSystem(conf).delete(path, True)
+    return n

@@ -17,7 +17,7 @@ from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from ..operators.reverse import reverse_routes
 from ..plans.layout import StopIndex
-from ..plans.shared import shared_dir
+from ..plans.shared import scratch_path
 
 
 def stream_table(spark: SparkSession, folder: str, name: str, files_per_batch: int = 1) -> DataFrame:
@@ -76,10 +76,8 @@ def drained(stream: DataFrame, label: str, mode: str = "append", each: Callable[
 
     Batches are written by number, so a batch that runs again after a failure replaces its own rows.
     """
-    import uuid
-
     spark = stream.sparkSession
-    root = f"{shared_dir(spark)}/{label}-{uuid.uuid4().hex}"
+    root = scratch_path(spark, label)
 
     def put(batch: DataFrame, n: int) -> None:
         rows = each(batch) if each else batch
