@@ -18,11 +18,14 @@ m AS (
          CAST(coalesce(n_repeat_words, 0) AS BIGINT) AS n_repeat_words
   FROM d LEFT JOIN rep USING (doc_id)),
 f AS (SELECT *, n_words < 20 OR 100 * n_repeat_words > 30 * n_words AS base_failed FROM m),
-h AS (SELECT source, count(*) AS n, sum(CAST(base_failed AS BIGINT)) AS bad FROM f GROUP BY 1),
-a AS (SELECT CAST(sum(bad) AS DOUBLE) / sum(n) AS mean, sum(CAST(bad AS DOUBLE) * bad / n) / sum(n) - (CAST(sum(bad) AS DOUBLE) / sum(n)) ** 2 AS spread, count(*) AS k, sum(n) AS total FROM h),
-b AS (SELECT mean, spread - mean * (1 - mean) * (k - 1) / total AS between_hosts FROM a),
-p AS (SELECT mean, CASE WHEN between_hosts <= 0 THEN 1e6 ELSE least(1e6, greatest(1.0, mean * (1 - mean) / between_hosts - 1)) END AS weight FROM b),
-v AS (SELECT source, (bad + mean * weight) / (n + weight) > 0.5 AS rejected FROM h, p)
+failed AS (SELECT source, r.rule, CAST(r.bad AS BIGINT) AS bad FROM (SELECT source, unnest([
+  {{'rule': 1, 'bad': n_words < 20}}, {{'rule': 2, 'bad': 100 * n_repeat_words > 30 * n_words}}, {{'rule': 3, 'bad': 10 * n_symbols > word_chars}}, {{'rule': 4, 'bad': 20 * n_dup_lines > n_words}}]) AS r FROM m)),
+h AS (SELECT source, rule, count(*) AS n, sum(bad) AS bad FROM failed GROUP BY 1, 2),
+a AS (SELECT rule, CAST(sum(bad) AS DOUBLE) / sum(n) AS mean, sum(CAST(bad AS DOUBLE) * bad / n) / sum(n) - (CAST(sum(bad) AS DOUBLE) / sum(n)) ** 2 AS spread, count(*) AS k, sum(n) AS total FROM h GROUP BY 1),
+b AS (SELECT rule, mean, spread - mean * (1 - mean) * (k - 1) / total AS between_hosts FROM a),
+p AS (SELECT rule, mean, CASE WHEN between_hosts <= 0 THEN 1e6 ELSE least(1e6, greatest(1.0, mean * (1 - mean) / between_hosts - 1)) END AS weight FROM b),
+e AS (SELECT source, n + weight AS docs, (bad + mean * weight) / (n + weight) AS rate FROM h JOIN p USING (rule)),
+v AS (SELECT source, bool_or(rate - 1.645 * sqrt(rate * (1 - rate) / (docs + 1)) > 0.5) AS rejected FROM e GROUP BY 1)
 SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, NOT base_failed AND NOT rejected AS kept
 FROM f JOIN v ON f.source IS NOT DISTINCT FROM v.source"""
 

@@ -1,9 +1,10 @@
 """Quality rules at two levels: base rules on a document, and a verdict on its host.
 
-Base rules come from a document's own words. A host (any column: a source, a domain) collects how many of its documents fail them.
-Small hosts give noisy rates, so each rate is shrunk towards the mean of all hosts: a beta prior is fitted to the hosts by moments
-(between-host variance less what binomial noise explains), and the host's posterior mean is what counts. A host whose shrunk failure
-rate is above ``max_rate`` is rejected with all its documents; the verdicts are joined back to the documents.
+Each rule comes from a document's own words; the first two are the base rules, which reject a document. A host (any column: a source, a
+domain) collects how many of its documents fail each rule. Small hosts give noisy rates, so each rate is shrunk towards the mean of all
+hosts: for each rule a beta prior is fitted to the hosts by moments (between-host variance less what binomial noise explains). A host
+is rejected with all its documents if for any rule the lower end of its posterior rate (``Z`` standard deviations below the mean) is
+above ``max_rate``: most of its documents surely fail that rule. The verdicts are joined back to the documents.
 
 Work: one pass over the texts writes a narrow table; hosts are partial sums of it; the join carries no text.
 
@@ -18,7 +19,7 @@ from collections.abc import Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -85,19 +86,40 @@ def with_measures(docs: DataFrame) -> DataFrame:
     return rows.mapInArrow(run, T.StructType(fields))
 
 
-def base_failed():
-    return (F.col("n_words") < MIN_WORDS) | (100 * F.col("n_repeat_words") > MAX_REPEAT * F.col("n_words"))
+#: Rules on the measures; those of the first line reject a document by themselves.
+RULES = {
+    "few_words": f"n_words < {MIN_WORDS}", "repeats": f"100 * n_repeat_words > {MAX_REPEAT} * n_words",
+    "symbols": "10 * n_symbols > word_chars", "lines": "20 * n_dup_lines > n_words",
+}
+#: Standard deviations below the posterior mean.
+Z = 1.645
+
+
+def base_failed() -> Column:
+    return F.expr(f"({RULES['few_words']}) OR ({RULES['repeats']})")
+
+
+def with_failures(measured: DataFrame) -> DataFrame:
+    """``measured`` with ``base_failed`` and a column ``fails_...`` of 0 or 1 for each rule."""
+    return measured.withColumns({"base_failed": base_failed()} | {f"fails_{r}": F.expr(f"CAST({test} AS BIGINT)") for r, test in RULES.items()})
 
 
 def host_verdicts(judged: DataFrame, max_rate: float = 0.5) -> DataFrame:
-    """``judged(host, base_failed)``, a written table, to ``(host, n_docs, n_failed, shrunk_rate, host_rejected)``, a row per host."""
-    hosts = judged.groupBy("host").agg(F.count("*").alias("n_docs"), F.sum(F.col("base_failed").cast("long")).alias("n_failed"))
-    hosts = written(hosts, "quality-host-counts")
-    n, f, h, q = F.sum("n_docs"), F.sum("n_failed"), F.count("*"), F.sum(F.col("n_failed") * F.col("n_failed") / F.col("n_docs"))
-    total = hosts.agg(n.alias("n"), f.alias("f"), h.alias("h"), q.alias("q")).first()
-    mean, weight = beta_prior(total["n"] or 0, total["f"] or 0, total["h"], total["q"] or 0.0)
-    rate = (F.col("n_failed") + F.lit(mean * weight)) / (F.col("n_docs") + F.lit(weight))
-    return hosts.select("host", "n_docs", "n_failed", rate.alias("shrunk_rate"), (rate > max_rate).alias("host_rejected"))
+    """``judged(host, fails_...)``, a written table, to ``(host, n_docs, n_..., low_..., host_rejected)``, a row per host: failures
+    of each rule and the lower end of its rate."""
+    counts = [F.sum(f"fails_{r}").alias(f"n_{r}") for r in RULES]
+    hosts = written(judged.groupBy("host").agg(F.count("*").alias("n_docs"), *counts), "quality-host-counts")
+    sums = [F.sum("n_docs").alias("n"), F.count("*").alias("h")]
+    for r in RULES:
+        sums += [F.sum(f"n_{r}").alias(f"f_{r}"), F.sum(F.col(f"n_{r}") * F.col(f"n_{r}") / F.col("n_docs")).alias(f"q_{r}")]
+    total = hosts.agg(*sums).first()
+    rejected = F.lit(False)
+    for r in RULES:
+        mean, weight = beta_prior(total["n"] or 0, total[f"f_{r}"] or 0, total["h"], total[f"q_{r}"] or 0.0)
+        rate = (F.col(f"n_{r}") + F.lit(mean * weight)) / (F.col("n_docs") + F.lit(weight))
+        hosts = hosts.withColumn(f"low_{r}", rate - Z * F.sqrt(rate * (1 - rate) / (F.col("n_docs") + F.lit(weight) + 1)))
+        rejected = rejected | (F.col(f"low_{r}") > max_rate)
+    return hosts.withColumn("host_rejected", rejected)
 
 
 def beta_prior(n: int, failed: int, hosts: int, squares: float) -> tuple[float, float]:
@@ -115,17 +137,17 @@ def beta_prior(n: int, failed: int, hosts: int, squares: float) -> tuple[float,
 
 
 def judge_documents(docs: DataFrame, host: str = "source", max_rate: float = 0.5) -> DataFrame:
-    """``(doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, kept, shrunk_rate)`` of each document."""
+    """``(doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, kept, host_rejected)`` of each document."""
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col(host).cast("string").alias("host"), "text")
-    judged = written(with_measures(rows).withColumn("base_failed", base_failed()), "quality-measures")
-    hosts = host_verdicts(judged, max_rate)
-    out = join_hosts(judged, hosts.select("host", "shrunk_rate", "host_rejected"), "host")
-    return out.select("doc_id", *MEASURES, "base_failed", (~F.col("base_failed") & ~F.col("host_rejected")).alias("kept"), "shrunk_rate")
+    judged = written(with_failures(with_measures(rows)), "quality-measures")
+    out = join_hosts(judged, host_verdicts(judged, max_rate).select("host", "host_rejected"), "host")
+    return out.select("doc_id", *MEASURES, "base_failed", (~F.col("base_failed") & ~F.col("host_rejected")).alias("kept"), "host_rejected")
 
 
 def keep_good_documents(docs: DataFrame, host: str = "source", max_rate: float = 0.5) -> DataFrame:
     """The rows of ``docs``, all columns, that neither fail the base rules nor come from a rejected host."""
     marked = docs.select(F.struct("*").alias("row"), F.col(host).cast("string").alias("host"), text_or_empty().alias("text"))
-    judged = written(with_measures(marked).select("row", "host", base_failed().alias("base_failed")), "quality-rows")
+    failures = [f"fails_{r}" for r in RULES]
+    judged = written(with_failures(with_measures(marked)).select("row", "host", "base_failed", *failures), "quality-rows")
     hosts = host_verdicts(judged, max_rate).filter("host_rejected").select("host")
     return join_hosts(judged.filter(~F.col("base_failed")), hosts, "host", "left_anti").select("row.*")

@@ -39,7 +39,7 @@ def op3_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op4_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return judge_documents(_documents(spark, sf_dir)).drop("shrunk_rate")
+    return judge_documents(_documents(spark, sf_dir)).drop("host_rejected")
 
 
 def op6_source_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
