@@ -4,12 +4,12 @@ Statistics are DataFrame functions of a text. Small trees, boosted on labelled r
 conjunction of comparisons. A lasso logistic regression over the rules keeps few and weighs them; its penalty is the one that does
 best on a fifth of the training rows held back. The kept rules become a Spark column, so scoring is a projection.
 
-Fitting takes at most ``most_rows`` labelled rows (documented bound, the first by a hash of the id) to the driver; statistics and scores
+Fitting takes at most ``most_rows`` labelled ids (documented bound, picked by a hash of the id) to the driver; statistics and scores
 cover every row.
 
 Defined cases: a null text counts as empty, whose statistics are all 0, and gets a score like any other; labels that are null, other than
-0 and 1, or for an id without a document are ignored; an id labelled both ways is ignored; a document repeated by id gives a training
-row each; without labels of both classes the score is their smoothed share everywhere; an empty table gives an empty table; other
+0 and 1, or for an id without a document are ignored; an id labelled both ways is ignored; an id that
+repeats trains once, with the least of its rows; without labels of both classes the score is their smoothed share everywhere; an empty table gives an empty table; other
 columns are never read.
 """
 
@@ -28,12 +28,9 @@ MOST_ROWS = 10_000
 SPACE = r"[\x20\x09-\x0D]+"
 
 
-def statistics(text: Column) -> dict[str, Column]:
-    """Named statistics of a text column; shares are of its characters, words or lines."""
-    n = F.length(text)
-    words = F.filter(F.split(text, SPACE), lambda w: w != "")
-    lines = F.filter(F.split(text, "\n"), lambda x: F.trim(x) != "")
-    n_words, n_lines = F.size(words), F.size(lines)
+def with_text_statistics(rows: DataFrame) -> DataFrame:
+    """``rows(text, ...)`` with a column for each of ``NAMES`` in place of ``text``; shares are of its characters, words or lines."""
+    text, n = F.col("text"), F.length("text")
 
     def share(part: Column, whole: Column) -> Column:
         return F.when(whole > 0, part / whole).otherwise(F.lit(0.0))
@@ -41,7 +38,10 @@ def statistics(text: Column) -> dict[str, Column]:
     def chars(some: str) -> Column:
         return share(n - F.length(F.translate(text, some, "")), n)
 
-    return {
+    # Words and lines are columns of their own, so that they are cut once.
+    rows = rows.withColumns({"_words": F.filter(F.split(text, SPACE), lambda w: w != ""), "_lines": F.filter(F.split(text, "\n"), lambda x: F.trim(x) != "")})
+    n_words, n_lines = F.size("_words"), F.size("_lines")
+    found = {
         "n_words": n_words.cast("double"),
         "word_length": share(F.length(F.translate(text, " \n\t\r\x0b\x0c", "")), n_words),
         "symbols": chars("#*$%&|<>"),
@@ -50,10 +50,12 @@ def statistics(text: Column) -> dict[str, Column]:
         "marks": chars("!?"),
         "stops": chars(".,;:"),
         "pipes": chars("|"),
-        "distinct_words": share(F.size(F.array_distinct(words)), n_words),
-        "distinct_lines": share(F.size(F.array_distinct(lines)), n_lines),
+        "distinct_words": share(F.size(F.array_distinct("_words")), n_words),
+        "distinct_lines": share(F.size(F.array_distinct("_lines")), n_lines),
         "line_words": share(n_words, n_lines),
     }
+    kept = [c for c in rows.columns if c not in ("text", "_words", "_lines")]
+    return rows.select(*kept, *(found[k].cast("double").alias(k) for k in NAMES))
 
 
 NAMES = ("n_words", "word_length", "symbols", "upper", "digits", "marks", "stops", "pipes", "distinct_words", "distinct_lines", "line_words")
@@ -206,16 +208,19 @@ def held_out() -> Column:
 
 def with_statistics(docs: DataFrame) -> DataFrame:
     """``(doc_id, statistics...)`` of each row; written."""
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_or_empty().alias("text"))
-    return written(rows.select("doc_id", *(c.cast("double").alias(k) for k, c in statistics(F.col("text")).items())), "quality-statistics")
+    return written(with_text_statistics(docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_or_empty().alias("text"))), "quality-statistics")
 
 
 def training_rows(stats: DataFrame, labels: DataFrame, most_rows: int = MOST_ROWS) -> tuple[np.ndarray, np.ndarray]:
-    """Statistics and labels of labelled rows that are not held out, at most so many, first by a hash of the id."""
+    """Statistics and labels of labelled ids that are not held out. Where there are more than ``most_rows``, those with a hash below a
+    threshold, some less than that number: so what the driver gets is bounded, and no task sends more than its share."""
     marks = labels.select(F.col("doc_id").cast("long").alias("_id"), F.col("quality").cast("int").alias("y")).filter("_id IS NOT NULL AND y IN (0, 1)")
     marks = marks.groupBy("_id").agg(F.min("y").alias("y"), F.max("y").alias("_top")).filter("y = _top").drop("_top")
-    rows = stats.join(marks, stats["doc_id"] == marks["_id"]).filter(~held_out())
-    got = rows.orderBy(F.xxhash64("doc_id"), "doc_id", *NAMES).limit(most_rows).select("y", *NAMES).toPandas()
+    marks = marks.filter(F.crc32(F.col("_id").cast("string")) % 5 != 0)
+    n, buckets = marks.count(), 1 << 24
+    marks = marks.filter(F.pmod(F.xxhash64("_id"), F.lit(buckets)) < (buckets if n <= most_rows else int(buckets * max(1.0, most_rows - 5 * most_rows**0.5) / n)))
+    rows = stats.join(marks, stats["doc_id"] == marks["_id"]).groupBy("doc_id", "y").agg(F.min(F.struct(*NAMES)).alias("s"))
+    got = rows.select(F.xxhash64("doc_id").alias("h"), "doc_id", "y", "s.*").toPandas().sort_values(["h", "doc_id"]).head(most_rows)
     return got[list(NAMES)].to_numpy(float), got["y"].to_numpy(float)
 
 
