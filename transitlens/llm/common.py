@@ -1,55 +1,21 @@
-"""Shared helpers of the corpus operators: shared folder, written tables, Arrow batch slices."""
+"""Shared helpers of the corpus operators: written tables, Arrow batch slices, joins to small tables."""
 
 from __future__ import annotations
 
-import atexit
-import os
-import shutil
-import uuid
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ..plans.shared import scratch_path, shared_dir, written  # noqa: F401
+
 #: Characters that end a word: space and the controls U+0009 to U+000D.
 WORD = r"[^\x20\x09-\x0D]+"
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share.
-
-    ``spark.checkpoint.dir`` of the session where set. Only a local master, whose executors are the driver, may fall back
-    to a folder of this machine; a cluster without the setting is an error.
-    """
-    found = spark.conf.get("spark.checkpoint.dir", None)
-    if found:
-        return found.rstrip("/")
-    master = spark.sparkContext.master
-    if not master.startswith("local") or master.startswith("local-cluster"):
-        raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
-    own = f"/tmp/checkpoints/{os.getpid()}"
-    if not os.path.isdir(own):
-        os.makedirs(own, exist_ok=True)
-        atexit.register(shutil.rmtree, own, ignore_errors=True)
-    return f"file://{own}"
-
-
-def scratch_path(spark: SparkSession, label: str) -> str:
-    """A fresh path in the shared folder."""
-    return f"{shared_dir(spark)}/{label}-{uuid.uuid4().hex}"
-
-
-def written(df: DataFrame, label: str) -> DataFrame:
-    """``df`` written once as a Parquet table in the shared folder and read back: lineage ends there."""
-    spark = df.sparkSession
-    path = scratch_path(spark, label)
-    df.write.option("compression", "zstd").parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
-
-
 def drop_written(df: DataFrame) -> None:
     """Deletes the files behind a table of :func:`written` that no later plan reads."""
     spark = df.sparkSession
