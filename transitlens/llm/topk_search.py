@@ -29,7 +29,7 @@ from pyspark.sql import functions as F
 from .common import written
 
 #: Rows of a candidate tile, of a query tile, and of a block; terms of a bound.
-TILE, QUERIES, BLOCK, TERMS = 8192, 16_384, 32, 16
+TILE, QUERIES, BLOCK, TERMS = 8192, 16_384, 64, 16
 #: Components up to here are multiplied as floats: products of up to 2**13 of them stay whole.
 NARROW = float(1 << 20)
 _LOW, _HIGH = np.iinfo(np.int64).min, np.iinfo(np.int64).max
