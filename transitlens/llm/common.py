@@ -10,7 +10,7 @@ import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..plans.shared import scratch_path, shared_dir, written  # noqa: F401
+from ..plans.shared import scratch_path, written  # noqa: F401
 
 #: Characters that end a word: space and the controls U+0009 to U+000D.
 WORD = r"[^\x20\x09-\x0D]+"

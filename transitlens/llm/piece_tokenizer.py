@@ -94,7 +94,7 @@ def _merges(model: PieceModel, vocab: dict[str, int]) -> list[tuple[str, str]]:
 
 def build_tokenizer(model: PieceModel):
     """A tokenizers-library tokenizer that encodes and decodes as the model file says."""
-    from tokenizers import AddedToken, Regex, Tokenizer, decoders, models, normalizers, pre_tokenizers
+    from tokenizers import AddedToken, Regex, Tokenizer, decoders, models, normalizers
 
     vocab = {p: i for i, (p, _, _) in enumerate(model.pieces)}
     if model.model_type == BPE:
