@@ -3,7 +3,7 @@
 import os
 import time
 
-from transitlens.plans.shared import _FILES_GO, written
+from transitlens.plans.shared import _FILES_GO, drop_since, mark, written
 
 
 def _shuffle_files(spark):
@@ -21,3 +21,13 @@ def test_a_written_table_leaves_no_shuffle_files(spark):
     assert not left
     assert table.count() == rows.count() == 7000
     assert spark.conf.get(_FILES_GO, None) == was
+
+
+def test_tables_that_nothing_reads_any_more_are_deleted(spark):
+    first = written(spark.range(3), "test-first")
+    start = mark()
+    gone, stays = written(spark.range(4), "test-gone"), written(spark.range(5), "test-stays")
+    place = gone.inputFiles()[0].rsplit("/", 1)[0].removeprefix("file://")
+    drop_since(spark, start, stays.filter("id > 1"))
+    assert not os.path.exists(place)
+    assert first.count() == 3 and stays.count() == 5
