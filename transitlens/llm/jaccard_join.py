@@ -9,9 +9,10 @@ shared block value.
 Sizes fall into bands (powers of two), each with a number of blocks of its own, somewhat above D; a document also takes part in the
 next band if a partner there can be similar enough. In any order of the block values that is the same for all documents, the first
 D + 1 of a document's m values suffice: two documents with m - D common values share one of those (prefix filtering). The order is by
-hash, empty blocks last. Values that many documents carry are counted over all documents; documents that carry some move these to the
-end of the order and carry later values instead, which changes nothing for the others. So documents that share a passage and little
-more do not meet by it.
+hash, empty blocks last. Values that many documents carry are counted over all documents; documents that carry some move all such
+values to the end of the order and carry later values instead, which changes nothing for the others. So documents that share a passage
+and little more do not meet by it. Of a value five bytes are kept, and documents meet through packed blocks (:mod:`key_groups`): a
+few documents that share no value meet as well, and are compared.
 
 Each document also has one parity sketch of its whole set, some bits for each shingle it may differ by. Pairs whose sketches differ in
 more bits than D cannot link.
@@ -39,9 +40,10 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import slices, text_or_empty, written
+from .common import drop_written, slices, text_or_empty, written
 from .components import connected_components
 from .group_compare import near_in_groups
+from .key_groups import KEY_BYTES, bitmaps, frequent, low_bytes, meetings
 
 N = 5
 #: Similarity as a fraction: 100 * intersection >= PERCENT * union.
@@ -54,8 +56,6 @@ MANY, GROUP = 8, 48
 OFFERS = 1
 #: A table of ids of at most so many rows is broadcast; above, Spark shuffles.
 BROADCAST_IDS = 400_000
-#: Block values, over all documents, up to which lists of them are broadcast.
-BROADCAST_VALUES = 4_000_000
 
 _MIX = [np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xBF58476D1CE4E5B9, 0x94D049BB133111EB, 0xD6E8FEB86659FD93, 0xA0761D6478BD642F)]
 
@@ -121,7 +121,7 @@ class Shingler:
         value = np.zeros(blocks, np.uint64)
         # A block's bits are as many as there are hashes: few are set, and the XOR of those hashes stands for them.
         value[block[start]] = np.bitwise_xor.reduceat(_mixed(h), start)
-        key = _mixed(_mixed(value) ^ (np.arange(blocks, dtype=np.uint64) << np.uint64(8) | np.uint64(band)))
+        key = _mixed(_mixed(value) ^ (np.arange(blocks, dtype=np.uint64) << np.uint64(8) | np.uint64(band))) >> np.uint64(64 - 8 * KEY_BYTES)
         order = np.lexsort((key, value == 0))
         # Documents differ in at most ``apart`` blocks, so apart + 1 values suffice; a band has more blocks than that.
         return key[order], apart + 1
@@ -143,8 +143,9 @@ def _print(h: np.ndarray) -> np.ndarray:
 
 
 def _sketches(rows: DataFrame, n: int, percent: int) -> DataFrame:
-    """``rows(doc_id, text, text_hash)`` to ``(doc_id, text_hash, n_shingles, fp1, fp2, keys, carried, sketch)``; the fingerprint is a
-    128-bit hash of the set, ``keys`` has a list of values for each band and ``carried`` how many of each count at first."""
+    """``rows(doc_id, text, text_hash)`` to ``(doc_id, text_hash, n_shingles, fp1, fp2, keys, held, carried, sketch)``; the fingerprint is
+    a 128-bit hash of the set, ``keys`` has the values of all bands, ``held`` how many each band has and ``carried`` how many of them
+    count at first."""
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own = Shingler(n, percent)
@@ -153,7 +154,7 @@ def _sketches(rows: DataFrame, n: int, percent: int) -> DataFrame:
                 sets = [own.shingles(t) for t in texts]
                 prints = np.array([_print(h) for h in sets])
                 keys = [own.keys(h) for h in sets]
-                bands = _lists([k for found in keys for k, _ in found] or [sets[0][:0]], np.int64)
+                packed = [low_bytes(np.concatenate([h[:0], *(k for k, _ in found)]), KEY_BYTES).tobytes() for h, found in zip(sets, keys, strict=True)]
                 ends = pa.array(np.cumsum([0, *map(len, keys)]).astype(np.int32))
                 yield pa.RecordBatch.from_arrays(
                     [
@@ -162,14 +163,15 @@ def _sketches(rows: DataFrame, n: int, percent: int) -> DataFrame:
                         pa.array([h.size for h in sets], pa.int64()),
                         pa.array(np.ascontiguousarray(prints[:, 0])),
                         pa.array(np.ascontiguousarray(prints[:, 1])),
-                        pa.ListArray.from_arrays(ends, bands),
+                        pa.array(packed, pa.binary()),
+                        pa.ListArray.from_arrays(ends, pa.array([k.size for found in keys for k, _ in found] or [0], pa.int32())),
                         pa.ListArray.from_arrays(ends, pa.array([c for found in keys for _, c in found] or [0], pa.int32())),
                         _lists([own.sketch(h) for h in sets], np.int64),
                     ],
-                    names=["doc_id", "text_hash", "n_shingles", "fp1", "fp2", "keys", "carried", "sketch"],
+                    names=["doc_id", "text_hash", "n_shingles", "fp1", "fp2", "keys", "held", "carried", "sketch"],
                 )
 
-    return rows.mapInArrow(run, "doc_id long, text_hash long, n_shingles long, fp1 long, fp2 long, keys array<array<long>>, carried array<int>, sketch array<long>")
+    return rows.mapInArrow(run, "doc_id long, text_hash long, n_shingles long, fp1 long, fp2 long, keys binary, held array<int>, carried array<int>, sketch array<long>")
 
 
 def _sets(rows: DataFrame, n: int, percent: int) -> DataFrame:
@@ -226,6 +228,7 @@ def _verified(pairs: DataFrame, docs: DataFrame, classes: DataFrame, n: int, per
     common = F.size(F.array_intersect("su", "sv"))
     linked = 100 * common >= percent * (F.size("su") + F.size("sv") - common)
     links = written(both.filter(linked).select("u", "v"), "jaccard-links")
+    drop_written(sets)
     return links
 
 
@@ -235,45 +238,30 @@ def _labelled(rows: DataFrame, labels: DataFrame, node: str, name: str) -> DataF
     return rows.join(found, node, "left").withColumn(name, F.coalesce("_c", node)).drop("_c")
 
 
-def _groups(keyed: DataFrame, label: str) -> DataFrame:
-    """``(key, node, center)`` of ``keyed(key, node)`` where two or more share a key; ``center`` is the smallest of them. Written.
-
-    Frames end at the current row, so a group is read as a stream, however large it is.
-    """
-    group = "PARTITION BY key ORDER BY node"
-    met = keyed.selectExpr("*", f"first_value(node) OVER ({group} ROWS UNBOUNDED PRECEDING) AS center", f"lead(node) OVER ({group}) IS NOT NULL AS more")
-    return written(met.filter("node <> center OR more").drop("more"), label)
-
-
 def _few(table: DataFrame) -> DataFrame:
     """A written table, broadcast only where its counted rows are few."""
     return F.broadcast(table) if table.count() <= BROADCAST_IDS else table
 
 
-def _carried(order: Column) -> Column:
-    """The values that count, over all bands."""
-    return F.flatten(F.zip_with(order, "carried", lambda k, c: F.slice(k, F.lit(1), c)))
-
-
-def _meetings(nodes: DataFrame) -> DataFrame:
-    """``(key, node, center)``: the groups in which documents of ``nodes(node, keys, carried)`` meet."""
-    met = _groups(nodes.select("node", F.explode(_carried(F.col("keys"))).alias("key")), "jaccard-groups")
-    many = written(met.groupBy("key").agg(F.count("*").alias("n")).filter(F.col("n") > MANY).select("key"), "jaccard-many")
-    if many.isEmpty():
+def _meetings(sketches: DataFrame, classes: DataFrame) -> DataFrame:
+    """``(key, node, center)``: the groups in which documents of ``sketches(row_id, keys, held, carried)`` meet that are a ``node`` of
+    ``classes``."""
+    rows = sketches.withColumnRenamed("row_id", "node").select("node", "keys", "held", "carried")
+    first = bitmaps(classes.select("node"))
+    if first is None:
+        rows = rows.join(classes.select("node"), "node", "left_semi")
+    met = written(meetings(rows, first).drop("new"), "jaccard-groups")
+    counts = written(met.groupBy("key").agg(F.count("*").alias("count")).filter(F.col("count") > MANY), "jaccard-many")
+    moved, many = frequent(counts)
+    if not many.size:
         return met
-    few = _few(many)
-    late = met.join(few, "key", "left_semi").groupBy("node").agg(F.collect_list("key").alias("many"))
     # Two documents of which one carries no such value share another one already, so only those that do meet anew.
-    late = written(late, "jaccard-late-nodes")
-    values = late.agg(F.sum(F.size("many"))).first()[0]
-    late = nodes.join(F.broadcast(late) if values <= BROADCAST_VALUES else late, "node").withColumn("old", _carried(F.col("keys")))
-    late = late.withColumn("now", _carried(F.transform("keys", lambda k: F.concat(F.array_except(k, "many"), F.array_intersect(k, "many")))))
-    late = late.withColumn("anew", F.concat(F.array_except("now", "old"), F.array_intersect("now", "many")))
-    late = late.withColumn("kept", F.array_except("now", "anew"))
-    each = F.concat(F.transform("anew", lambda x: F.struct(x.alias("key"), F.lit(True).alias("new"))), F.transform("kept", lambda x: F.struct(x.alias("key"), F.lit(False).alias("new"))))
-    late = _groups(late.select("node", F.explode(each).alias("k")).select("k.key", "node", "k.new"), "jaccard-late")
+    late = written(meetings(rows, first, many), "jaccard-late")
     fresh = late.groupBy("key").agg(F.max("new").alias("new")).filter("new").select("key")
-    return written(met.join(few, "key", "left_anti").unionByName(late.join(fresh, "key", "left_semi").drop("new")), "jaccard-met")
+    anew = written(met.join(_few(moved), "key", "left_anti").unionByName(late.join(fresh, "key", "left_semi").drop("new")), "jaccard-met")
+    for table in (met, late):
+        drop_written(table)
+    return anew
 
 
 def _class_components(sketches: DataFrame, classes: DataFrame, docs: DataFrame, n: int, percent: int) -> DataFrame:
@@ -281,7 +269,7 @@ def _class_components(sketches: DataFrame, classes: DataFrame, docs: DataFrame,
     # Where the ids are few they are broadcast, so that the sketches stay where they are.
     first_rows = sketches.join(_few(classes.select(F.col("node").alias("row_id"))), "row_id", "left_semi").withColumnRenamed("row_id", "node")
     nodes = first_rows.select("node", F.col("n_shingles").cast("int").alias("size"), "sketch")
-    met = _meetings(first_rows.select("node", "keys", "carried"))
+    met = _meetings(sketches, classes)
 
     first = met.filter("node <> center").groupBy(F.col("node").alias("v")).agg(F.min("center").alias("u")).select("u", "v")
     tested = _near(first, nodes, percent)
